@@ -90,9 +90,9 @@ SELECT d.doc_id, d.size, s.source_size, s.target,
     (d.size * (s.copies + CASE WHEN d.size > 0 AND s.target - s.copies * s.source_size > 0 AND v.before + v.g / 2.0::DOUBLE <= s.target - s.copies * s.source_size THEN 1 ELSE 0 END))::BIGINT AS taken
 FROM d JOIN s USING (skey) LEFT JOIN v ON v.skey = d.skey AND v.h = d.h"""
 
-_TOP = """WITH v AS (SELECT vec_id, list_transform(embedding, x -> floor(x::DOUBLE * 1024)::BIGINT) AS e FROM embeddings WHERE vec_id IS NOT NULL AND embedding IS NOT NULL
-    AND coalesce(list_bool_and(list_transform(embedding, x -> x IS NOT NULL AND isfinite(x))), true)),
-p AS (SELECT q.vec_id AS query_id, b.vec_id AS vec_id, list_sum(list_transform(list_zip(q.e, b.e), z -> z[1] * z[2]))::BIGINT AS score
+_TOP = """WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(x::DOUBLE * 1024)::BIGINT) AS e FROM embeddings WHERE vec_id IS NOT NULL AND embedding IS NOT NULL
+    AND coalesce(list_bool_and(list_transform(embedding, lambda x: x IS NOT NULL AND isfinite(x))), true)),
+p AS (SELECT q.vec_id AS query_id, b.vec_id AS vec_id, list_sum(list_transform(list_zip(q.e, b.e), lambda z: z[1] * z[2]))::BIGINT AS score
     FROM v q JOIN v b ON q.vec_id <> b.vec_id AND len(q.e) = len(b.e) WHERE q.vec_id % 100 = 0),
 r AS (SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INTEGER AS rank, vec_id, score FROM p)
 SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 10"""
