@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from gainclust.llm.common import shuffle_width, stored
+from gainclust.llm.common import discard, shuffle_width, stored
 from gainclust.llm.windows import PrefixHash, minimizer_runs, mixed
 
 GRAM, HOT = 32, 64
@@ -284,6 +284,7 @@ def repeated_spans(docs: DataFrame, window: int) -> DataFrame:
     twice = every.groupBy("w1", "w2").agg(F.sum("times").alias("n")).where("n > 1").select("w1", "w2")
     warm = every.join(twice, ["w1", "w2"]).groupBy("gram", "context").agg(F.flatten(F.collect_list(F.array(F.col("j"), F.lit(1)))).alias("spans"))
     flags = stored(cold.unionByName(warm), "flags")
+    discard(own, wanted)
 
     hits = runs.join(flags, ["gram", "context"]).select("k", F.shiftright("place", 2 * _SHIFT).alias("first"), "spans")
     pair = lambda i: F.struct((F.col("first") + F.element_at("spans", 2 * i + 1)).alias("a"), (F.col("first") + F.element_at("spans", 2 * i + 1) + F.element_at("spans", 2 * i + 2) + window - 1).alias("b"))
