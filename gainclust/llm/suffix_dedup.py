@@ -144,7 +144,7 @@ def suffix_order(prefix: PrefixHash, data: np.ndarray, start: np.ndarray, size:
 
 
 def repeated_windows(groups: np.ndarray, contexts: list[bytes], n: np.ndarray, offset: np.ndarray, count: np.ndarray, window: int) -> list[np.ndarray]:
-    """Per context the numbers of its windows that occur twice or more; groups ascending, contexts of a group distinct."""
+    """Per context that occurs once the numbers of its windows that other contexts have too; groups ascending, contexts of a group distinct."""
     m = len(contexts)
     sizes = np.fromiter(map(len, contexts), np.int64, m)
     begin = np.cumsum(sizes) - sizes
@@ -178,10 +178,8 @@ def repeated_windows(groups: np.ndarray, contexts: list[bytes], n: np.ndarray, o
     covered = np.cumsum(hit, axis=1) > 0
     out = []
     for i in range(m):
-        if count[i] > 1:
-            out.append(np.arange(n[i]))
-        else:
-            out.append(np.flatnonzero(covered[i, offset[i] - np.arange(n[i])]))
+        # contexts that occur more often are known to repeat as a whole
+        out.append(np.flatnonzero(covered[i, offset[i] - np.arange(n[i])]) if count[i] == 1 else np.empty(0, np.int64))
     return out
 
 
@@ -274,16 +272,21 @@ def repeated_spans(docs: DataFrame, window: int) -> DataFrame:
     runs = stored(docs.where(F.octet_length("bytes") >= window).select("k", "bytes").mapInArrow(scan, "k long, gram long, context long, place long"), "runs")
     own = runs.groupBy("gram", "context").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("k", "place")).alias("at"))
     own = stored(own.select("gram", "context", "times", "at.k", "at.place"), "contexts")
-    grams = own.groupBy("gram").agg(F.count(F.lit(1)).alias("contexts"), F.sum("times").alias("occurrences")).where("occurrences > 1")
-    wanted = stored(own.join(grams, "gram").select("k", "gram", "context", "place", "times", (F.col("contexts") > HOT).alias("hot")), "wanted")
-
-    cold = _sorted_groups(_contexts(docs, wanted.where("NOT hot"), window, hot=False), window)
-    every = _contexts(docs, wanted.where("hot"), window, hot=True).select("gram", "context", "times", F.explode("windows").alias("w")).select("gram", "context", "times", "w.*")
-    # equal keys of repeated rows give the same window twice: count each context's place once
-    every = every.dropDuplicates(["gram", "context", "j"])
-    twice = every.groupBy("w1", "w2").agg(F.sum("times").alias("n")).where("n > 1").select("w1", "w2")
-    warm = every.join(twice, ["w1", "w2"]).groupBy("gram", "context").agg(F.flatten(F.collect_list(F.array(F.col("j"), F.lit(1)))).alias("spans"))
-    flags = stored(cold.unionByName(warm), "flags")
+    grams = own.groupBy("gram").agg(F.count(F.lit(1)).alias("contexts"), F.sum("times").alias("occurrences"), F.min("times").alias("least")).where("occurrences > 1")
+    grams = grams.select("gram", "least", (F.col("contexts") > HOT).alias("hot"))
+    wanted = stored(own.join(grams, "gram").select("k", "gram", "context", "place", "times", "hot", "least"), "wanted")
+    # a context that occurs twice repeats in all its windows; only grams with others are looked into
+    n = F.shiftright("place", _SHIFT).bitwiseAND(F.lit((1 << _SHIFT) - 1)).cast("int")
+    whole = wanted.where("times > 1").select("gram", "context", F.array(F.lit(0), n).alias("spans"))
+    wanted_more = wanted.where("least = 1")
+
+    cold = _sorted_groups(_contexts(docs, wanted_more.where("NOT hot"), window, hot=False), window)
+    every = _contexts(docs, wanted_more.where("hot"), window, hot=True).select("gram", "context", "times", F.explode("windows").alias("w")).select("gram", "context", "times", "w.*")
+    # a repeated row gives its windows again: tell places apart by least and greatest, not by counting
+    place = F.xxhash64("gram", "context", "j")
+    twice = every.groupBy("w1", "w2").agg(F.min(place).alias("a"), F.max(place).alias("b"), F.max("times").alias("n")).where("a <> b OR n > 1").select("w1", "w2")
+    warm = every.where("times = 1").join(twice, ["w1", "w2"]).groupBy("gram", "context").agg(F.flatten(F.collect_list(F.array(F.col("j"), F.lit(1)))).alias("spans"))
+    flags = stored(whole.unionByName(cold).unionByName(warm), "flags")
     discard(own, wanted)
 
     hits = runs.join(flags, ["gram", "context"]).select("k", F.shiftright("place", 2 * _SHIFT).alias("first"), "spans")
