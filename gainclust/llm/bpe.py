@@ -22,6 +22,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from gainclust.llm.common import trimmed
+
 CACHE_WORDS = 250_000
 CHUNK_BYTES = 1 << 19  # bytes of new words per recursive query
 TEXT_BYTES = 1 << 22  # bytes of text per step
@@ -86,17 +88,23 @@ class Codec:
         starts = np.cumsum(sizes) - sizes
         return pa.table({"word": np.repeat(np.arange(len(words), dtype=np.int32), sizes), "pos": (np.arange(len(flat)) - np.repeat(starts, sizes)).astype(np.int32), "tok": self.byte_ids[flat]})
 
-    def contract(self, words: list[bytes]) -> list[np.ndarray]:
-        """Ids of each word (none of them empty)."""
+    def contract(self, words: list[bytes]) -> list[bytes]:
+        """Ids of each word (none of them empty) as little-endian 32-bit numbers."""
         self.db.register("start_", self._start(words))
         if max(map(len, words)) <= LONG:
             got = self.db.sql(f"""
                 WITH RECURSIVE chain(step, word, pos, tok) AS (
                     SELECT 0, word, pos, tok FROM start_
                     UNION ALL
-                    (WITH {SHORT_STEP} SELECT (SELECT max(step) + 1 FROM chain), word, pos, tok FROM nextstate)),
-                final AS (SELECT word, max(step) AS step FROM chain GROUP BY word)
-                SELECT c.word, c.tok FROM chain c JOIN final USING (word, step) ORDER BY c.word, c.pos""").to_arrow_table()
+                    (WITH {SHORT_STEP} SELECT (SELECT max(step) + 1 FROM chain), word, pos, tok FROM nextstate))
+                SELECT step, word, pos, tok FROM chain""").to_arrow_table()
+            step, word, pos, tok = (got[c].to_numpy() for c in ("step", "word", "pos", "tok"))
+            # the rows of each word's last step, in order
+            last = np.zeros(len(words), np.int32)
+            np.maximum.at(last, word, step.astype(np.int32))
+            keep = np.flatnonzero(step == last[word])
+            keep = keep[np.argsort(word[keep].astype(np.int64) << 8 | pos[keep])]
+            word, tok = word[keep], tok[keep]
         else:
             self.db.execute("CREATE OR REPLACE TEMP TABLE state AS SELECT * FROM start_")
             self.db.execute("CREATE OR REPLACE TEMP TABLE done AS SELECT * FROM state LIMIT 0")
@@ -107,8 +115,13 @@ class Codec:
                     break
                 self.db.execute("CREATE OR REPLACE TEMP TABLE state AS SELECT * FROM moved")
             got = self.db.sql("SELECT word, tok FROM done ORDER BY word, pos").to_arrow_table()
-        word, tok = got["word"].to_numpy(), got["tok"].to_numpy().astype(np.int32)
-        return np.split(tok, np.flatnonzero(np.diff(word)) + 1)
+            for name in ("state", "done", "moved"):
+                self.db.execute(f"DROP TABLE {name}")
+            word, tok = got["word"].to_numpy(), got["tok"].to_numpy()
+        self.db.unregister("start_")
+        ids = tok.astype("<u4").tobytes()
+        edge = [0, *(4 * (np.flatnonzero(np.diff(word)) + 1)).tolist(), len(ids)]
+        return [ids[a:b] for a, b in zip(edge[:-1], edge[1:])]
 
     def learn(self, words: list[str]) -> None:
         """Put the ids of words not seen so far into the cache."""
@@ -126,8 +139,8 @@ class Codec:
             while end < len(todo) and size < CHUNK_BYTES and (len(todo[end][1]) > LONG) == long:
                 size += len(todo[end][1])
                 end += 1
-            for (w, _), ids in zip(todo[at:end], self.contract([raw for _, raw in todo[at:end]])):
-                self.cache[w] = ids.astype("<u4").tobytes()
+            part = todo[at:end]
+            self.cache.update(zip([w for w, _ in part], self.contract([raw for _, raw in part])))
             at = end
 
     def encode(self, texts: list[str | None]) -> list[np.ndarray]:
@@ -137,8 +150,9 @@ class Codec:
         if len(self.cache) + len(new) > CACHE_WORDS:
             # words used since the last change of generation survive
             self.old, self.cache, new = self.cache, {}, every
-        for w in new & self.old.keys():
-            self.cache[w] = self.old[w]
+        if self.old:
+            old = self.old
+            self.cache.update((w, old[w]) for w in new if w in old)
         new.difference_update(self.cache)
         if new:
             self.learn(list(new))
@@ -152,6 +166,7 @@ class Codec:
         rows = pa.table({"doc": np.repeat(np.arange(len(ids), dtype=np.int32), sizes), "pos": np.arange(len(flat), dtype=np.int32), "id": flat})
         self.db.register("ids_", rows)
         got = self.db.sql("SELECT doc, list(bytes ORDER BY pos) AS parts FROM ids_ JOIN vocab USING (id) GROUP BY doc").to_arrow_table()
+        self.db.unregister("ids_")
         out = [b""] * len(ids)
         parts = got["parts"].combine_chunks() if got.num_rows else None
         seen = 0
@@ -210,7 +225,8 @@ def encode_decode(docs: DataFrame, vocabulary_path: str, pattern: str, id_col: s
                 else:
                     cols = [part.column(0), pa.array([x.astype(np.int32) for x in ids], pa.list_(pa.int32())), pa.array(decoded, pa.binary())]
                     yield pa.RecordBatch.from_arrays(cols, names=["id", "ids", "decoded"])
+        own.old = {}
 
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"), F.coalesce(F.octet_length(text_col), F.lit(0)).alias("bytes"))
     out = "id long, n_tokens long, ids_sha256 string, decoded_sha256 string" if digests_only else "id long, ids array<int>, decoded binary"
-    return slim.mapInArrow(run, out)
+    return slim.mapInArrow(trimmed(run), out)

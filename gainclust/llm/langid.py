@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from gainclust.llm.common import trimmed
+
 from gainclust.llm.mixing import row_hash
 
 ORDER, DISCOUNT, ALPHABET = 5, 0.75, 65_536
@@ -254,4 +256,4 @@ def identify(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text_
                 cols = [part.column(0), pa.array(pred), pa.array(score), pa.array(entropy), pa.array(reject), *(part.column(i + 2) for i in range(len(carried)))]
                 yield pa.RecordBatch.from_arrays(cols, names=["id", "lang_pred", "score", "entropy", "rejected", *carried])
 
-    return slim.mapInArrow(run, schema)
+    return slim.mapInArrow(trimmed(run), schema)

@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gainclust.llm.common import shuffle_width, stored
+from gainclust.llm.common import shuffle_width, stored, trimmed
 from gainclust.llm.components import components
 
 SEED, WIDTH = 42, 64
@@ -82,7 +82,7 @@ def fingerprints(docs: DataFrame, words_each: int = 3, id_col: str = "doc_id", t
                 fp = fingerprints_of(part.column(1).to_pylist(), words_each)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp.view(np.int64))], names=["id", "fp"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(run, "id long, fp long")
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).mapInArrow(trimmed(run), "id long, fp long")
 
 
 def spanning_links(fps: np.ndarray, bits: int) -> list[tuple[int, int]]:
@@ -152,7 +152,7 @@ def variant_links(fps: DataFrame, bits: int = 3) -> DataFrame:
         yield out()
 
     sorted_keys = variants.select("key", "fp").repartition(shuffle_width(spark), "key").sortWithinPartitions("key")
-    return sorted_keys.mapInArrow(verified, "a long, b long")
+    return sorted_keys.mapInArrow(trimmed(verified), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, words_each: int = 3, bits: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -26,12 +26,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from gainclust.llm.common import discard, shuffle_width, stored
+from gainclust.llm.common import discard, shuffle_width, stored, trimmed
 from gainclust.llm.windows import PrefixHash, minimizer_runs, mixed
 
 GRAM, HOT = 32, 64
-STEP_BYTES = 1 << 20  # text hashed at once; longer texts are cut with overlap
-KERNEL_BYTES = 1 << 21  # contexts sorted at once
+STEP_BYTES = 1 << 19  # text hashed at once; longer texts are cut with overlap
+KERNEL_BYTES = 1 << 20  # contexts sorted at once
 _SHIFT = 12  # a run's place: first window, windows and offset of its gram in one long
 
 
@@ -224,7 +224,7 @@ def _contexts(docs: DataFrame, wanted: DataFrame, window: int, hot: bool) -> Dat
                     yield pa.RecordBatch.from_arrays(arrays, names=["gram", "context", "place", "times", "bytes"])
 
     # one text per key suffices: equal keys mean equal texts
-    return docs.select("k", "bytes").join(per_doc, "k").select("bytes", "wanted").mapInArrow(run, schema)
+    return docs.select("k", "bytes").join(per_doc, "k").select("bytes", "wanted").mapInArrow(trimmed(run), schema)
 
 
 def _sorted_groups(contexts: DataFrame, window: int) -> DataFrame:
@@ -256,7 +256,7 @@ def _sorted_groups(contexts: DataFrame, window: int) -> DataFrame:
 
     spark = contexts.sparkSession
     lined = contexts.repartition(shuffle_width(spark), "gram").sortWithinPartitions("gram")
-    return lined.mapInArrow(run, "gram long, context long, spans array<int>")
+    return lined.mapInArrow(trimmed(run), "gram long, context long, spans array<int>")
 
 
 def repeated_spans(docs: DataFrame, window: int) -> DataFrame:
@@ -269,7 +269,7 @@ def repeated_spans(docs: DataFrame, window: int) -> DataFrame:
                 row, gram, context, place = runs_of(part.column(1).to_pylist(), window)
                 yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(row)), pa.array(gram), pa.array(context), pa.array(place)], names=["k", "gram", "context", "place"])
 
-    runs = stored(docs.where(F.octet_length("bytes") >= window).select("k", "bytes").mapInArrow(scan, "k long, gram long, context long, place long"), "runs")
+    runs = stored(docs.where(F.octet_length("bytes") >= window).select("k", "bytes").mapInArrow(trimmed(scan), "k long, gram long, context long, place long"), "runs")
     own = runs.groupBy("gram", "context").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("k", "place")).alias("at"))
     own = stored(own.select("gram", "context", "times", "at.k", "at.place"), "contexts")
     grams = own.groupBy("gram").agg(F.count(F.lit(1)).alias("contexts"), F.sum("times").alias("occurrences"), F.min("times").alias("least")).where("occurrences > 1")
@@ -335,4 +335,4 @@ def remove_repeats(docs: DataFrame, window: int = 400, id_col: str = "doc_id", t
                 cols = [part.column(0), *(pa.array(x, pa.int64()) for x in (n_bytes, removed, n_spans)), pa.array(kept, pa.string() if digests_only else pa.binary()), *part.columns[3:]]
                 yield pa.RecordBatch.from_arrays(cols, names=["id", "n_bytes", "n_removed", "n_spans", last.split()[0], *(f.name for f in carried)])
 
-    return base.join(gone, "k", "left").select("id", "bytes", "gone", *(f.name for f in carried)).mapInArrow(cut, schema)
+    return base.join(gone, "k", "left").select("id", "bytes", "gone", *(f.name for f in carried)).mapInArrow(trimmed(cut), schema)

@@ -17,7 +17,7 @@ def powers(n: int, inverse: bool = False) -> np.ndarray:
     while len(have) < n:
         step = np.uint64(pow(int(_INVERSE if inverse else BASE), len(have), 1 << 64))
         have = np.concatenate([have, have * step])
-    if len(have) <= 1 << 23:
+    if len(have) <= 1 << 21:
         _POWERS[name] = have
     return have[:n]
 
