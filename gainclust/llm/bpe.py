@@ -22,11 +22,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gainclust.llm.common import trimmed
+from gainclust.llm.common import held_in_worker, trimmed
 
 CACHE_WORDS = 250_000
 CHUNK_BYTES = 1 << 19  # bytes of new words per recursive query
-TEXT_BYTES = 1 << 22  # bytes of text per step
+TEXT_BYTES = 1 << 21  # bytes of text per step
 LONG = 255
 
 #: One contraction of each short word. A pair is packed as rank, position and its right neighbour's position.
@@ -183,19 +183,17 @@ class Codec:
         return out
 
 
-_CODECS: dict[bytes, Codec] = {}
-
-
 def codec(vocabulary: bytes, pattern: str) -> Codec:
     """One codec per worker process; its cache outlives the task."""
-    key = hashlib.sha256(vocabulary + pattern.encode()).digest()
-    if key not in _CODECS:
-        _CODECS[key] = Codec(vocabulary, pattern)
-    return _CODECS[key]
+    return held_in_worker(hashlib.sha256(vocabulary + pattern.encode()).digest(), lambda: Codec(vocabulary, pattern))
+
+
+#: What encode_decode can return, by name.
+COLUMNS = {"n_tokens": "long", "ids": "array<int>", "decoded": "binary", "ids_sha256": "string", "decoded_sha256": "string"}
 
 
-def encode_decode(docs: DataFrame, vocabulary_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", digests_only: bool = False) -> DataFrame:
-    """Rows (id, ids, decoded) or, for digests, (id, n_tokens, ids_sha256, decoded_sha256).
+def encode_decode(docs: DataFrame, vocabulary_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", returns: tuple[str, ...] = ("ids", "decoded")) -> DataFrame:
+    """Rows of the id and the columns named in returns (see COLUMNS); every text is encoded and decoded again.
 
     The vocabulary file (about a megabyte, read on the driver) is broadcast; at most 16 MB are allowed.
     """
@@ -218,15 +216,16 @@ def encode_decode(docs: DataFrame, vocabulary_path: str, pattern: str, id_col: s
                     continue
                 ids = own.encode(part.column(1).to_pylist())
                 decoded = own.decode(ids)
-                if digests_only:
-                    sha = lambda x: hashlib.sha256(x).hexdigest()
-                    cols = [part.column(0), pa.array([len(x) for x in ids], pa.int64()), pa.array([sha(x.tobytes()) for x in ids]), pa.array([sha(x) for x in decoded])]
-                    yield pa.RecordBatch.from_arrays(cols, names=["id", "n_tokens", "ids_sha256", "decoded_sha256"])
-                else:
-                    cols = [part.column(0), pa.array([x.astype(np.int32) for x in ids], pa.list_(pa.int32())), pa.array(decoded, pa.binary())]
-                    yield pa.RecordBatch.from_arrays(cols, names=["id", "ids", "decoded"])
+                sha = lambda xs: pa.array([hashlib.sha256(x).hexdigest() for x in xs], pa.string())
+                made = {
+                    "n_tokens": lambda: pa.array([len(x) for x in ids], pa.int64()),
+                    "ids": lambda: pa.array([x.astype(np.int32) for x in ids], pa.list_(pa.int32())),
+                    "decoded": lambda: pa.array(decoded, pa.binary()),
+                    "ids_sha256": lambda: sha(ids),
+                    "decoded_sha256": lambda: sha(decoded),
+                }
+                yield pa.RecordBatch.from_arrays([part.column(0), *(made[c]() for c in returns)], names=["id", *returns])
         own.old = {}
 
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"), F.coalesce(F.octet_length(text_col), F.lit(0)).alias("bytes"))
-    out = "id long, n_tokens long, ids_sha256 string, decoded_sha256 string" if digests_only else "id long, ids array<int>, decoded binary"
-    return slim.mapInArrow(trimmed(run), out)
+    return slim.mapInArrow(trimmed(run), "id long, " + ", ".join(f"{c} {COLUMNS[c]}" for c in returns))

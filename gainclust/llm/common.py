@@ -98,3 +98,15 @@ def trimmed(kernel: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iter
             return  # not glibc: nothing to trim
 
     return run
+
+
+_HELD: dict = {}
+
+
+def held_in_worker(key, make: Callable):
+    """An object that one worker process keeps from task to task; only the last one asked for is kept."""
+    if key not in _HELD:
+        _HELD.clear()
+        gc.collect()
+        _HELD[key] = make()
+    return _HELD[key]

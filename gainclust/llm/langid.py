@@ -17,21 +17,22 @@ repeated rows - each predicted; empty table - no rows; other columns are not rea
 from __future__ import annotations
 
 import re
+import uuid
 from collections import Counter
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from gainclust.llm.common import trimmed
+from gainclust.llm.common import held_in_worker, trimmed
 
 from gainclust.llm.mixing import row_hash
 
 ORDER, DISCOUNT, ALPHABET = 5, 0.75, 65_536
-CACHE_WORDS, TEXTS = 250_000, 512
+CACHE_WORDS, TEXTS = 150_000, 512
 MAX_LANGUAGES = 256
 LETTERS = re.compile(r"[^\W\d_]+")
 _MUL = np.uint64(0x9E3779B97F4A7C15)
@@ -73,6 +74,7 @@ class Model:
     weight: np.ndarray
     temperature: float = 1.0
     bound: float = float("inf")
+    token: str = field(default_factory=lambda: uuid.uuid4().hex)  # names the model within a worker
 
     def costs(self, words: list[str]) -> np.ndarray:
         """Sum of -log2 p over each word's characters and its end, per language."""
@@ -220,7 +222,6 @@ def train(docs: DataFrame, rows_each: int = 800, max_chars: int = 20_000, id_col
 
 
 OUT = "id long, lang_pred string, score double, entropy double, rejected boolean"
-_SCORERS: dict[int, Scorer] = {}
 
 
 def identify(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text_col: str = "text", keep: list[Column] | None = None) -> DataFrame:
@@ -236,10 +237,7 @@ def identify(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text_
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        key = id(m)
-        if m is not None and key not in _SCORERS:
-            _SCORERS.clear()
-            _SCORERS[key] = Scorer(m)
+        scorer = held_in_worker(m.token, lambda: Scorer(m)) if m is not None else None
         for batch in batches:
             for a in range(0, batch.num_rows, TEXTS):
                 part = batch.slice(a, TEXTS)
@@ -247,7 +245,7 @@ def identify(docs: DataFrame, model: Model | None, id_col: str = "doc_id", text_
                 pred, score, entropy = ["und"] * n, np.zeros(n), np.zeros(n)
                 reject = np.ones(n, bool)
                 if m is not None:
-                    e, letters = _SCORERS[key].entropies(part.column(1).to_pylist())
+                    e, letters = scorer.entropies(part.column(1).to_pylist())
                     best, some = e.argmin(1), letters > 0
                     pred = [m.languages[b] if s else "und" for b, s in zip(best, some)]
                     score = np.where(some, _posterior(e, m.temperature).max(1), 0.0)

@@ -19,7 +19,7 @@ def vocabulary(name: str = VOCABULARY) -> tuple[str, str]:
 
 
 def op1_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bpe.encode_decode(table(spark, sf_dir, "documents"), *vocabulary(), digests_only=True).withColumnRenamed("id", "doc_id")
+    return bpe.encode_decode(table(spark, sf_dir, "documents"), *vocabulary(), returns=("n_tokens", "ids_sha256", "decoded_sha256")).withColumnRenamed("id", "doc_id")
 
 
 def op2_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -52,7 +52,7 @@ def test_bpe(spark, docs):
     assert len(got) == docs.count()
     for r in got:
         assert list(r.ids) == own.encode_ordinary(texts[r.id]) and bytes(r.decoded) == texts[r.id].encode()
-    for r in bpe.encode_decode(docs, path, pattern, digests_only=True).collect():
+    for r in bpe.encode_decode(docs, path, pattern, returns=("n_tokens", "ids_sha256", "decoded_sha256")).collect():
         ids = np.array(own.encode_ordinary(texts[r.id]), "<u4")
         assert (r.n_tokens, r.ids_sha256, r.decoded_sha256) == (len(ids), hashlib.sha256(ids.tobytes()).hexdigest(), hashlib.sha256(texts[r.id].encode()).hexdigest())
 
