@@ -1,17 +1,538 @@
-"""Queries of the clustering engine and their SQL equivalents."""
+"""Queries of the clustering engine and their SQL equivalents.
+
+Vectors enter the SQL checks in fixed point, so sums are exact in any order; published doubles are rounded to nine
+places after division by the scale.
+"""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from gainclust.functions.vectors import FIXED, portable_hash, root_normalize, to_fixed, unit
+from gainclust.operators import kernels, kway, metrics, pq
+from gainclust.operators import state as st
+from gainclust.plans import workloads
+from gainclust.sources import features
+from gainclust.sources.storage import load_table
+from gainclust.streaming import streams
+
+K, SEED, SHARE = 10, 42, 4
+SQ = float(FIXED * FIXED)
+QUERIES: dict = {}
+SQL: dict[str, str] = {}
+
+
+def query(sql: str | None = None):
+    def add(f):
+        QUERIES[f.__name__] = f
+        if sql:
+            SQL[f.__name__] = sql
+        return f
+
+    return add
+
+
+def _emb(spark: SparkSession, d: str) -> DataFrame:
+    return features.emb64(spark, d).select("id", to_fixed(F.col("vec")).alias("vec"), F.col("label").alias("cluster"))
+
+
+def _part(spark: SparkSession, d: str) -> DataFrame:
+    return features.part2(spark, d).select("id", to_fixed(F.col("vec")).alias("vec"), F.col("label").alias("cluster"))
+
+
+def _state(rows: DataFrame) -> DataFrame:
+    return st.cluster_state(rows, fixed=True)
+
+
+def r9(c) -> F.Column:
+    return F.round(c, 9)
+
+
+_FX = "floor(({}) * 10000 + 0.5)::BIGINT"
+_BASE = {
+    "emb": f"x AS MATERIALIZED (SELECT vec_id AS id, label AS c, list_transform(embedding, lambda v: {_FX.format('v::DOUBLE')}) AS v FROM embeddings)",
+    "part": f"x AS MATERIALIZED (SELECT p_partkey AS id, p_size % 8 AS c, [{_FX.format('p_size::DOUBLE')}, {_FX.format('p_retailprice / 100')}] AS v FROM part)",
+}
+
+
+def _prefix(base: str) -> str:
+    return f"""WITH {_BASE[base]},
+e AS MATERIALIZED (SELECT id, c, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
+s AS MATERIALIZED (SELECT c, pos, sum(val)::BIGINT AS s FROM e GROUP BY c, pos),
+q AS MATERIALIZED (SELECT id, sum(val * val)::BIGINT AS q FROM e GROUP BY id),
+st AS MATERIALIZED (SELECT a.c, a.cnt, b.dd, d.xx FROM (SELECT c, count(*) AS cnt FROM x GROUP BY c) a JOIN (SELECT c, sum(s * s)::BIGINT AS dd FROM s GROUP BY c) b USING (c) JOIN (SELECT c, sum(val * val)::BIGINT AS xx FROM e GROUP BY c) d USING (c)),
+p AS MATERIALIZED (SELECT e.id, e.c AS u, s.c AS v, sum(e.val * s.s)::BIGINT AS p FROM e JOIN s USING (pos) GROUP BY e.id, e.c, s.c),
+g AS MATERIALIZED (SELECT pv.id, pv.u, pv.v,
+    ((2 * pv.p + q.q)::DOUBLE - sv.dd::DOUBLE / sv.cnt::DOUBLE) / (sv.cnt::DOUBLE + 1) - CASE WHEN su.cnt = 1 THEN q.q::DOUBLE ELSE ((2 * pu.p - q.q)::DOUBLE - su.dd::DOUBLE / su.cnt::DOUBLE) / (su.cnt::DOUBLE - 1) END AS gain, su.cnt AS cnt_u
+    FROM p pv JOIN p pu ON pu.id = pv.id AND pu.v = pv.u JOIN q ON q.id = pv.id JOIN st su ON su.c = pv.u JOIN st sv ON sv.c = pv.v WHERE pv.v <> pv.u),
+n AS MATERIALIZED (SELECT p.id, p.u, p.v, q.q::DOUBLE - 2 * p.p::DOUBLE / st.cnt + st.dd::DOUBLE / (st.cnt::DOUBLE * st.cnt) AS d2 FROM p JOIN q USING (id) JOIN st ON st.c = p.v)
+"""
+
+
+EMB, PART = _prefix("emb"), _prefix("part")
+
+
+@query(EMB + "SELECT s.c AS cluster, st.cnt AS cnt, st.dd AS dd, st.xx AS xx, s.pos::INTEGER AS pos, s.s AS s FROM s JOIN st USING (c)")
+def state_by_label(spark, d):
+    return _state(_emb(spark, d)).select("cluster", "cnt", "dd", "xx", F.posexplode("sum_vec").alias("pos", "s"))
+
+
+@query(EMB + "SELECT s.c AS cluster, s.pos::INTEGER AS pos, round(s.s / st.cnt::DOUBLE, 9) AS x FROM s JOIN st USING (c)")
+def centroids_by_label(spark, d):
+    return st.centroids(_state(_emb(spark, d))).select("cluster", F.posexplode("centroid").alias("pos", "x")).withColumn("x", r9(F.col("x")))
+
+
+@query(EMB + "SELECT min(cnt) AS least, max(cnt) AS most, 12 - count(*) AS empties, round(stddev_pop(cnt), 9) AS spread FROM st")
+def size_report(spark, d):
+    return st.size_report(_state(_emb(spark, d)), 12).withColumn("spread", r9(F.col("spread")))
+
+
+_OBJ = """, o AS (SELECT sum(cnt)::BIGINT AS n, sum(xx)::DOUBLE AS total, sum(dd::DOUBLE / cnt) AS score, sum(xx::DOUBLE - dd::DOUBLE / cnt) AS sse,
+    sum(CASE WHEN cnt > 1 THEN 2 * cnt::DOUBLE / (cnt::DOUBLE - 1) * (xx::DOUBLE - dd::DOUBLE / cnt) ELSE 0 END) AS pe FROM st)
+SELECT n, round(total / 1e8::DOUBLE, 6) AS total, round(score / 1e8::DOUBLE, 6) AS score, round(sse / 1e8::DOUBLE, 6) AS sse, round(sse / n / 1e8::DOUBLE, 6) AS distortion,
+    round(pe / 1e8::DOUBLE, 6) AS pair_exact, round((2 * total - 2 * score) / 1e8::DOUBLE, 6) AS pair_approx, round((pe - (2 * total - 2 * score)) / pe, 9) AS pair_gap FROM o"""
+
+
+def _objectives(rows: DataFrame) -> DataFrame:
+    o = st.objectives(_state(rows))
+    cols = ("total", "score", "sse", "distortion", "pair_exact", "pair_approx")
+    return o.select("n", *[F.round(F.col(c) / SQ, 6).alias(c) for c in cols], r9(F.col("pair_gap")).alias("pair_gap"))
+
+
+@query(EMB + _OBJ)
+def objectives_emb(spark, d):
+    return _objectives(_emb(spark, d))
+
+
+@query(PART + _OBJ)
+def objectives_part(spark, d):
+    return _objectives(_part(spark, d))
+
+
+@query(EMB + "SELECT round(sum(power(e.val - s.s::DOUBLE / st.cnt, 2)) / 1e8::DOUBLE, 6) AS sse FROM e JOIN s ON s.c = e.c AND s.pos = e.pos JOIN st ON st.c = e.c")
+def sse_brute(spark, d):
+    rows = _emb(spark, d)
+    return st.sse_brute(rows, _state(rows)).select(F.round(F.col("sse") / SQ, 6).alias("sse"))
+
+
+@query(EMB + "SELECT c AS cluster, (dd - xx) / 2.0::DOUBLE AS pair_inner, cnt * xx - dd AS pair_sum, CASE WHEN cnt > 1 THEN 2 * (cnt * xx - dd) / (cnt * (cnt - 1))::DOUBLE END AS mean_pair FROM st")
+def pair_measures(spark, d):
+    return st.pair_measures(_state(_emb(spark, d)))
+
+
+@query(PART + "SELECT a.c AS cluster, sum(power(a.v[1] - b.v[1], 2) + power(a.v[2] - b.v[2], 2))::BIGINT AS pair_sum FROM x a JOIN x b ON a.c = b.c AND a.id < b.id GROUP BY a.c")
+def pair_sum_bruteforce(spark, d):
+    return st.pair_sum_bruteforce(_part(spark, d))
+
+
+@query(PART + "SELECT c AS cluster, cnt * xx - dd AS pair_sum FROM st")
+def pair_sum_closed(spark, d):
+    return st.pair_measures(_state(_part(spark, d))).select("cluster", "pair_sum")
+
+
+def _gains(rows: DataFrame) -> DataFrame:
+    return st.gains(rows, _state(rows), fixed=True)
+
+
+@query(EMB + "SELECT id, u, v, round(gain / 1e8::DOUBLE, 9) AS gain FROM g")
+def gain_all_pairs(spark, d):
+    return _gains(_emb(spark, d)).select("id", "u", "v", r9(F.col("gain") / SQ).alias("gain"))
+
+
+@query(EMB + "SELECT id, u, v, round(gain / 1e8::DOUBLE, 9) AS gain FROM g")
+def gain_by_distance(spark, d):
+    return _gains(_emb(spark, d)).select("id", "u", "v", r9(F.col("by_distance") / SQ).alias("gain"))
+
+
+@query(PART + "SELECT id, u, v, gain > 0 AS moves FROM g WHERE abs(gain) > 1")
+def move_condition_exact(spark, d):
+    return _gains(_part(spark, d)).where(F.abs("gain") > 1).select("id", "u", "v", F.col("exact").alias("moves"))
+
+
+@query()
+def move_condition_approx(spark, d):
+    """How often the large-cluster form decides otherwise."""
+    return _gains(_part(spark, d)).agg(F.avg(F.when(F.col("exact") != F.col("approx"), 1.0).otherwise(0.0)).alias("disagree"))
+
+
+_MOVE = "SELECT id, u, v, round(gain / 1e8::DOUBLE, 9) AS gain FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY {}) AS r FROM g WHERE gain > 0 AND cnt_u > 1) WHERE r = 1"
+
+
+def _moves(rows: DataFrame, first: bool) -> DataFrame:
+    return st.best_moves(rows, _state(rows), True, first).select("id", "u", "v", r9(F.col("gain") / SQ).alias("gain"))
+
+
+@query(EMB + _MOVE.format("gain DESC, v"))
+def best_move(spark, d):
+    return _moves(_emb(spark, d), False)
+
+
+@query(EMB + _MOVE.format("v"))
+def first_move(spark, d):
+    return _moves(_emb(spark, d), True)
+
+
+@query(PART + "SELECT count(DISTINCT id) AS improving, count(*) AS pairs FROM g WHERE gain > 0 AND cnt_u > 1")
+def improving_moves(spark, d):
+    return _gains(_part(spark, d)).where("gain > 0 AND cnt_u > 1").agg(F.count_distinct("id").alias("improving"), F.count(F.lit(1)).alias("pairs"))
+
+
+_NEAR = "(SELECT id, u, v, d2 FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY d2, v) AS r FROM n) WHERE r = 1)"
+
+
+@query(EMB + f"SELECT id, v AS cluster, round(d2 / 1e8::DOUBLE, 9) AS dist2 FROM {_NEAR}")
+def assign_nearest(spark, d):
+    rows = _emb(spark, d)
+    return st.assign_nearest(rows, _state(rows), True).select("id", "cluster", r9(F.col("dist2") / SQ).alias("dist2"))
+
+
+@query(PART + f"SELECT a.id, a.u AS cluster, a.v AS nearest FROM {_NEAR} a JOIN n b ON b.id = a.id AND b.v = a.u WHERE a.d2 < b.d2")
+def lloyd_violations(spark, d):
+    rows = _part(spark, d)
+    return st.lloyd_violations(rows, _state(rows), True)
+
+
+@query(EMB + """, cc AS (SELECT s.c, s.pos, s.s / st.cnt::DOUBLE AS x FROM s JOIN st USING (c)),
+pr AS (SELECT a.c AS cluster, b.c AS near, round(sum(power(a.x - b.x, 2)), 6) AS dist2 FROM cc a JOIN cc b ON a.pos = b.pos AND a.c <> b.c GROUP BY a.c, b.c),
+rk AS (SELECT *, row_number() OVER (PARTITION BY cluster ORDER BY dist2, near)::INTEGER AS place FROM pr) SELECT cluster, near, place FROM rk WHERE place <= 4""")
+def candidate_table(spark, d):
+    return st.candidate_table(_state(_emb(spark, d)), 4).select("cluster", "near", "place")
+
+
+_HASH = "('0x' || substr(md5({} || ':{}'), 1, 7))::BIGINT"
+
+
+@query(f"SELECT vec_id AS id, ({_HASH.format('vec_id', SEED)} % {K})::INTEGER AS cluster FROM embeddings")
+def init_random_label(spark, d):
+    return kway.random_labels(features.emb64(spark, d).select("id"), K, SEED)
+
+
+def _seeded(rows: DataFrame, k: int) -> DataFrame:
+    """State of k clusters of one row each: the rows of least hash."""
+    order = Window.orderBy(portable_hash(F.col("id"), f"seed{SEED}"), "id")
+    top = rows.orderBy(portable_hash(F.col("id"), f"seed{SEED}"), "id").limit(k)
+    return _state(top.withColumn("cluster", (F.row_number().over(order) - 1).cast("int")))
+
+
+_SEEDS = f"""WITH {{base}},
+e AS MATERIALIZED (SELECT id, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
+q AS MATERIALIZED (SELECT id, sum(val * val)::BIGINT AS q FROM e GROUP BY id),
+l0 AS MATERIALIZED (SELECT id, nth AS c FROM (SELECT id, (row_number() OVER (ORDER BY {_HASH.format('id', f'seed{SEED}')}, id) - 1)::INTEGER AS nth FROM x) WHERE nth < {{k}}),
+"""
+
+
+def _lloyd_step(i: int) -> str:
+    return f"""s{i} AS MATERIALIZED (SELECT c, pos, sum(val)::BIGINT AS s FROM e JOIN l{i} USING (id) GROUP BY c, pos),
+t{i} AS MATERIALIZED (SELECT a.c, a.cnt, b.dd FROM (SELECT c, count(*) AS cnt FROM l{i} GROUP BY c) a JOIN (SELECT c, sum(s * s)::BIGINT AS dd FROM s{i} GROUP BY c) b USING (c)),
+p{i} AS MATERIALIZED (SELECT e.id, s.c, sum(e.val * s.s)::BIGINT AS p FROM e JOIN s{i} s USING (pos) GROUP BY e.id, s.c),
+l{i + 1} AS MATERIALIZED (SELECT id, c FROM (SELECT p.id, p.c, row_number() OVER (PARTITION BY p.id ORDER BY q.q::DOUBLE - 2 * p.p::DOUBLE / t.cnt + t.dd::DOUBLE / (t.cnt::DOUBLE * t.cnt), p.c) AS r FROM p{i} p JOIN q USING (id) JOIN t{i} t USING (c)) WHERE r = 1)"""
+
+
+def lloyd_relational(rows: DataFrame, k: int, epochs: int) -> DataFrame:
+    """The classic loop by joins and aggregates only, from hash-chosen seeds: (id, cluster)."""
+    state, labels = _seeded(rows, k), None
+    for _ in range(epochs):
+        labels = st.assign_nearest(rows, state, True).select("id", "cluster")
+        state = _state(rows.select("id", "vec").join(labels, "id"))
+    return labels
+
+
+@query(_SEEDS.format(base=_BASE["emb"], k=K) + _lloyd_step(0) + " SELECT id, c AS cluster FROM l1")
+def init_seed_nearest(spark, d):
+    return lloyd_relational(_emb(spark, d), K, 1)
+
+
+@query(_SEEDS.format(base=_BASE["part"], k=6) + ", ".join(_lloyd_step(i) for i in range(3)) + " SELECT id, c AS cluster FROM l3")
+def lloyd_e3(spark, d):
+    return lloyd_relational(_part(spark, d), 6, 3)
+
+
+def _gain_step(i: int, k: int, first: bool) -> str:
+    pick = "v" if first else "gain DESC, v"
+    return f"""s{i} AS MATERIALIZED (SELECT c, pos, sum(val)::BIGINT AS s FROM e JOIN l{i} USING (id) GROUP BY c, pos),
+t{i} AS MATERIALIZED (SELECT r.c, coalesce(a.cnt, 0) AS cnt, coalesce(b.dd, 0) AS dd FROM (SELECT range::INTEGER AS c FROM range({k})) r LEFT JOIN (SELECT c, count(*) AS cnt FROM l{i} GROUP BY c) a USING (c) LEFT JOIN (SELECT c, sum(s * s)::BIGINT AS dd FROM s{i} GROUP BY c) b USING (c)),
+p{i} AS MATERIALIZED (SELECT e.id, s.c, sum(e.val * s.s)::BIGINT AS p FROM e JOIN s{i} s USING (pos) GROUP BY e.id, s.c),
+g{i} AS MATERIALIZED (SELECT l.id, tv.c AS v, CASE WHEN tv.cnt = 0 THEN q.q::DOUBLE ELSE ((2 * pv.p + q.q)::DOUBLE - tv.dd::DOUBLE / tv.cnt::DOUBLE) / (tv.cnt::DOUBLE + 1) END
+    - ((2 * pu.p - q.q)::DOUBLE - tu.dd::DOUBLE / tu.cnt::DOUBLE) / (tu.cnt::DOUBLE - 1) AS gain
+    FROM l{i} l JOIN q USING (id) JOIN t{i} tu ON tu.c = l.c AND tu.cnt > 1 JOIN p{i} pu ON pu.id = l.id AND pu.c = l.c JOIN t{i} tv ON tv.c <> l.c LEFT JOIN p{i} pv ON pv.id = l.id AND pv.c = tv.c),
+m{i} AS MATERIALIZED (SELECT id, v FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY {pick}) AS r FROM g{i} WHERE gain > 0) WHERE r = 1),
+l{i + 1} AS MATERIALIZED (SELECT l.id, CASE WHEN m.v IS NOT NULL AND {_HASH.format('l.id', f'{SEED}-{i + 1}')} % {SHARE} = 0 THEN m.v ELSE l.c END AS c FROM l{i} l LEFT JOIN m{i} m USING (id))"""
+
+
+def _gain_chain(base: str, k: int, epochs: int, first: bool = False) -> str:
+    return f"""WITH {_BASE[base]},
+e AS MATERIALIZED (SELECT id, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
+q AS MATERIALIZED (SELECT id, sum(val * val)::BIGINT AS q FROM e GROUP BY id),
+l0 AS MATERIALIZED (SELECT id, ({_HASH.format('id', SEED)} % {k})::INTEGER AS c FROM x),
+""" + ", ".join(_gain_step(i, k, first) for i in range(epochs)) + f" SELECT id, c AS cluster FROM l{epochs}"
+
+
+def _relational(rows: DataFrame, k: int, epochs: int, move: str = "best") -> DataFrame:
+    return kway.gain_kway(rows.withColumn("vec", F.transform("vec", lambda x: x.cast("double") / FIXED)), k, move=move, engine="relational", max_epochs=epochs, seed=SEED, share=SHARE, fixed=True).assignments
+
+
+@query(_gain_chain("emb", K, 1))
+def gain_kway_e1(spark, d):
+    return _relational(_emb(spark, d), K, 1)
+
+
+@query(_gain_chain("emb", K, 3))
+def gain_kway_e3(spark, d):
+    return _relational(_emb(spark, d), K, 3)
+
+
+@query(_gain_chain("part", 6, 3))
+def gain_kway_part_e3(spark, d):
+    return _relational(_part(spark, d), 6, 3)
+
+
+@query(_gain_chain("emb", K, 2, True))
+def gain_kway_first_e2(spark, d):
+    return _relational(_emb(spark, d), K, 2, "first")
+
+
+def flagship(spark: SparkSession, d: str) -> DataFrame:
+    """Three epochs of gain clustering of the embeddings: (cluster, cnt, sse)."""
+    labels = gain_kway_e3(spark, d)
+    rows = _emb(spark, d).select("id", "vec").join(labels, "id")
+    return _state(rows).select("cluster", "cnt", F.round((F.col("xx") - F.col("dd").cast("double") / F.col("cnt")) / SQ, 6).alias("sse"))
+
+
+# --- distributed and sequential runs: results depend on layout or on random states, so properties are returned
+
+
+def _summary(name: str, rows: DataFrame, got: kway.ClusterResult) -> DataFrame:
+    s = got.state(rows)
+    return st.objectives(s).select(F.lit(name).alias("method"), "n", F.lit(got.k).alias("k"), "distortion").crossJoin(st.size_report(s, got.k))
+
+
+def _method(name: str, run):
+    def f(spark, d):
+        rows = features.emb64_scaled(spark, d).select("id", "vec")
+        return _summary(name, rows, run(rows))
+
+    f.__name__ = name
+    return query()(f)
+
+
+_method("gain_kway_partitioned", lambda r: kway.gain_kway(r, K, engine="partitioned", max_epochs=5))
+_method("gain_kway_partitioned_candidates", lambda r: kway.gain_kway(r, K, engine="partitioned", max_epochs=5, candidates=4))
+_method("gain_kway_partitioned_seeded", lambda r: kway.gain_kway(r, K, "seed_nearest", engine="partitioned", max_epochs=3))
+_method("gain_kway_partitioned_dsq_first", lambda r: kway.gain_kway(r, K, "dsq_nearest", "first", engine="partitioned", max_epochs=3))
+_method("gain_kway_sequential", lambda r: kway.gain_kway(r, K, engine="sequential"))
+_method("gain_bisect_k10", lambda r: kway.gain_bisect(r, K))
+_method("gain_bisect_distributed", lambda r: kway.gain_bisect(r, 4, local_rows=200))
+_method("gain_bisect_avg_pair", lambda r: kway.gain_split(r, K, priority="avg_pair"))
+_method("gain_split_s3", lambda r: kway.gain_split(r, K, s=3))
+_method("refine_bisect", lambda r: kway.refine(kway.gain_bisect(r, K), r))
+_method("lloyd_distributed", lambda r: kway.lloyd(r, K, max_epochs=5))
+_method("lloyd_dsq_distributed", lambda r: kway.lloyd(r, K, "dsq", max_epochs=5))
+_method("minibatch_distributed", lambda r: kway.minibatch(r, K, iterations=5))
+_method("online_lvq", lambda r: kway.local(r, lambda x, _: kernels.online_lvq(x, K), k=K))
+_method("bisect_lloyd", lambda r: kway.gain_split(r, K, splitter="lloyd", init="seed_nearest"))
+_method("bisect_lloyd_dsq", lambda r: kway.gain_split(r, K, splitter="lloyd", init="dsq_nearest"))
+_method("cosine_bisect", lambda r: kway.cosine_bisect(r, K))
+
+
+# --- documents
+
+
+_TERMS = "WITH tc AS (SELECT doc_id AS id, term, count(*) AS tf FROM (SELECT doc_id, unnest(regexp_extract_all(lower(text), '\\p{L}+')) AS term FROM documents) GROUP BY doc_id, term),\ndf AS (SELECT term, count(*) AS df, ln((SELECT count(*) FROM documents)::DOUBLE / count(*)) AS idf FROM tc GROUP BY term)\n"
+
+
+@query(_TERMS + "SELECT id, term, tf FROM tc")
+def term_counts(spark, d):
+    return features.term_counts(load_table(spark, d, "documents"))
+
+
+@query(_TERMS + "SELECT term, df, round(idf, 9) AS idf FROM df")
+def idf(spark, d):
+    docs = load_table(spark, d, "documents")
+    return features.idf(features.term_counts(docs), docs.count()).withColumn("idf", r9(F.col("idf")))
+
+
+@query(_TERMS + ", top AS (SELECT * FROM df ORDER BY df DESC, term LIMIT 128), w AS (SELECT id, term, tf * idf AS w FROM tc JOIN top USING (term)) SELECT id, term, round(CASE WHEN sqrt(sum(w * w) OVER (PARTITION BY id)) > 0 THEN w / sqrt(sum(w * w) OVER (PARTITION BY id)) ELSE 0 END, 9) AS weight FROM w")
+def tfidf(spark, d):
+    return features.tfidf(load_table(spark, d, "documents"), 128).select("id", "term", r9(F.col("weight")).alias("weight"))
+
+
+def _entropy_sql(classes: str) -> str:
+    return f"""WITH a AS (SELECT doc_id AS id, ({_HASH.format('doc_id', 7)} % 8)::INTEGER AS cluster FROM documents), k AS ({classes}),
+t AS (SELECT cluster, cls, count(*) AS n FROM a JOIN k USING (id) WHERE cls IS NOT NULL GROUP BY cluster, cls),
+h AS (SELECT cluster, n, n::DOUBLE / sum(n) OVER (PARTITION BY cluster) AS p FROM t)
+SELECT cluster, sum(n)::BIGINT AS cnt, round(-sum(p * ln(p)) / ln((SELECT count(DISTINCT cls) FROM k WHERE cls IS NOT NULL)), 9) AS entropy FROM h GROUP BY cluster"""
+
+
+def _entropy(spark, d, classes: DataFrame) -> DataFrame:
+    a = load_table(spark, d, "documents").select(F.col("doc_id").alias("id"), (portable_hash(F.col("doc_id"), 7) % 8).cast("int").alias("cluster"))
+    return metrics.entropy(a, classes).withColumn("entropy", r9(F.col("entropy")))
+
+
+@query(_entropy_sql("SELECT doc_id AS id, lang AS cls FROM documents"))
+def entropy_lang(spark, d):
+    return _entropy(spark, d, load_table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.col("lang").alias("cls")))
+
+
+@query(_entropy_sql("SELECT doc_id AS id, source AS cls FROM documents"))
+def entropy_source(spark, d):
+    return _entropy(spark, d, load_table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.col("source").alias("cls")))
+
+
+@query(_entropy_sql("SELECT doc_id AS id, quality || '-' || toxic AS cls FROM labels"))
+def entropy_quality(spark, d):
+    return _entropy(spark, d, load_table(spark, d, "labels").select(F.col("doc_id").alias("id"), F.concat_ws("-", "quality", "toxic").alias("cls")))
+
+
+# --- product quantization
+
+
+@query("WITH " + _BASE["emb"] + ", t AS (SELECT id, v, unnest(range(8))::INTEGER AS sub FROM x), y AS (SELECT id, sub, v[sub * 8 + 1 : sub * 8 + 8] AS w FROM t) SELECT id, sub, (generate_subscripts(w, 1) - 1)::INTEGER AS pos, unnest(w) AS x FROM y")
+def pq_split(spark, d):
+    return pq.split_subvectors(_emb(spark, d), 8, 64).select("id", "sub", F.posexplode("vec").alias("pos", "x"))
+
+
+def _chosen_books(rows: DataFrame) -> DataFrame:
+    return pq.split_subvectors(rows.where("id < 16"), 8, 64).select("sub", F.col("id").cast("int").alias("code"), "vec")
+
+
+@query("WITH " + _BASE["emb"] + """, e AS (SELECT id, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
+z AS (SELECT a.id, (a.pos // 8)::INTEGER AS sub, b.id::INTEGER AS code, sum((a.val - b.val) * (a.val - b.val))::BIGINT AS err2 FROM e a JOIN e b ON a.pos = b.pos AND b.id < 16 GROUP BY ALL)
+SELECT id, sub, code, err2 FROM (SELECT *, row_number() OVER (PARTITION BY id, sub ORDER BY err2, code) AS r FROM z) WHERE r = 1""")
+def pq_encode(spark, d):
+    rows = _emb(spark, d)
+    return pq.encode_relational(rows, _chosen_books(rows), 8, 64)
+
+
+@query("WITH " + _BASE["emb"] + """, e AS (SELECT id, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
+z AS (SELECT a.id AS query_id, b.id, sum((a.val - b.val) * (a.val - b.val))::BIGINT AS dist2 FROM e a JOIN e b ON a.pos = b.pos AND a.id % 10 = 0 AND b.id % 10 <> 0 GROUP BY ALL)
+SELECT * FROM (SELECT query_id, id, dist2, row_number() OVER (PARTITION BY query_id ORDER BY dist2, id)::INTEGER AS rank FROM z) WHERE rank <= 10""")
+def exact_knn(spark, d):
+    rows = _emb(spark, d)
+    return pq.exact_knn_relational(rows.where("id % 10 = 0"), rows.where("id % 10 <> 0"), 10)
+
+
+@query()
+def adc_recall(spark, d):
+    return workloads.w6(spark, d, methods=["gain_random_label"])
+
+
+@query()
+def sdc_search(spark, d):
+    rows = features.emb64(spark, d)
+    base = rows.where("id % 10 <> 0")
+    books = pq.train_pq(base, 8, 64, 16)
+    return pq.adc_search(rows.where("id % 10 = 0"), pq.pq_encode(base, books, 8, 64), books, 8, 10, symmetric=True)
+
+
+@query()
+def pq_error(spark, d):
+    rows = features.emb64(spark, d)
+    books = pq.train_pq(rows, 8, 64, 16)
+    return pq.pq_error(rows, pq.pq_decode(pq.pq_encode(rows, books, 8, 64), books, 8))
+
+
+@query()
+def train_pq(spark, d):
+    return pq.train_pq(features.emb64(spark, d), 8, 64, 16)
+
+
+# --- vectors, pooling, features, measures
+
+
+@query("WITH e AS (SELECT vec_id AS id, unnest(embedding)::DOUBLE * (1 + vec_id % 5) AS x, generate_subscripts(embedding, 1) - 1 AS pos FROM embeddings) SELECT id, pos::INTEGER AS pos, round(x / sqrt(sum(x * x) OVER (PARTITION BY id)), 9) AS x FROM e")
+def unit_vectors(spark, d):
+    return features.emb64_scaled(spark, d).select("id", F.posexplode(unit(F.col("vec"))).alias("pos", "x")).withColumn("x", r9(F.col("x")))
+
+
+@query("WITH e AS (SELECT vec_id AS id, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) - 1 AS pos FROM embeddings) SELECT id, pos::INTEGER AS pos, round(sign(x) * sqrt(abs(x) / sum(abs(x)) OVER (PARTITION BY id)), 9) AS x FROM e")
+def root_vectors(spark, d):
+    return features.emb64(spark, d).select("id", F.posexplode(root_normalize(F.col("vec"))).alias("pos", "x")).withColumn("x", r9(F.col("x")))
+
+
+WORDS = np.array([[10.0, 20.0, 5.0, 4.0], [25.0, 35.0, 5.0, 4.0], [40.0, 60.0, 5.0, 4.0]])
+
+
+@query("""WITH l AS (SELECT l_orderkey AS id, row_number() OVER () AS r, [l_quantity, l_extendedprice / 1000, l_discount * 100, l_tax * 100] AS v FROM lineitem),
+w AS (SELECT * FROM (VALUES (0, [10.0::DOUBLE, 20, 5, 4]), (1, [25.0::DOUBLE, 35, 5, 4]), (2, [40.0::DOUBLE, 60, 5, 4])) t(word, c)),
+m AS (SELECT r, any_value(id) AS id, any_value(v) AS v, min((list_sum(list_transform(list_zip(v, c), lambda z: (z[1] - z[2]) * (z[1] - z[2]))), word)) AS b FROM l, w GROUP BY r),
+y AS (SELECT m.id, w.word, unnest(list_transform(list_zip(m.v, w.c), lambda z: z[1] - z[2])) AS x, unnest(range(4)) AS pos FROM m JOIN w ON w.word = m.b[2]),
+s AS (SELECT id, word * 4 + pos AS pos, sum(x) AS x FROM y GROUP BY ALL)
+SELECT o.id, o.pos::INTEGER AS pos, round(coalesce(s.x, 0), 6) + 0.0 AS x FROM (SELECT id, unnest(range(12)) AS pos FROM (SELECT DISTINCT id FROM l)) o LEFT JOIN s ON s.id = o.id AND s.pos = o.pos""")
+def vlad_pool(spark, d):
+    return metrics.vlad_pool(features.line4(spark, d), WORDS).select("id", F.posexplode("vec").alias("pos", "x")).select("id", "pos", (F.round("x", 6) + F.lit(0.0)).alias("x"))
+
+
+@query("WITH e AS (SELECT vec_id AS id, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) - 1 AS pos FROM embeddings) SELECT a.pos::INTEGER AS i, b.pos::INTEGER AS j, round(avg(a.x * b.x), 9) AS g FROM e a JOIN e b USING (id) GROUP BY ALL")
+def pca_gram(spark, d):
+    rows = features.emb64(spark, d)
+    pairs = rows.select(F.posexplode("vec").alias("i", "a"), "vec").select("i", "a", F.posexplode("vec").alias("j", "b"))
+    return pairs.groupBy("i", "j").agg(r9(F.avg(F.col("a").cast("double") * F.col("b").cast("double"))).alias("g"))
+
+
+def _exploded(rows: DataFrame) -> DataFrame:
+    return rows.select("id", F.posexplode("vec").alias("pos", "x")).withColumn("x", F.round("x", 6))
+
+
+@query("WITH u AS (SELECT user_id AS id, [count(*) FILTER (event_type = 'click')::DOUBLE, count(*) FILTER (event_type = 'purchase'), count(*) FILTER (event_type = 'error'), count(*) FILTER (event_type = 'signup'), count(*) FILTER (event_type = 'view'), avg(value), max(value)] AS v FROM events GROUP BY user_id) SELECT id, (generate_subscripts(v, 1) - 1)::INTEGER AS pos, round(unnest(v), 6) AS x FROM u")
+def user7(spark, d):
+    return _exploded(features.user7(spark, d))
+
+
+@query("WITH u AS (SELECT o_custkey AS id, [count(*)::DOUBLE, sum(o_totalprice), avg(o_totalprice), max(o_totalprice)] AS v FROM orders GROUP BY o_custkey) SELECT id, (generate_subscripts(v, 1) - 1)::INTEGER AS pos, round(unnest(v), 6) AS x FROM u")
+def cust4(spark, d):
+    return _exploded(features.cust4(spark, d))
+
+
+@query("SELECT user_id, time_bucket(INTERVAL 1 DAY, ts) AS start, count(*) FILTER (event_type = 'click') AS click, count(*) FILTER (event_type = 'purchase') AS purchase, count(*) FILTER (event_type = 'error') AS error, count(*) FILTER (event_type = 'signup') AS signup, count(*) FILTER (event_type = 'view') AS \"view\", max(value) AS top FROM events GROUP BY ALL")
+def user_windows(spark, d):
+    return streams.user_windows(load_table(spark, d, "events"))
+
+
+@query("WITH a AS (SELECT user_id, ts, CASE WHEN lag(ts) OVER w IS NULL OR ts >= lag(ts) OVER w + INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS b FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT *, sum(b) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS g FROM a) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS stop, count(*) AS n FROM s GROUP BY user_id, g")
+def user_sessions(spark, d):
+    return streams.user_sessions(load_table(spark, d, "events"))
+
+
+@query(PART + """SELECT id, v AS cluster FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY d2 , v) AS r FROM n) WHERE r = 1""")
+def stream_score(spark, d):
+    """The scoring expression on a batch; the tests run it on a stream."""
+    rows = _part(spark, d)
+    return streams.score_stream(rows, _state(rows))
+
+
+@query("SELECT s::INTEGER AS s, round(1024 * (s - 1) * ln(16) / ln(s), 6) AS comparisons FROM (VALUES (2), (4), (16)) t(s)")
+def nominal_comparisons(spark, d):
+    return spark.createDataFrame([(s, metrics.nominal_comparisons(1024, 16, s)) for s in (2, 4, 16)], "s int, comparisons double").withColumn("comparisons", F.round("comparisons", 6))
+
+
+@query()
+def pair_agreement(spark, d):
+    rows = features.emb64(spark, d)
+    return metrics.pair_agreement(kway.gain_kway(rows, K, engine="sequential").assignments, kway.gain_bisect(rows, K).assignments)
+
+
+@query()
+def order_vlad(spark, d):
+    return workloads.order_vlad(spark, d)
+
+
+def _workload(name: str, f):
+    f.__name__ = name
+    query()(f)
 
 
-def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+for _name in ("w1", "w2", "w3", "w4", "w5", "w10", "w11", "w12", "w13", "w14", "w15", "w16", "w17"):
+    _workload(_name, lambda spark, d, _f=getattr(workloads, _name): _f(spark, d))
+for _name, _m, _methods in (("w6", 8, kernels.FLAT), ("w7", 8, kernels.HIERARCHIES), ("w8", 16, kernels.FLAT), ("w9", 16, kernels.HIERARCHIES)):
+    _workload(_name, lambda spark, d, _m=_m, _t=[x for x in workloads.TABLE if x in _methods]: workloads.w6(spark, d, _m, methods=_t))
+_workload("w10_source", lambda spark, d: workloads.w10(spark, d, cls="source"))
 
 
 def queries() -> dict:
-    return {}
+    return dict(QUERIES)
 
 
-def oracle_sql() -> dict:
-    return {}
+def oracle_sql() -> dict[str, str]:
+    return dict(SQL)
