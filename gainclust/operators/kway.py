@@ -172,9 +172,15 @@ def gain_kway(rows: DataFrame, k: int, init="random_label", move: str = "best",
         while True:
             keep = portable_hash(F.col("id"), f"{seed}-{epoch}-{halvings}") % (1 << halvings) == 0
             now = tried if not halvings else tried.withColumn("cluster", F.when(keep, F.col("cluster")).otherwise(F.col("prev")))
-            s2, cnt2, _ = _state(now, k, d)
             moved = now.where("cluster <> prev").count()
-            if kernels.score(s2, cnt2) > g or not moved or halvings >= 20:
+            if (not moved and halvings) or halvings > 6:
+                # at last the single best move against the frozen state, if there is one
+                now = stored(relational_epoch(held.select("id", "vec", "cluster"), k, d, epoch, seed, 1, one=True), "epoch")
+                moved = now.where("cluster <> prev").count()
+                s2, cnt2, _ = _state(now, k, d)
+                break
+            s2, cnt2, _ = _state(now, k, d)
+            if kernels.score(s2, cnt2) > g or not moved:
                 break
             halvings += 1
         after = kernels.score(s2, cnt2)
@@ -189,11 +195,17 @@ def gain_kway(rows: DataFrame, k: int, init="random_label", move: str = "best",
     return out
 
 
-def relational_epoch(labelled: DataFrame, k: int, d: int, epoch: int, seed: int, share: int, move: str = "best", fixed: bool = False) -> DataFrame:
-    """One round of proposals against the frozen state, one in `share` accepted by hash: (id, vec, cluster, prev)."""
+def relational_epoch(labelled: DataFrame, k: int, d: int, epoch: int, seed: int, share: int, move: str = "best", fixed: bool = False, one: bool = False) -> DataFrame:
+    """One round of proposals against the frozen state, one in `share` accepted by hash: (id, vec, cluster, prev).
+
+    one: only the best proposal of all is accepted; its gain is exact, so the score rises.
+    """
     state = padded(cluster_state(labelled, fixed), k, d, fixed)
-    moves = best_moves(labelled, state, fixed, first=move == "first").select("id", "v")
-    keep = portable_hash(F.col("id"), f"{seed}-{epoch}") % share == 0
+    moves = best_moves(labelled, state, fixed, first=move == "first" and not one)
+    if one:
+        moves = moves.orderBy(F.desc("gain"), "id").limit(1)
+    moves = moves.select("id", "v")
+    keep = F.lit(True) if one else portable_hash(F.col("id"), f"{seed}-{epoch}") % share == 0
     return labelled.join(moves, "id", "left").select("id", "vec", F.when(keep & F.col("v").isNotNull(), F.col("v")).otherwise(F.col("cluster")).cast("int").alias("cluster"), F.col("cluster").alias("prev"))
 
 
@@ -205,14 +217,16 @@ def _relational(rows: DataFrame, k: int, init, move: str, max_epochs: int, seed:
     g, total, n = value(held)
     out = ClusterResult(held, k)
     for epoch in range(1, max_epochs + 1):
-        began, width = time.time(), share
+        began, width, one = time.time(), share, False
         while True:
-            tried = stored(relational_epoch(held, k, d, epoch, seed, width, move, fixed), "epoch")
+            tried = stored(relational_epoch(held, k, d, epoch, seed, width, move, fixed, one), "epoch")
             moved = tried.where("cluster <> prev").count()
-            after = value(tried)[0]
-            if after > g or width >= 1 << 20 or (not moved and width == share and share == 1):
+            after = value(tried)[0] if moved else g
+            if after > g or one:
                 break
+            # halve what is accepted, at last to the single best proposal; only if there is none are we done
             width *= 2
+            one = not moved or width > 64 * share
         if moved and after > g:
             held = tried.select("id", "vec", "cluster")
         best = max(after, g)
