@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from gainclust.llm.common import held_in_worker, trimmed
 
-CACHE_WORDS = 250_000
+CACHE_WORDS = 500_000  # words remembered per worker, in each of two generations; about 200 bytes a word
 CHUNK_BYTES = 1 << 19  # bytes of new words per recursive query
 TEXT_BYTES = 1 << 21  # bytes of text per step
 LONG = 255
@@ -58,12 +58,13 @@ LONG_STEP = """
 class Codec:
     """Merge table, word cache and the DuckDB connection of one Python worker."""
 
-    def __init__(self, vocabulary: bytes, pattern: str):
+    def __init__(self, vocabulary: bytes, pattern: str, cache_words: int = CACHE_WORDS):
         import duckdb
         import regex
 
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, vocabulary.splitlines()) if a}
         self.ranks, self.find = ranks, regex.compile(pattern).findall
+        self.cache_words = cache_words
         self.cache: dict[str, bytes] = {}  # ids as little-endian 32-bit
         self.old: dict[str, bytes] = {}
         self.byte_ids = np.array([ranks[bytes([i])] for i in range(256)], np.int32)
@@ -147,7 +148,7 @@ class Codec:
         words = [self.find(t) if t else [] for t in texts]
         every = set(chain.from_iterable(words))
         new = every.difference(self.cache)
-        if len(self.cache) + len(new) > CACHE_WORDS:
+        if len(self.cache) + len(new) > self.cache_words:
             # words used since the last change of generation survive
             self.old, self.cache, new = self.cache, {}, every
         if self.old:
@@ -183,16 +184,16 @@ class Codec:
         return out
 
 
-def codec(vocabulary: bytes, pattern: str) -> Codec:
+def codec(vocabulary: bytes, pattern: str, cache_words: int = CACHE_WORDS) -> Codec:
     """One codec per worker process; its cache outlives the task."""
-    return held_in_worker(hashlib.sha256(vocabulary + pattern.encode()).digest(), lambda: Codec(vocabulary, pattern))
+    return held_in_worker((hashlib.sha256(vocabulary + pattern.encode()).digest(), cache_words), lambda: Codec(vocabulary, pattern, cache_words))
 
 
 #: What encode_decode can return, by name.
 COLUMNS = {"n_tokens": "long", "ids": "array<int>", "decoded": "binary", "ids_sha256": "string", "decoded_sha256": "string"}
 
 
-def encode_decode(docs: DataFrame, vocabulary_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", returns: tuple[str, ...] = ("ids", "decoded")) -> DataFrame:
+def encode_decode(docs: DataFrame, vocabulary_path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", returns: tuple[str, ...] = ("ids", "decoded"), cache_words: int = CACHE_WORDS) -> DataFrame:
     """Rows of the id and the columns named in returns (see COLUMNS); every text is encoded and decoded again.
 
     The vocabulary file (about a megabyte, read on the driver) is broadcast; at most 16 MB are allowed.
@@ -204,7 +205,7 @@ def encode_decode(docs: DataFrame, vocabulary_path: str, pattern: str, id_col: s
     shared = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = codec(shared.value, pattern)
+        own = codec(shared.value, pattern, cache_words)
         for batch in batches:
             size = np.cumsum(batch.column(2).to_numpy(zero_copy_only=False))
             edge = np.searchsorted(size, np.arange(TEXT_BYTES, (size[-1] if len(size) else 0) + TEXT_BYTES, TEXT_BYTES), "right").tolist()

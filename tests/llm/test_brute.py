@@ -65,11 +65,8 @@ def test_bpe_words(spark):
     texts = ["".join(rnd.choices(alphabet, k=k)) for alphabet in ("ab", "aeiou", "the", "0123", ".-=", "éèa") for k in (1, 2, 3, 7, 30, 254, 255, 256, 700)]
     texts += ["<|endoftext|>", "\n\n\t x", "it's we'll", "  x", "".join(map(chr, range(1, 1500)))]
     assert [x.tolist() for x in own.encode(texts)] == [ref.encode_ordinary(t) for t in texts]
-    bpe.CACHE_WORDS, old = 10, bpe.CACHE_WORDS
-    try:
-        assert [x.tolist() for x in own.encode(texts)] == [ref.encode_ordinary(t) for t in texts]
-    finally:
-        bpe.CACHE_WORDS = old
+    own.cache_words = 10
+    assert [x.tolist() for x in own.encode(texts)] == [ref.encode_ordinary(t) for t in texts]
     with pytest.raises(ValueError):
         own.decode([np.array([60_000], "<u4")])
 
