@@ -216,7 +216,7 @@ def hierarchy(x: np.ndarray, k: int, splitter: str = "gain", init: str = "random
         raise ValueError(f"s = {s}, k = {k} of {len(x)} rows")
     names = np.full(len(x), 0)
     leaves = {0: (root, np.arange(len(x)))}
-    run, compared, rank, number = Run(names, k), 0, 0, 1
+    run, compared, per_pass, rank, number = Run(names, k), 0, 0, 0, 1
     queue: list = []
 
     def push(n: int) -> None:
@@ -238,7 +238,8 @@ def hierarchy(x: np.ndarray, k: int, splitter: str = "gain", init: str = "random
             got = gain_kway(x[rows], parts, init, "best", max_epochs, seed=own)
         else:
             got = lloyd(x[rows], parts, "dsq" if init == "dsq_nearest" else "random", max_epochs, own)
-        compared += len(rows) * (parts - 1)
+        compared += sum(h["comparisons"] for h in got.history)
+        per_pass += len(rows) * (parts - 1)  # what one pass over each split node costs
         present = np.unique(got.labels)
         if len(present) < 2:
             continue
@@ -253,7 +254,7 @@ def hierarchy(x: np.ndarray, k: int, splitter: str = "gain", init: str = "random
         names[rows] = label
     run.labels = names
     now = sse(x, names, k)
-    run.history.append({"epoch": 1, "moves": len(x), "score": float((x * x).sum()) - now, "sse": now, "distortion": now / max(len(x), 1), "comparisons": compared})
+    run.history.append({"epoch": 1, "moves": len(x), "score": float((x * x).sum()) - now, "sse": now, "distortion": now / max(len(x), 1), "comparisons": compared, "per_pass": per_pass})
     return run
 
 

@@ -269,7 +269,7 @@ def gain_split(rows: DataFrame, k: int, s: int = 2, init: str = "random_label",
         parts = min(s, k - len(sizes) + 1)
         part = held.where(F.col("node") == node)
         got = gain_kway(part, parts, init, engine="partitioned", seed=kernels._node_seed(seed, node) % (1 << 31))
-        compared += sizes[node] * (parts - 1)
+        compared += sum(h["comparisons"] for h in got.history)
         labels = got.assignments.withColumnRenamed("cluster", "part")
         held = stored(held.join(labels, "id", "left").select("id", "vec", F.when(F.col("part").isNotNull(), F.concat(F.lit(f"{node}."), F.col("part").cast("string"))).otherwise(F.col("node")).alias("node")), "nodes")
         found = {r.node: r.n for r in held.where(F.col("node").startswith(f"{node}.")).groupBy("node").agg(F.count(F.lit(1)).alias("n")).collect()}
