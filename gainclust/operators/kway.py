@@ -21,10 +21,12 @@ from pyspark.sql import functions as F
 
 from gainclust.functions.vectors import dimension, portable_hash, to_fixed
 from gainclust.operators import kernels
+from gainclust.operators.seeding import seed_dsq_oversampled
 from gainclust.operators.state import MAX_STATE_BYTES, best_moves, cluster_state, padded
 from gainclust.sources.storage import stored
 
 LOCAL_ROWS = 200_000
+SEEDS_A_PASS = 16
 
 
 @dataclass
@@ -83,11 +85,15 @@ def seeds(rows: DataFrame, k: int, how: str, seed: int = 42) -> list[list[float]
     if how == "random":
         return [r.vec for r in rows.orderBy(h, "id").select("vec").limit(k).collect()]
     out = [rows.orderBy(h, "id").select("vec").first().vec]
+    held, done = rows.select("id", "vec", F.lit(float("inf")).alias("d2")), 0
     while len(out) < k:
-        shared = np.array(out, np.float64)
-        near = F.least(*[_gap(v) for v in shared]) if len(shared) > 1 else _gap(shared[0])
+        # distances to older seeds are written down, so the plan and the work of a pass stay bounded
+        near = F.least("d2", *[_gap(v) for v in np.array(out[done:], np.float64)])
+        if len(out) - done >= SEEDS_A_PASS:
+            held, done = stored(held.withColumn("d2", near), "seeds"), len(out)
+            near = F.col("d2")
         u = (portable_hash(F.col("id"), f"race{seed}-{len(out)}") + 1) / F.lit(float(1 << 28))
-        row = rows.select("id", "vec", near.alias("d2")).where("d2 > 0").select(F.min(F.struct((-F.log(u) / F.col("d2")).alias("race"), "id", "vec")).alias("m")).first()
+        row = held.select("id", "vec", near.alias("d2")).where("d2 > 0").select(F.min(F.struct((-F.log(u) / F.col("d2")).alias("race"), "id", "vec")).alias("m")).first()
         if row is None or row.m is None:
             break
         out.append(row.m.vec)
@@ -119,6 +125,8 @@ def initial(rows: DataFrame, k: int, init, seed: int = 42) -> DataFrame:
         return rows.join(init.select("id", F.col("cluster").cast("int").alias("cluster")), "id")
     if init == "random_label":
         return random_labels(rows, k, seed)
+    if init == "dsq_oversampled":
+        return nearest_labels(rows, seed_dsq_oversampled(rows, k, seed=seed))
     if init in ("seed_nearest", "dsq_nearest"):
         return nearest_labels(rows, np.array(seeds(rows, k, "random" if init == "seed_nearest" else "dsq", seed), np.float64))
     raise ValueError(f"unknown start {init!r}")
@@ -349,7 +357,8 @@ def lloyd(rows: DataFrame, k: int, seeding: str = "random", max_epochs: int = 30
     """The classic loop, distributed: broadcast centroids, nearest labels, sums by cluster."""
     rows = stored(_doubles(rows), "rows")
     d, n = dimension(rows), rows.count()
-    c = np.array(seeds(rows, k, seeding, seed), np.float64)
+    c = seed_dsq_oversampled(rows, k, seed=seed) if seeding == "dsq_oversampled" else np.array(seeds(rows, k, seeding, seed), np.float64)
+    k = len(c)  # fewer where there are fewer different rows
     out = ClusterResult(rows, k)
     before = None
     for epoch in range(1, max_epochs + 1):
@@ -378,3 +387,47 @@ def minibatch(rows: DataFrame, k: int, fraction: float = 0.10, iterations: int =
         c[hit] = (seen[hit, None] * c[hit] + s[hit]) / (seen + cnt)[hit, None]
         seen += cnt
     return ClusterResult(nearest_labels(rows, c).select("id", "cluster"), k)
+
+
+def restarts(rows: DataFrame, method: str, k: int, runs: int = 10, by: str = "distortion", classes: DataFrame | None = None, seed: int = 1000) -> tuple[DataFrame, ClusterResult]:
+    """Runs of a sequential method that differ by seed, each a task: their values (run, value), and the best run.
+
+    by: distortion, or entropy against classes (id, cls). The rows are broadcast, so more than LOCAL_ROWS are refused.
+    """
+    if by not in ("distortion", "entropy") or (by == "entropy") != (classes is not None):
+        raise ValueError("by is distortion, or entropy with classes")
+    n = rows.count()
+    if n > LOCAL_ROWS:
+        raise ValueError(f"{n} rows are too many for one task ({LOCAL_ROWS})")
+    spark = rows.sparkSession
+    data = rows.select("id", "vec") if classes is None else rows.select("id", "vec").join(classes.select("id", "cls"), "id", "left")
+    got = data.orderBy("id").toArrow()  # bounded above
+    cls = None if classes is None else np.unique([str(x) if x is not None else "" for x in got["cls"].to_pylist()], return_inverse=True)
+    known = None if classes is None else np.array([x is not None for x in got["cls"].to_pylist()])
+    shared = spark.sparkContext.broadcast((_matrix(got["vec"].combine_chunks()), None if cls is None else cls[1], known))
+
+    def each(frames):
+        x, code, some = shared.value
+        for f in frames:
+            values = []
+            for r in f["run"]:
+                run = kernels.METHODS[method](x, k, seed + int(r))
+                values.append(kernels.sse(x, run.labels, run.k) / len(x) if code is None else _entropy(run.labels[some], code[some]))
+            yield f.assign(value=values)
+
+    values = stored(spark.range(runs).select(F.col("id").cast("int").alias("run")).repartition(runs, "run").mapInPandas(each, "run int, value double"), "runs")
+    best = values.orderBy("value", "run").first().run
+    x = shared.value[0]
+    run = kernels.METHODS[method](x, k, seed + best)
+    labels = spark.createDataFrame(pa.table({"id": got["id"], "cluster": pa.array(run.labels.astype(np.int32))}))
+    return values, ClusterResult(labels, run.k, run.history, run.nodes)
+
+
+def _entropy(labels: np.ndarray, code: np.ndarray) -> float:
+    kinds, code = np.unique(code, return_inverse=True)
+    t = np.zeros((labels.max(initial=0) + 1, max(len(kinds), 1)))
+    np.add.at(t, (labels, code), 1)
+    t = t[t.sum(1) > 0]
+    p = t / t.sum(1, keepdims=True)
+    h = -(p * np.log(np.where(p > 0, p, 1))).sum(1)
+    return float((t.sum(1) * h).sum() / max(t.sum(), 1) / np.log(max(len(kinds), 2)))

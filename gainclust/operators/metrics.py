@@ -52,6 +52,22 @@ def speedup(runs: DataFrame, baseline: str, value: str = "seconds") -> DataFrame
     return runs.groupBy("method").agg(F.avg(value).alias("a")).crossJoin(F.broadcast(base)).select("method", (F.col("b") / F.col("a")).alias("ratio"))
 
 
+def result_cube(runs: DataFrame, dims: list[str], value: str) -> DataFrame:
+    """Mean, least and most of a measure for every combination of the dimensions and for all totals (null there)."""
+    return runs.cube(*dims).agg(F.grouping_id().cast("int").alias("level"), F.avg(value).alias("mean"), F.min(value).alias("least"), F.max(value).alias("most"), F.count(F.lit(1)).alias("runs"))
+
+
+def result_table(runs: DataFrame, row: str, column: str, value: str, columns: list) -> DataFrame:
+    """Methods by parameter, as the tables of an experiment are printed."""
+    return runs.groupBy(row).pivot(column, columns).agg(F.avg(value))
+
+
+def best_so_far(history: DataFrame, value: str = "distortion") -> DataFrame:
+    """Per epoch of a method: the gain over the epoch before, and the least value up to there."""
+    w = Window.partitionBy("method").orderBy("epoch")
+    return history.select("method", "epoch", value, (F.lag(value).over(w) - F.col(value)).alias("gained"), F.min(value).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("best"))
+
+
 def pair_agreement(a: DataFrame, b: DataFrame) -> DataFrame:
     """Adjusted Rand index of two clusterings from their contingency counts."""
     t = a.select("id", F.col("cluster").alias("a")).join(b.select("id", F.col("cluster").alias("b")), "id").groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"))

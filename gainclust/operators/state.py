@@ -127,8 +127,39 @@ def lloyd_violations(rows: DataFrame, state: DataFrame, fixed: bool = False) ->
     return own.select("id", "cluster", d2.alias("own2")).join(near, "id").where("dist2 < own2").select("id", "cluster", "nearest")
 
 
+def appendix_terms(rows: DataFrame, state: DataFrame, fixed: bool = False) -> DataFrame:
+    """(id, cluster, mu, delta) for every row and cluster, the row left out of its own: mu is the cluster's squared sum
+    over n (n + 1), delta the mean inner product with its rows; null for a cluster without other rows."""
+    kind = "long" if fixed else "double"
+    x = rows.select("id", "vec", F.col("cluster").alias("u"), norm2(F.col("vec"), kind).alias("q")).crossJoin(F.broadcast(state.select("cluster", "cnt", "sum_vec", "dd")))
+    x = x.withColumn("p", dot(F.col("vec"), F.col("sum_vec"), kind))
+    own = F.col("u") == F.col("cluster")
+    n = F.when(own, F.col("cnt") - 1).otherwise(F.col("cnt")).cast("double")
+    dd = F.when(own, F.col("dd") - 2 * F.col("p") + F.col("q")).otherwise(F.col("dd")).cast("double")
+    p = F.when(own, F.col("p") - F.col("q")).otherwise(F.col("p")).cast("double")
+    return x.select("id", "cluster", F.when(n > 0, dd / (n * (n + 1))).alias("mu"), F.when(n > 0, p / n).alias("delta"))
+
+
+def row_candidates(rows: DataFrame, state: DataFrame, k0: int, fixed: bool = False) -> DataFrame:
+    """(id, cluster, place): per row the k0 clusters it would win most in, ties to the lower; its own counts like any other.
+
+    The state is one broadcast row, so nothing is shuffled and no pair leaves its row's task.
+    """
+    kind = "long" if fixed else "double"
+    every = state.where("cnt > 0").agg(F.array_sort(F.collect_list(F.struct("cluster", "cnt", "sum_vec", "dd"))).alias("every"))
+    q = norm2(F.col("vec"), kind)
+    won = lambda s: ((2 * dot(F.col("vec"), s["sum_vec"], kind) + q).cast("double") - s["dd"].cast("double") / s["cnt"]) / (s["cnt"].cast("double") + 1)
+    ranked = F.slice(F.array_sort(F.transform("every", lambda s: F.struct((-won(s)).alias("loss"), s["cluster"].alias("cluster")))), 1, k0)
+    return rows.crossJoin(F.broadcast(every)).select("id", F.posexplode(ranked).alias("pos", "c")).select("id", "c.cluster", (F.col("pos") + 1).alias("place"))
+
+
+def moved(before: DataFrame, after: DataFrame) -> DataFrame:
+    """(id, cluster) of the rows whose label is not what it was."""
+    return after.select("id", "cluster").exceptAll(before.select("id", "cluster"))
+
+
 def candidate_table(state: DataFrame, k0: int) -> DataFrame:
-    """(cluster, near, place): the k0 nearest other centroids of each cluster."""
+    """(cluster, near, place, dist2): the k0 nearest other centroids of each cluster."""
     c = centroids(state.where("cnt > 0"))
     a, b = c.alias("a"), c.alias("b")
     d2 = F.aggregate(F.zip_with("a.centroid", "b.centroid", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from gainclust.functions.vectors import portable_hash, unit
@@ -62,10 +62,18 @@ def idf(counts: DataFrame, n_docs: int) -> DataFrame:
     return counts.groupBy("term").agg(F.count(F.lit(1)).alias("df")).withColumn("idf", F.log(F.lit(float(n_docs)) / F.col("df")))
 
 
+def without_tags(html: Column) -> Column:
+    """Markup replaced by spaces; null stays null."""
+    return F.regexp_replace(html, "<[^>]*>", " ")
+
+
 def tfidf(docs: DataFrame, vocab: int = 512, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Long form (id, slot, term, weight), unit length per document; documents without a known term have no row."""
+    """Long form (id, slot, term, weight), unit length per document; documents without a known term have no row.
+
+    Rows of one id (the turns of a conversation) make one document.
+    """
     counts = term_counts(docs, id_col, text_col)
-    top = idf(counts, docs.count()).orderBy(F.desc("df"), "term").limit(vocab)  # bounded by vocab
+    top = idf(counts, docs.select(id_col).distinct().count()).orderBy(F.desc("df"), "term").limit(vocab)  # bounded by vocab
     top = top.withColumn("slot", F.row_number().over(Window.orderBy(F.desc("df"), "term")) - 1)
     raw = counts.join(F.broadcast(top), "term").withColumn("w", F.col("tf") * F.col("idf"))
     norm = F.sqrt(F.sum(F.col("w") * F.col("w")).over(Window.partitionBy("id")))

@@ -7,12 +7,38 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def load_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def load_rows(spark: SparkSession, path: str, form: str = "parquet", id_col: str = "id", vec_col: str = "vec", **options) -> DataFrame:
+    """(id, vec) from Parquet, ORC, JSON, CSV or text files; in the last two the vector is written as [1.0, 2.0].
+
+    A text line is an id, a tab and the vector. A vector that cannot be read is null, for validate() to judge.
+    """
+    if form in ("parquet", "orc"):
+        raw = spark.read.format(form).options(**options).load(path)
+    elif form == "json":
+        raw = spark.read.schema(f"`{id_col}` long, `{vec_col}` array<double>").options(**options).json(path)
+    elif form == "csv":
+        raw = spark.read.options(**({"header": "true"} | options)).csv(path)
+    elif form == "text":
+        cut = F.split("value", "\t", 2)
+        raw = spark.read.options(**options).text(path).select(F.try_element_at(cut, F.lit(1)).alias(id_col), F.try_element_at(cut, F.lit(2)).alias(vec_col))
+    else:
+        raise ValueError(f"unknown format {form!r}")
+    vec = F.from_json(vec_col, "array<double>") if form in ("csv", "text") else F.col(vec_col)
+    return raw.select(F.col(id_col).try_cast("long").alias("id"), F.transform(vec, lambda x: x.cast("double")).alias("vec"))
+
+
+def write_bucketed(assignments: DataFrame, table: str, buckets: int) -> None:
+    """A table bucketed by id, so that later joins on id need no shuffle."""
+    assignments.write.mode("overwrite").bucketBy(buckets, "id").sortBy("id").format("parquet").saveAsTable(table)
+
+
 def shared_dir(spark: SparkSession) -> str:
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:

@@ -2,10 +2,16 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from gainclust.functions.vectors import dot, norm2
+from gainclust.operators import kway
 
 
 def score_stream(stream: DataFrame, state: DataFrame) -> DataFrame:
@@ -41,6 +47,78 @@ class Absorber:
         absorb(batch, state).write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
 
 
+class Refresher:
+    """foreachBatch sink: keeps the rows, and every `every` batches refines the labels of all of them by gain moves.
+
+    Folder rows/batch=i holds the rows of a batch, labels/batch=i the labels after it; a replayed batch writes the same
+    folders again. Start: labels of the first batch by `k` random labels.
+    """
+
+    def __init__(self, path: str, k: int, every: int = 10, max_epochs: int = 5, seed: int = 42):
+        self.path, self.k, self.every, self.max_epochs, self.seed = path, k, every, max_epochs, seed
+
+    def __call__(self, batch: DataFrame, batch_id: int) -> None:
+        spark = batch.sparkSession
+        batch.select("id", "vec").write.mode("overwrite").parquet(f"{self.path}/rows/batch={batch_id}")
+        if (batch_id + 1) % self.every:
+            return
+        rows = spark.read.parquet(*[f"{self.path}/rows/batch={i}" for i in range(batch_id + 1)])
+        start = kway.random_labels(rows.select("id"), self.k, self.seed)
+        if batch_id >= self.every:
+            known = spark.read.parquet(f"{self.path}/labels/batch={batch_id - self.every}").withColumnRenamed("cluster", "old")
+            start = start.join(known, "id", "left").select("id", F.coalesce("old", "cluster").alias("cluster"))
+        got = kway.gain_kway(rows, self.k, start, max_epochs=self.max_epochs, seed=self.seed)
+        got.assignments.write.mode("overwrite").parquet(f"{self.path}/labels/batch={batch_id}")
+
+
+PROFILE = "user_id long, n long, sum_vec array<double>"
+
+
+def profiles(stream: DataFrame, d: int, idle_ms: int = 86_400_000) -> DataFrame:
+    """Running (user_id, n, sum_vec) of a stream (user_id, vec): one state row per user, forgotten after idle_ms without rows."""
+
+    def update(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        n, total = state.get if state.exists else (0, [0.0] * d)
+        total = np.asarray(total, float)
+        for f in frames:
+            n += len(f)
+            total = total + np.stack(f["vec"].to_numpy()).astype(float).sum(0)
+        state.update((n, total.tolist()))
+        state.setTimeoutDuration(idle_ms)
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "sum_vec": [total.tolist()]})
+
+    return stream.groupBy("user_id").applyInPandasWithState(update, PROFILE, "n long, sum_vec array<double>", "update", GroupStateTimeout.ProcessingTimeTimeout)
+
+
+MAX_VERSIONS = 100_000
+
+
+def as_of(rows: DataFrame, versions: DataFrame) -> DataFrame:
+    """Rows with the version (version, since) in force at their ts; rows before the first have none.
+
+    Versions are turned into intervals that do not overlap, checked to be few, and broadcast: one match a row.
+    """
+    n = versions.count()
+    if n > MAX_VERSIONS:
+        raise ValueError(f"{n} versions are too many to broadcast")
+    spans = versions.select("version", "since", F.lead("since").over(Window.orderBy("since", "version")).alias("until"))
+    return rows.join(F.broadcast(spans), (F.col("ts") >= F.col("since")) & (F.col("until").isNull() | (F.col("ts") < F.col("until"))), "left").drop("since", "until")
+
+
+def followed_by(events: DataFrame, first: str, then: str, within: str = "1 hour", late: str = "2 hours") -> DataFrame:
+    """(user_id, first_id, then_id): events of one kind and those of another by the same user up to `within` later.
+
+    On a stream both sides carry the watermark, so state older than both bounds is dropped.
+    """
+    side = lambda kind, p: events.where(F.col("event_type") == kind).select("user_id", F.col("event_id").alias(f"{p}_id"), F.col("ts").alias(f"{p}_ts")).withWatermark(f"{p}_ts", late)
+    a, b = side(first, "first").alias("a"), side(then, "then").alias("b")
+    near = (F.col("then_ts") >= F.col("first_ts")) & (F.col("then_ts") <= F.col("first_ts") + F.expr(f"INTERVAL {within}"))
+    return a.join(b, (F.col("a.user_id") == F.col("b.user_id")) & near).select("a.user_id", "first_id", "then_id")
+
+
 def user_windows(events: DataFrame, width: str = "1 day", slide: str | None = None, late: str = "2 hours") -> DataFrame:
     """Event counts per user and window (tumbling, or sliding if slide is given); later rows are dropped by the watermark."""
     w = F.window("ts", width, slide) if slide else F.window("ts", width)
