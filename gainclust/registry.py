@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from gainclust.functions.vectors import FIXED, portable_hash, root_normalize, to_fixed, unit
-from gainclust.operators import kernels, kway, metrics, pq
+from gainclust.operators import external, kernels, kway, metrics, pq
 from gainclust.operators import state as st
 from gainclust.plans import workloads
 from gainclust.sources import features
@@ -517,6 +517,199 @@ def pair_agreement(spark, d):
 def order_vlad(spark, d):
     return workloads.order_vlad(spark, d)
 
+# --- seeds by squared distance, appendix averages, candidates, changes of labels
+
+
+def _race_sql(base: str, k: int) -> str:
+    """Seeds z{k} (c, id, v): the row of least hash, then k - 1 exponential races by squared distance."""
+    gap = "list_sum(list_transform(list_zip(x.v, z.v), lambda w: (w[1] - w[2]) * (w[1] - w[2])))::DOUBLE"
+    parts = [f"z1 AS MATERIALIZED (SELECT 0 AS c, id, v FROM x ORDER BY {_HASH.format('id', f'seed{SEED}')}, id LIMIT 1)"]
+    for i in range(1, k):
+        u = f"({_HASH.format('x.id', f'race{SEED}-{i}')} + 1)::DOUBLE / 268435456"
+        parts.append(f"r{i} AS MATERIALIZED (SELECT x.id, any_value(x.v) AS v, min({gap}) AS d2 FROM x, z{i} z GROUP BY x.id)")
+        parts.append(f"z{i + 1} AS MATERIALIZED (SELECT * FROM z{i} UNION ALL (SELECT {i}, x.id, x.v FROM r{i} x WHERE d2 > 0 ORDER BY -ln({u}) / d2, x.id LIMIT 1))")
+    return f"WITH {_BASE[base]}, " + ", ".join(parts)
+
+
+_DSQ = _race_sql("part", 4) + """, l0 AS MATERIALIZED (SELECT id, c FROM z4),
+e AS MATERIALIZED (SELECT id, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
+q AS MATERIALIZED (SELECT id, sum(val * val)::BIGINT AS q FROM e GROUP BY id), """
+
+
+def _dsq_state(rows: DataFrame, k: int) -> DataFrame:
+    """State of k clusters of one row each, the seeds of the race (k vectors)."""
+    found = kway.seeds(rows, k, "dsq", SEED)
+    seeds = rows.sparkSession.createDataFrame([(i, v, i) for i, v in enumerate(found)], "id long, vec array<long>, cluster int")
+    return _state(seeds)
+
+
+def _lloyd_dsq(rows: DataFrame, k: int, epochs: int) -> DataFrame:
+    state, labels = _dsq_state(rows, k), None
+    for _ in range(epochs):
+        labels = st.assign_nearest(rows, state, True).select("id", "cluster")
+        state = _state(rows.select("id", "vec").join(labels, "id"))
+    return labels
+
+
+@query(_DSQ + _lloyd_step(0) + " SELECT id, c AS cluster FROM l1")
+def init_dsq_nearest(spark, d):
+    return _lloyd_dsq(_part(spark, d), 4, 1)
+
+
+@query(_DSQ + ", ".join(_lloyd_step(i) for i in range(3)) + " SELECT id, c AS cluster FROM l3")
+def lloyd_dsq_e3(spark, d):
+    return _lloyd_dsq(_part(spark, d), 4, 3)
+
+
+@query(EMB + """, a AS (SELECT p.id, p.v AS cluster, (st.cnt - CASE WHEN p.u = p.v THEN 1 ELSE 0 END)::DOUBLE AS n,
+    CASE WHEN p.u = p.v THEN st.dd - 2 * p.p + q.q ELSE st.dd END::DOUBLE AS dd, CASE WHEN p.u = p.v THEN p.p - q.q ELSE p.p END::DOUBLE AS p FROM p JOIN q USING (id) JOIN st ON st.c = p.v)
+SELECT id, cluster, round(CASE WHEN n > 0 THEN dd / (n * (n + 1)) END, 5) AS mu, round(CASE WHEN n > 0 THEN p / n END, 5) AS delta FROM a""")
+def appendix_terms(spark, d):
+    """In fixed point, unscaled: quotients of small integers scaled down would end in halves at the last place."""
+    rows = _emb(spark, d)
+    return st.appendix_terms(rows, _state(rows), True).select("id", "cluster", F.round("mu", 5).alias("mu"), F.round("delta", 5).alias("delta"))
+
+
+@query(EMB + """, cc AS (SELECT s.c, s.pos, s.s / st.cnt::DOUBLE AS x FROM s JOIN st USING (c))
+SELECT a.c AS cluster, b.c AS near, round(sum(power(a.x - b.x, 2)), 3) AS dist2 FROM cc a JOIN cc b ON a.pos = b.pos AND a.c <> b.c GROUP BY a.c, b.c""")
+def centroid_graph(spark, d):
+    return st.candidate_table(_state(_emb(spark, d)), K).select("cluster", "near", F.round("dist2", 3).alias("dist2"))
+
+
+@query(EMB + """, w AS (SELECT p.id, p.v, ((2 * p.p + q.q)::DOUBLE - st.dd::DOUBLE / st.cnt) / (st.cnt::DOUBLE + 1) AS won FROM p JOIN q USING (id) JOIN st ON st.c = p.v),
+r AS (SELECT id, v AS cluster, row_number() OVER (PARTITION BY id ORDER BY won DESC, v)::INTEGER AS place FROM w) SELECT * FROM r WHERE place <= 4""")
+def row_candidates(spark, d):
+    rows = _emb(spark, d)
+    return st.row_candidates(rows, _state(rows), 4, True)
+
+
+@query(_gain_chain("part", 6, 2).replace(" SELECT id, c AS cluster FROM l2", " SELECT id, c AS cluster FROM l2 EXCEPT SELECT id, c FROM l1"))
+def moved_between_epochs(spark, d):
+    rows = _part(spark, d)
+    return st.moved(_relational(rows, 6, 1), _relational(rows, 6, 2))
+
+
+# --- measures over runs, on groups of the given tables
+
+
+def _drift_rows(spark, d) -> DataFrame:
+    return load_table(spark, d, "events").select("event_id", "ts", F.col("event_type").alias("method"), F.col("event_id").alias("epoch"), ((F.col("value") - 1) * (F.col("value") - 1)).alias("dist2"), F.col("value").alias("distortion"))
+
+
+@query("SELECT label::VARCHAR AS method, count(*) AS runs, " + ", ".join(f"round(quantile_cont(embedding[1]::DOUBLE, {q}), 9) AS {c}" for q, c in ((0, "least"), (0.25, "q1"), (0.5, "median"), (0.75, "q3"), (1, "most"))) + " FROM embeddings GROUP BY label")
+def run_summary(spark, d):
+    runs = load_table(spark, d, "embeddings").select(F.col("label").cast("string").alias("method"), F.col("embedding")[0].cast("double").alias("distortion"))
+    return metrics.run_summary(runs).select("method", "runs", *[r9(F.col(c)).alias(c) for c in ("least", "q1", "median", "q3", "most")])
+
+
+@query("SELECT p_brand AS method, round(regr_slope(ln(p_retailprice), ln(p_size::DOUBLE)), 6) AS slope FROM part GROUP BY p_brand")
+def time_slope(spark, d):
+    return metrics.growth(load_table(spark, d, "part").withColumnRenamed("p_brand", "method"), "p_size", "p_retailprice").withColumn("slope", F.round("slope", 6))
+
+
+@query("SELECT event_type AS method, min(event_id) AS epochs FROM events WHERE value <= 0.5 GROUP BY event_type")
+def epochs_to(spark, d):
+    return metrics.epochs_to(_drift_rows(spark, d), 0.5)
+
+
+@query("SELECT o_orderpriority AS method, round((SELECT avg(o_totalprice) FROM orders WHERE o_orderpriority = '1-URGENT') / avg(o_totalprice), 9) AS ratio FROM orders GROUP BY o_orderpriority")
+def speedup(spark, d):
+    return metrics.speedup(load_table(spark, d, "orders").withColumnRenamed("o_orderpriority", "method"), "1-URGENT", "o_totalprice").withColumn("ratio", r9(F.col("ratio")))
+
+
+@query("SELECT l_returnflag, l_linestatus, grouping_id(l_returnflag, l_linestatus)::INTEGER AS level, round(avg(l_quantity), 6) AS mean, min(l_quantity) AS least, max(l_quantity) AS most, count(*) AS runs FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")
+def result_cube(spark, d):
+    return metrics.result_cube(load_table(spark, d, "lineitem"), ["l_returnflag", "l_linestatus"], "l_quantity").withColumn("mean", F.round("mean", 6))
+
+
+@query("SELECT event_type AS method, event_id AS epoch, value AS distortion, round(lag(value) OVER w - value, 9) AS gained, min(value) OVER w AS best FROM events WINDOW w AS (PARTITION BY event_type ORDER BY event_id)")
+def best_so_far(spark, d):
+    return metrics.best_so_far(_drift_rows(spark, d)).withColumn("gained", r9(F.col("gained")))
+
+
+# --- streams, run here on whole tables
+
+
+@query("WITH " + _BASE["part"] + """, e AS (SELECT id, c, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
+s AS (SELECT c, pos, sum(val)::BIGINT AS s FROM e WHERE id % 2 = 0 GROUP BY c, pos), q AS (SELECT id, sum(val * val)::BIGINT AS q FROM e GROUP BY id),
+st AS (SELECT c, any_value(n) AS n, sum(s * s)::BIGINT AS dd FROM s JOIN (SELECT c, count(*) AS n FROM x WHERE id % 2 = 0 GROUP BY c) USING (c) GROUP BY c),
+p AS (SELECT e.id, s.c, sum(e.val * s.s)::BIGINT AS p FROM e JOIN s USING (pos) WHERE e.id % 2 = 1 GROUP BY e.id, s.c),
+w AS (SELECT id, c FROM (SELECT p.id, p.c, row_number() OVER (PARTITION BY p.id ORDER BY ((2 * p.p + q.q)::DOUBLE - st.dd::DOUBLE / st.n) / (st.n::DOUBLE + 1) DESC, p.c) AS r FROM p JOIN q USING (id) JOIN st USING (c)) WHERE r = 1),
+z AS (SELECT id, c FROM x WHERE id % 2 = 0 UNION ALL SELECT id, c FROM w)
+SELECT z.c::INTEGER AS cluster, count(DISTINCT e.id) AS cnt, e.pos::INTEGER AS pos, sum(e.val)::DOUBLE AS s FROM z JOIN e USING (id) GROUP BY z.c, e.pos""")
+def stream_absorb(spark, d):
+    """The odd rows arrive at the state of the even ones."""
+    rows = features.part2(spark, d).select("id", F.transform(to_fixed(F.col("vec")), lambda x: x.cast("double")).alias("vec"), F.col("label").alias("cluster"))
+    got = streams.absorb(rows.where("id % 2 = 1"), st.cluster_state(rows.where("id % 2 = 0")))
+    return got.select("cluster", "cnt", F.posexplode("sum_vec").alias("pos", "s"))
+
+
+@query("SELECT time_bucket(INTERVAL 1 DAY, ts) AS start, round(avg((value - 1) * (value - 1)), 9) AS distortion, count(*) AS n FROM events GROUP BY 1")
+def stream_drift(spark, d):
+    return streams.drift(_drift_rows(spark, d)).withColumn("distortion", r9(F.col("distortion")))
+
+
+_VERSIONS = "(SELECT (epoch(day) // 86400)::INTEGER AS version, day AS since FROM (SELECT DISTINCT date_trunc('day', ts)::TIMESTAMP + INTERVAL 6 HOUR AS day FROM events))"
+
+
+@query(f"SELECT e.event_id, coalesce(v.version, 0)::INTEGER AS version FROM events e ASOF LEFT JOIN {_VERSIONS} v ON e.ts >= v.since")
+def version_as_of(spark, d):
+    """Events with the model version of the day, which comes into force at six; 0 before the first."""
+    events = load_table(spark, d, "events")
+    since = (F.date_trunc("day", "ts") + F.expr("INTERVAL 6 HOURS")).alias("since")
+    versions = events.select(since).distinct().select(F.floor(F.unix_timestamp("since") / 86400).cast("int").alias("version"), "since")
+    return streams.as_of(events.select("event_id", "ts"), versions).select("event_id", F.coalesce("version", F.lit(0)).alias("version"))
+
+
+@query("SELECT a.user_id, a.event_id AS first_id, b.event_id AS then_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'click' AND b.event_type = 'purchase'")
+def followed_by(spark, d):
+    return streams.followed_by(load_table(spark, d, "events"), "click", "purchase")
+
+
+# --- TF/IDF of the other text tables
+
+
+def _tfidf_sql(source: str) -> str:
+    return rf"""WITH src AS ({source}), tc AS (SELECT id, term, count(*) AS tf FROM (SELECT id, unnest(regexp_extract_all(lower(text), '\p{{L}}+')) AS term FROM src) GROUP BY id, term),
+df AS (SELECT term, count(*) AS df, ln((SELECT count(DISTINCT id) FROM src)::DOUBLE / count(*)) AS idf FROM tc GROUP BY term),
+top AS (SELECT * FROM df ORDER BY df DESC, term LIMIT 128), w AS (SELECT id, term, tf * idf AS w FROM tc JOIN top USING (term)), n AS (SELECT *, sqrt(sum(w * w) OVER (PARTITION BY id)) AS n FROM w)
+SELECT id, term, round(CASE WHEN n > 0 THEN w / n ELSE 0 END, 9) AS weight FROM n"""
+
+
+def _weights(docs: DataFrame, id_col: str) -> DataFrame:
+    return features.tfidf(docs, 128, id_col=id_col).select("id", "term", r9(F.col("weight")).alias("weight"))
+
+
+@query(_tfidf_sql("SELECT page_id AS id, regexp_replace(html, '<[^>]*>', ' ', 'g') AS text FROM pages"))
+def tfidf_pages(spark, d):
+    return _weights(load_table(spark, d, "pages").select("page_id", features.without_tags(F.col("html")).alias("text")), "page_id")
+
+
+@query(_tfidf_sql("SELECT conv_id AS id, text FROM conversations"))
+def tfidf_conversations(spark, d):
+    return _weights(load_table(spark, d, "conversations"), "conv_id")
+
+
+@query(_tfidf_sql("SELECT item_id AS id, text FROM benchmark"))
+def tfidf_benchmark(spark, d):
+    return _weights(load_table(spark, d, "benchmark"), "item_id")
+
+
+_method("mllib_kmeans", lambda r: external.mllib_kmeans(r, K))
+_method("mllib_bisecting", lambda r: external.mllib_kmeans(r, K, bisecting=True))
+_method("gain_kway_dsq_oversampled", lambda r: kway.gain_kway(r, K, "dsq_oversampled", engine="partitioned", max_epochs=3))
+_method("lloyd_dsq_oversampled", lambda r: kway.lloyd(r, K, "dsq_oversampled", max_epochs=5))
+_method("restarts", lambda r: kway.restarts(r, "gain_random_label", K)[1])
+
+
+@query()
+def visited(spark, d):
+    """Rows in split nodes, and what even splits would give."""
+    got = kway.gain_bisect(features.emb64_scaled(spark, d).select("id", "vec"), 16)
+    n = max(x["cnt"] for x in got.nodes)
+    nodes = spark.createDataFrame([(bool(x["is_leaf"]), int(x["cnt"])) for x in got.nodes], "is_leaf boolean, cnt long")
+    return metrics.visited(nodes).withColumn("even", F.lit(float(metrics.nominal_comparisons(int(n), 16, 2))))
+
 
 def _workload(name: str, f):
     f.__name__ = name

@@ -74,8 +74,12 @@ class Refresher:
 PROFILE = "user_id long, n long, sum_vec array<double>"
 
 
-def profiles(stream: DataFrame, d: int, idle_ms: int = 86_400_000) -> DataFrame:
-    """Running (user_id, n, sum_vec) of a stream (user_id, vec): one state row per user, forgotten after idle_ms without rows."""
+def profiles(stream: DataFrame, d: int, idle_ms: int | None = 86_400_000) -> DataFrame:
+    """Running (user_id, n, sum_vec) of a stream (user_id, vec): one state row per user, forgotten after idle_ms without rows.
+
+    A query with such a timeout keeps looking for idle users, so it runs until it is stopped, even if it should only
+    take what is there; idle_ms=None keeps every user.
+    """
 
     def update(key, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
@@ -87,10 +91,11 @@ def profiles(stream: DataFrame, d: int, idle_ms: int = 86_400_000) -> DataFrame:
             n += len(f)
             total = total + np.stack(f["vec"].to_numpy()).astype(float).sum(0)
         state.update((n, total.tolist()))
-        state.setTimeoutDuration(idle_ms)
+        if idle_ms is not None:
+            state.setTimeoutDuration(idle_ms)
         yield pd.DataFrame({"user_id": [key[0]], "n": [n], "sum_vec": [total.tolist()]})
 
-    return stream.groupBy("user_id").applyInPandasWithState(update, PROFILE, "n long, sum_vec array<double>", "update", GroupStateTimeout.ProcessingTimeTimeout)
+    return stream.groupBy("user_id").applyInPandasWithState(update, PROFILE, "n long, sum_vec array<double>", "update", GroupStateTimeout.NoTimeout if idle_ms is None else GroupStateTimeout.ProcessingTimeTimeout)
 
 
 MAX_VERSIONS = 100_000
