@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gainclust.functions.vectors import dimension, portable_hash, to_fixed
+from gainclust.functions.vectors import dimension, norm2, portable_hash, to_fixed, unit
 from gainclust.operators import kernels
 from gainclust.operators.seeding import seed_dsq_oversampled
 from gainclust.operators.state import MAX_STATE_BYTES, best_moves, cluster_state, padded
@@ -343,9 +343,14 @@ def gain_bisect(rows: DataFrame, k: int, **options) -> ClusterResult:
     return gain_split(rows, k, 2, **options)
 
 
-def cosine_bisect(rows: DataFrame, k: int, seed: int = 42) -> ClusterResult:
-    """Repeated bisection by average cosine: the gain hierarchy on unit vectors."""
-    return local(rows, lambda x, _: kernels.hierarchy(kernels.unit_rows(x), k, "gain", "seed_nearest", seed=seed), k=k)
+def cosine_bisect(rows: DataFrame, k: int, seed: int = 42, **options) -> ClusterResult:
+    """Repeated bisection by average cosine: the gain hierarchy on unit vectors, at any size.
+
+    Vectors within 1e-6 of unit length stay as they are, so on unit rows the result is the gain hierarchy's.
+    """
+    near = F.abs(F.sqrt(norm2(F.col("vec"))) - 1) <= 1e-6
+    ready = _doubles(rows).select("id", F.when(near, F.col("vec")).otherwise(unit(F.col("vec"))).alias("vec"))
+    return gain_split(ready, k, init="seed_nearest", seed=seed, **options)
 
 
 def refine(result: ClusterResult, rows: DataFrame, max_epochs: int = 20, move: str = "best", **options) -> ClusterResult:

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gainclust.functions.vectors import root_normalize, unit
-from gainclust.operators import kernels, metrics, pq
+from gainclust.operators import kernels, metrics, pq, state
 from gainclust.operators.kway import LOCAL_ROWS, _matrix
 from gainclust.sources import features
 from gainclust.sources.storage import load_table
@@ -180,3 +180,34 @@ def order_vlad(spark: SparkSession, d: str, words: int = 16, keep: int = 16) ->
 
 def w17(spark: SparkSession, d: str, k: int = 16, methods: list[str] | None = None) -> DataFrame:
     return _runs(order_vlad(spark, d), [(m, k, 0) for m in methods or TABLE]).groupBy("method", "n", "k").agg(F.max_by("distortion", "epoch").alias("distortion"), F.sum("comparisons").alias("comparisons"))
+
+
+def given(spark: SparkSession, d: str) -> dict[str, DataFrame]:
+    """Tables as (id, vec, cluster) with the partition that the formulas are checked on."""
+    doubles = F.transform("vec", lambda x: x.cast("double")).alias("vec")
+    sets = {"emb64": (features.emb64, "label"), "emb64_scaled": (features.emb64_scaled, "label"), "part2": (features.part2, "label"), "acct1": (features.acct1, "label"), "line4": (features.line4, "l_returnflag")}
+    out = {name: f(spark, d).select("id", doubles, F.col(label).cast("string").alias("cluster")) for name, (f, label) in sets.items()}
+    for name, f in (("user7", features.user7), ("cust4", features.cust4)):
+        out[name] = f(spark, d).select("id", doubles, (F.col("id") % 5).cast("string").alias("cluster"))
+    return out
+
+
+def w18(spark: SparkSession, d: str) -> DataFrame:
+    """The move conditions on the embeddings by label: pairs on which the exact form and the gain disagree (beyond
+    rounding), the share on which the large-cluster form does, and rows that could move or have a nearer centroid."""
+    rows = given(spark, d)["emb64"].withColumn("cluster", F.col("cluster").cast("int"))
+    s = state.cluster_state(rows)
+    g = state.gains(rows, s)
+    one = lambda c: F.sum(F.when(c, 1).otherwise(0))
+    pairs = g.agg(one((F.abs("gain") > 1e-9) & (F.col("exact") != (F.col("gain") > 0))).alias("unequal"), F.avg((F.col("exact") != F.col("approx")).cast("double")).alias("approx_differs"), F.count_distinct(F.when((F.col("gain") > 1e-9) & (F.col("cnt_u") > 1), F.col("id"))).alias("improving"))
+    return pairs.crossJoin(state.lloyd_violations(rows, s).agg(F.count(F.lit(1)).alias("violations")))
+
+
+def w19(spark: SparkSession, d: str) -> DataFrame:
+    """The objectives of every table by its given partition, with the squared errors summed row by row beside the closed form."""
+    out = None
+    for name, rows in given(spark, d).items():
+        s = state.cluster_state(rows)
+        part = state.objectives(s).crossJoin(state.sse_brute(rows, s).withColumnRenamed("sse", "sse_by_row")).select(F.lit(name).alias("rows"), "n", "total", "score", "sse", "sse_by_row", "distortion", "pair_exact", "pair_approx", "pair_gap")
+        out = part if out is None else out.unionByName(part)
+    return out

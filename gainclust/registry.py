@@ -716,7 +716,7 @@ def _workload(name: str, f):
     query()(f)
 
 
-for _name in ("w1", "w2", "w3", "w4", "w5", "w10", "w11", "w12", "w13", "w14", "w15", "w16", "w17"):
+for _name in ("w1", "w2", "w3", "w4", "w5", "w10", "w11", "w12", "w13", "w14", "w15", "w16", "w17", "w18", "w19"):
     _workload(_name, lambda spark, d, _f=getattr(workloads, _name): _f(spark, d))
 for _name, _m, _methods in (("w6", 8, kernels.FLAT), ("w7", 8, kernels.HIERARCHIES), ("w8", 16, kernels.FLAT), ("w9", 16, kernels.HIERARCHIES)):
     _workload(_name, lambda spark, d, _m=_m, _t=[x for x in workloads.TABLE if x in _methods]: workloads.w6(spark, d, _m, methods=_t))

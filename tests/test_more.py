@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from gainclust.functions import sql
 from gainclust.operators import external, kernels, kway, metrics, seeding
 from gainclust.operators import state as st
+from gainclust.plans import workloads
 from gainclust.sources import features, storage
 from gainclust.streaming import streams
 
@@ -144,3 +145,18 @@ def test_interval_stream(spark, tmp_path):
     q = got.writeStream.format("memory").queryName("followed").option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start()
     q.awaitTermination()
     assert [tuple(r) for r in spark.table("followed").collect()] == [(1, 1, 2)]
+
+
+def test_identities_on_every_table(spark, sf):
+    for r in workloads.w19(spark, sf).collect():
+        assert abs(r.sse - r.sse_by_row) <= 1e-9 * r.total and abs(r.score + r.sse - r.total) <= 1e-9 * r.total, r
+    w = workloads.w18(spark, sf).first()
+    assert w.unequal == 0 and 0 <= w.approx_differs < 0.2 and w.violations <= w.improving
+
+
+def test_cosine_hierarchy_over_many_tasks(spark):
+    x = np.random.default_rng(4).normal(size=(90, 3))
+    rows = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "id long, vec array<double>")
+    labels = {r.id: r.cluster for r in kway.cosine_bisect(rows, 5).assignments.collect()}
+    assert [labels[i] for i in range(90)] == kernels.hierarchy(kernels.unit_rows(x), 5, "gain", "seed_nearest").labels.tolist()
+    assert kway.cosine_bisect(rows, 4, local_rows=40).assignments.select("cluster").distinct().count() == 4
