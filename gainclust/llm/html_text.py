@@ -1,7 +1,8 @@
 """Main text of web pages by composite text density.
 
-The tag soup becomes a tree; elements that never hold article text (scripts, menus, forms and so on, by tag, role
-or class) are cut off. Each node's density is its characters per tag, corrected by how much of them are links;
+The tag soup becomes a tree; elements that never hold article text (scripts, menus and so on) are cut off by tag.
+Words of class, id or role, forms and page headers only make an element suspect: it is cut unless it holds the page's
+principal article or most of its text; if little would be left, nothing suspect is cut. Each node's density is its characters per tag, corrected by how much of them are links;
 a node's density sum adds the densities of its children. The node of the greatest sum is the main content; the least
 density on its path to the body is the threshold that other top-level parts must reach to count as content too.
 
@@ -26,7 +27,7 @@ from gainclust.llm.common import trimmed
 #: Elements by HTML role (fixed values).
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title xmp noembed noframes iframe".split())
-NEVER = frozenset("script style textarea title head noscript template iframe object svg canvas nav footer aside form button select dialog menu audio video map xmp noembed noframes".split())
+NEVER = frozenset("script style textarea title head noscript template iframe object svg canvas nav footer aside button select dialog menu audio video map xmp noembed noframes".split())
 BLOCK = frozenset(
     "address article aside blockquote body br caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 "
     "header hr html legend li main menu nav ol option p pre section summary table tbody td tfoot th thead tr ul".split()
@@ -40,6 +41,10 @@ NOISE = frozenset(
     "subscribe subscription sidebar aside related recommended share sharing social comment comments disqus reply replies nav navbar navigation menu "
     "breadcrumb breadcrumbs footer masthead pagination pager widget login signup toolbar skip contentinfo complementary search".split()
 )
+#: A name that begins so tells how a page is laid out, not what an element holds (with-sidebar, has-comments).
+STATES = frozenset({"no", "not", "non", "with", "without", "has", "have"})
+#: A suspect element with more of the page's text than this is the page itself; with less left than LEFT, nothing is cut.
+MOST, LEFT = 0.75, 0.25
 HEADERS = frozenset({"header", "masthead", "banner"})
 SAFE = frozenset({"html", "body", "article", "main"})
 
@@ -48,31 +53,34 @@ _MARK = re.compile(r"""(?:^|\s)(class|id|role|hidden|aria-hidden|style)(?:\s*=\s
 _WORD = re.compile(r"[a-z]+")
 
 
-def _noise(tag: str, attrs: str, in_article: bool) -> bool:
+def _noise(tag: str, attrs: str, in_article: bool) -> str:
+    """"never" for what is cut while parsing, "suspect" for what is judged with the whole page, else empty."""
     if tag in NEVER:
-        return True
-    if tag == "header":
-        return not in_article
+        return "never"
+    found = "suspect" if tag == "form" or (tag == "header" and not in_article) else ""
     if not attrs or tag in SAFE:
-        return False
+        return found
     for name, value in _MARK.findall(attrs):
         name, value = name.lower(), value.strip("\"'").lower()
         if name == "hidden" or (name == "aria-hidden" and value == "true"):
-            return True
+            return "never"
         if name == "style":
             if "display:none" in value.replace(" ", ""):
-                return True
-        elif words := set(_WORD.findall(value)):
-            if words & NOISE or (words & HEADERS and not in_article):
-                return True
-    return False
+                return "never"
+            continue
+        for token in value.split():
+            words = _WORD.findall(token)
+            if words and words[0] not in STATES and (NOISE.intersection(words) or (HEADERS.intersection(words) and not in_article)):
+                found = "suspect"
+    return found
 
 
 class Page:
-    """Nodes in page order; a node's parent precedes it. Noise is left out while parsing."""
+    """Nodes in page order; a node's parent precedes it. What never holds text is left out while parsing, suspects after it."""
 
     def __init__(self, source: str):
         self.tag, self.parent, self.link, self.text = ["body"], [-1], [False], [[]]  # text: (place, string) of a node's own text
+        self.suspect = [False]
         self.place = 0
         stack = [(0, "body")]  # noise is on the stack as node -1
         muted, at = 0, 0
@@ -133,17 +141,49 @@ class Page:
             if attrs.rstrip().endswith("/") and tag in ("svg", "path"):
                 continue
             node = -1
-            if not muted and not _noise(tag, attrs, article > 0):
+            if not muted and (noise := _noise(tag, attrs, article > 0)) != "never":
                 node = self._add(stack, tag)
+                self.suspect[node] = noise == "suspect"
             stack.append((node, tag))
             muted += node < 0
             article += tag == "article"
+        if any(self.suspect):
+            self._cut()
+
+    def _cut(self) -> None:
+        """Take out the suspect nodes that are not the page's content."""
+        n = len(self.tag)
+        own = [0 if self.link[i] else sum(len("".join(t.split())) for _, t in self.text[i] if t) for i in range(n)]
+        plain, under, clean = own[:], [False] * n, 0
+        for i in range(n - 1, 0, -1):
+            plain[self.parent[i]] += plain[i]
+        for i in range(n):
+            under[i] = self.suspect[i] or (i > 0 and under[self.parent[i]])
+            clean += 0 if under[i] else own[i]
+        holds: set[int] = set()  # nodes around the article (else main element) with the most text
+        for name in ("article", "main"):
+            if named := [i for i in range(n) if self.tag[i] == name and plain[i]]:
+                at = max(named, key=lambda i: (plain[i], -i))
+                while at >= 0 and (holds or plain[at] >= clean or not under[at]):
+                    holds.add(at)
+                    at = self.parent[at]
+                break
+        gone = [False] * n
+        for i in range(1, n):
+            gone[i] = gone[self.parent[i]] or (self.suspect[i] and i not in holds and plain[i] <= MOST * plain[0])
+        if sum(own[i] for i in range(n) if not gone[i]) < LEFT * plain[0]:
+            return
+        number, kept = {-1: -1}, [i for i in range(n) if not gone[i]]
+        number |= {old: new for new, old in enumerate(kept)}
+        self.parent = [number[self.parent[i]] for i in kept]
+        self.tag, self.link, self.text, self.suspect = ([c[i] for i in kept] for c in (self.tag, self.link, self.text, self.suspect))
 
     def _add(self, stack: list, tag: str) -> int:
         self.tag.append(tag)
         self.parent.append(stack[-1][0])
         self.link.append(tag == "a" or self.link[stack[-1][0]])
         self.text.append([])
+        self.suspect.append(False)
         return len(self.tag) - 1
 
     def _say(self, stack: list, muted: int, text: str | None) -> None:
