@@ -32,7 +32,7 @@ def op3_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"), digests_only=True).withColumnRenamed("id", "doc_id")
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"), returns=("kept_sha256", "text")).withColumnRenamed("id", "doc_id")
 
 
 def op5_vptree(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -193,10 +193,10 @@ def spans(numbers: np.ndarray) -> list[int]:
     return np.stack([first, last - first + 1], 1).ravel().tolist()
 
 
-def _contexts(docs: DataFrame, wanted: DataFrame, window: int, hot: bool) -> DataFrame:
-    """The bytes of the wanted contexts (or, for hot ones, both hashes of every window), each cut from one text."""
-    per_doc = wanted.groupBy("k").agg(F.collect_list(F.struct("gram", "context", "place", "times")).alias("wanted"))
-    schema = "gram long, context long, times long, windows array<struct<j:int,w1:long,w2:long>>" if hot else "gram long, context long, place long, times long, bytes binary"
+def _contexts(docs: DataFrame, wanted: DataFrame, window: int) -> DataFrame:
+    """Each wanted context cut from one text: its bytes or, for a hot gram, two hashes of every window. One shuffle of the texts."""
+    per_doc = wanted.groupBy("k", "k2").agg(F.collect_list(F.struct("gram", "context", "place", "times", "hot")).alias("wanted"))
+    schema = "gram long, context long, place long, times long, bytes binary, windows array<struct<j:int,w1:long,w2:long>>"
     window_schema = pa.list_(pa.struct([("j", pa.int32()), ("w1", pa.int64()), ("w2", pa.int64())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -207,24 +207,19 @@ def _contexts(docs: DataFrame, wanted: DataFrame, window: int, hot: bool) -> Dat
                 for text, items in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
                     for w in items:
                         first, n = w["place"] >> 2 * _SHIFT, w["place"] >> _SHIFT & (1 << _SHIFT) - 1
-                        cut = text[first : first + n + window - 1]
-                        if not hot:
-                            rows.append((w["gram"], w["context"], w["place"], w["times"], cut))
-                            continue
-                        data = np.frombuffer(cut, np.uint8)
-                        j = np.arange(n)
-                        w1, w2 = (mixed(PrefixHash(x).of(j, j + window)).view(np.int64) for x in (data, data[::-1] ^ np.uint8(0x5A)))
-                        rows.append((w["gram"], w["context"], w["times"], [{"j": int(a), "w1": int(b), "w2": int(c)} for a, b, c in zip(j, w1, w2[::-1])]))
-                cols = list(zip(*rows)) or [()] * (4 if hot else 5)
-                if hot:
-                    arrays = [pa.array(c, pa.int64()) for c in cols[:3]] + [pa.array(cols[3], window_schema)]
-                    yield pa.RecordBatch.from_arrays(arrays, names=["gram", "context", "times", "windows"])
-                else:
-                    arrays = [pa.array(c, pa.int64()) for c in cols[:4]] + [pa.array(cols[4], pa.binary())]
-                    yield pa.RecordBatch.from_arrays(arrays, names=["gram", "context", "place", "times", "bytes"])
+                        cut, windows = text[first : first + n + window - 1], None
+                        if w["hot"]:
+                            data = np.frombuffer(cut, np.uint8)
+                            j = np.arange(n)
+                            w1, w2 = (mixed(PrefixHash(x).of(j, j + window)).view(np.int64) for x in (data, data[::-1] ^ np.uint8(0x5A)))
+                            cut, windows = None, [{"j": int(a), "w1": int(b), "w2": int(c)} for a, b, c in zip(j, w1, w2[::-1])]
+                        rows.append((w["gram"], w["context"], w["place"], w["times"], cut, windows))
+                cols = list(zip(*rows)) or [()] * 6
+                arrays = [pa.array(c, pa.int64()) for c in cols[:4]] + [pa.array(cols[4], pa.binary()), pa.array(cols[5], window_schema)]
+                yield pa.RecordBatch.from_arrays(arrays, names=["gram", "context", "place", "times", "bytes", "windows"])
 
     # one text per key suffices: equal keys mean equal texts
-    return docs.select("k", "bytes").join(per_doc, "k").select("bytes", "wanted").mapInArrow(trimmed(run), schema)
+    return docs.select("k", "k2", "bytes").join(per_doc, ["k", "k2"]).select("bytes", "wanted").mapInArrow(trimmed(run), schema)
 
 
 def _sorted_groups(contexts: DataFrame, window: int) -> DataFrame:
@@ -260,39 +255,44 @@ def _sorted_groups(contexts: DataFrame, window: int) -> DataFrame:
 
 
 def repeated_spans(docs: DataFrame, window: int) -> DataFrame:
-    """From rows (k, bytes): per key the byte spans to remove, as (k, gone array<struct<a,b>>), not merged."""
+    """From rows (k, k2, bytes): per key the byte spans to remove, as (k, k2, gone array<struct<a,b>>), not merged."""
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
-                row, gram, context, place = runs_of(part.column(1).to_pylist(), window)
-                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(row)), pa.array(gram), pa.array(context), pa.array(place)], names=["k", "gram", "context", "place"])
-
-    runs = stored(docs.where(F.octet_length("bytes") >= window).select("k", "bytes").mapInArrow(trimmed(scan), "k long, gram long, context long, place long"), "runs")
-    own = runs.groupBy("gram", "context").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("k", "place")).alias("at"))
-    own = stored(own.select("gram", "context", "times", "at.k", "at.place"), "contexts")
+                row, gram, context, place = runs_of(part.column(2).to_pylist(), window)
+                of = pa.array(row)
+                yield pa.RecordBatch.from_arrays([part.column(0).take(of), part.column(1).take(of), pa.array(gram), pa.array(context), pa.array(place)], names=["k", "k2", "gram", "context", "place"])
+
+    long_enough = docs.where(F.octet_length("bytes") >= window).select("k", "k2", "bytes")
+    runs = stored(long_enough.mapInArrow(trimmed(scan), "k long, k2 int, gram long, context long, place long"), "runs")
+    own = runs.groupBy("gram", "context").agg(F.count(F.lit(1)).alias("times"), F.min(F.struct("k", "k2", "place")).alias("at"))
+    own = stored(own.select("gram", "context", "times", "at.k", "at.k2", "at.place"), "contexts")
     grams = own.groupBy("gram").agg(F.count(F.lit(1)).alias("contexts"), F.sum("times").alias("occurrences"), F.min("times").alias("least")).where("occurrences > 1")
     grams = grams.select("gram", "least", (F.col("contexts") > HOT).alias("hot"))
-    wanted = stored(own.join(grams, "gram").select("k", "gram", "context", "place", "times", "hot", "least"), "wanted")
+    wanted = stored(own.join(grams, "gram").select("k", "k2", "gram", "context", "place", "times", "hot", "least"), "wanted")
+    discard(own)
     # a context that occurs twice repeats in all its windows; only grams with others are looked into
     n = F.shiftright("place", _SHIFT).bitwiseAND(F.lit((1 << _SHIFT) - 1)).cast("int")
     whole = wanted.where("times > 1").select("gram", "context", F.array(F.lit(0), n).alias("spans"))
-    wanted_more = wanted.where("least = 1")
 
-    cold = _sorted_groups(_contexts(docs, wanted_more.where("NOT hot"), window, hot=False), window)
-    every = _contexts(docs, wanted_more.where("hot"), window, hot=True).select("gram", "context", "times", F.explode("windows").alias("w")).select("gram", "context", "times", "w.*")
+    cut = stored(_contexts(docs, wanted.where("least = 1"), window), "cut")
+    cold = _sorted_groups(cut.where("windows IS NULL").drop("windows"), window)
+    every = cut.where("windows IS NOT NULL").select("gram", "context", "times", F.explode("windows").alias("w")).select("gram", "context", "times", "w.*")
     # a repeated row gives its windows again: tell places apart by least and greatest, not by counting
     place = F.xxhash64("gram", "context", "j")
     twice = every.groupBy("w1", "w2").agg(F.min(place).alias("a"), F.max(place).alias("b"), F.max("times").alias("n")).where("a <> b OR n > 1").select("w1", "w2")
     warm = every.where("times = 1").join(twice, ["w1", "w2"]).groupBy("gram", "context").agg(F.flatten(F.collect_list(F.array(F.col("j"), F.lit(1)))).alias("spans"))
     flags = stored(whole.unionByName(cold).unionByName(warm), "flags")
-    discard(own, wanted)
+    discard(wanted, cut)
 
-    hits = runs.join(flags, ["gram", "context"]).select("k", F.shiftright("place", 2 * _SHIFT).alias("first"), "spans")
+    hits = runs.join(flags, ["gram", "context"]).select("k", "k2", F.shiftright("place", 2 * _SHIFT).alias("first"), "spans")
     pair = lambda i: F.struct((F.col("first") + F.element_at("spans", 2 * i + 1)).alias("a"), (F.col("first") + F.element_at("spans", 2 * i + 1) + F.element_at("spans", 2 * i + 2) + window - 1).alias("b"))
-    lists = hits.select("k", F.transform(F.sequence(F.lit(0), (F.size("spans") / 2 - 1).cast("int")), pair).alias("own"))
-    return lists.groupBy("k").agg(F.flatten(F.collect_list("own")).alias("gone"))
+    lists = hits.select("k", "k2", F.transform(F.sequence(F.lit(0), (F.size("spans") / 2 - 1).cast("int")), pair).alias("own"))
+    gone = stored(lists.groupBy("k", "k2").agg(F.flatten(F.collect_list("own")).alias("gone")), "gone")
+    discard(runs, flags)
+    return gone
 
 
 def merge_spans(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -303,36 +303,53 @@ def merge_spans(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return a[new], b[np.append(new[1:] - 1, len(b) - 1)]
 
 
-def remove_repeats(docs: DataFrame, window: int = 400, id_col: str = "doc_id", text_col: str = "text", keep: list[Column] | None = None, digests_only: bool = False) -> DataFrame:
-    """One row per document: (id, n_bytes, n_removed, n_spans) and kept (binary), or kept_sha256 for digests.
+def keyed(docs: DataFrame, id_col: str, text_col: str, keep: list[Column]) -> DataFrame:
+    """(k, k2, id, bytes, ...): 96 bits of two hashes tell texts with their ids apart."""
+    base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"), *keep)
+    second = F.shiftright(F.xxhash64(F.lit("second"), "text", "id"), 32).cast("int")
+    return base.select(F.xxhash64("id", "text").alias("k"), second.alias("k2"), "id", F.col("text").cast("binary").alias("bytes"), *base.columns[2:])
+
+
+#: What remove_repeats can return beside its counts, by name; text is kept without the rests of cut characters.
+COLUMNS = {"kept": "binary", "kept_sha256": "string", "text": "string"}
+
+
+def remove_repeats(docs: DataFrame, window: int = 400, id_col: str = "doc_id", text_col: str = "text", keep: list[Column] | None = None, returns: tuple[str, ...] = ("kept",), min_words: int = 0) -> DataFrame:
+    """One row per document: (id, n_bytes, n_removed, n_spans), the columns named in returns (see COLUMNS) and keep.
 
-    keep: further columns to carry, named apart from those above.
+    min_words: maximal removed runs of fewer words stay. keep: further columns to carry, named apart from those above.
     """
-    base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"), *(keep or []))
-    base = base.select(F.xxhash64("id", "text").alias("k"), "id", F.col("text").cast("binary").alias("bytes"), *base.columns[2:])
-    gone = repeated_spans(base.select("k", "bytes"), window)
-    carried = base.schema.fields[3:]
-    last = "kept_sha256 string" if digests_only else "kept binary"
-    schema = f"id long, n_bytes long, n_removed long, n_spans long, {last}" + "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in carried)
+    base = keyed(docs, id_col, text_col, keep or [])
+    gone = repeated_spans(base.select("k", "k2", "bytes"), window)
+    carried = base.schema.fields[4:]
+    schema = "id long, n_bytes long, n_removed long, n_spans long" + "".join(f", {c} {COLUMNS[c]}" for c in returns) + "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in carried)
+    made = {"kept": lambda x: x, "kept_sha256": lambda x: hashlib.sha256(x).hexdigest(), "text": lambda x: x.decode("utf-8", "ignore")}
+    kinds = {"binary": pa.binary(), "string": pa.string()}
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
-                n_bytes, removed, n_spans, kept = [], [], [], []
+                n_bytes, n_spans, kept = [], [], []
                 for text, own in zip(part.column(1).to_pylist(), part.column(2)):
+                    rest, spans = without(text, own, min_words)
                     n_bytes.append(len(text))
-                    if own.is_valid and len(own.values):
-                        a, b = merge_spans(own.values.field(0).to_numpy(), own.values.field(1).to_numpy())
-                        edges = np.concatenate([[0], np.stack([a, b], 1).ravel(), [len(text)]]).tolist()
-                        rest = b"".join(text[x:y] for x, y in zip(edges[::2], edges[1::2]))
-                        n_spans.append(len(a))
-                    else:
-                        rest = text
-                        n_spans.append(0)
-                    removed.append(len(text) - len(rest))
-                    kept.append(hashlib.sha256(rest).hexdigest() if digests_only else rest)
-                cols = [part.column(0), *(pa.array(x, pa.int64()) for x in (n_bytes, removed, n_spans)), pa.array(kept, pa.string() if digests_only else pa.binary()), *part.columns[3:]]
-                yield pa.RecordBatch.from_arrays(cols, names=["id", "n_bytes", "n_removed", "n_spans", last.split()[0], *(f.name for f in carried)])
-
-    return base.join(gone, "k", "left").select("id", "bytes", "gone", *(f.name for f in carried)).mapInArrow(trimmed(cut), schema)
+                    n_spans.append(spans)
+                    kept.append(rest)
+                removed = [n - len(x) for n, x in zip(n_bytes, kept)]
+                cols = [part.column(0), *(pa.array(x, pa.int64()) for x in (n_bytes, removed, n_spans)), *(pa.array([made[c](x) for x in kept], kinds[COLUMNS[c]]) for c in returns), *part.columns[3:]]
+                yield pa.RecordBatch.from_arrays(cols, names=["id", "n_bytes", "n_removed", "n_spans", *returns, *(f.name for f in carried)])
+
+    return base.join(gone, ["k", "k2"], "left").select("id", "bytes", "gone", *(f.name for f in carried)).mapInArrow(trimmed(cut), schema)
+
+
+def without(text: bytes, own: pa.ListScalar, min_words: int = 0) -> tuple[bytes, int]:
+    """The text without its spans, and how many maximal runs went."""
+    if not own.is_valid or not len(own.values):
+        return text, 0
+    a, b = merge_spans(own.values.field(0).to_numpy(), own.values.field(1).to_numpy())
+    spans = list(zip(a.tolist(), b.tolist()))
+    if min_words:
+        spans = [(x, y) for x, y in spans if len(text[x:y].split()) >= min_words]
+    edges = [0, *(e for span in spans for e in span), len(text)]
+    return b"".join(text[x:y] for x, y in zip(edges[::2], edges[1::2])), len(spans)

@@ -94,7 +94,7 @@ def test_suffix_dedup(spark, docs, hot, window, monkeypatch):
     for (i, t), m in zip(rows, marks):
         rest = bytes(b for b, x in zip(t, m) if not x)
         want.append((i, len(t), sum(m), len(re.findall(b"\1+", bytes(m))), hashlib.sha256(rest).hexdigest()))
-    got = [tuple(r) for r in suffix_dedup.remove_repeats(docs, window, digests_only=True).collect()]
+    got = [tuple(r) for r in suffix_dedup.remove_repeats(docs, window, returns=("kept_sha256",)).collect()]
     key = lambda r: (r[0] is not None, r)
     assert sorted(got, key=key) == sorted(want, key=key)
     assert sum(r[2] for r in want) > 1000
