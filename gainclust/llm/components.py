@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gainclust.llm.common import stored
+from gainclust.llm.common import discard, stored
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -24,7 +24,10 @@ def components(links: DataFrame) -> DataFrame:
             up = least.select(F.col("a").alias("p"), F.col("p").alias("pp"))
             least = least.join(up, "p").select("a", F.col("pp").alias("p"))
         least = stored(least, "hooks")
+        before = labels, edges, least
         labels = stored(labels.join(least.withColumnRenamed("a", "root"), "root", "left").select("node", F.coalesce("p", "root").alias("root")), "labels")
         ends = edges.join(least, "a").select(F.col("p").alias("pa"), "b").join(least.withColumnRenamed("a", "b"), "b").select("pa", F.col("p").alias("pb"))
         edges = stored(ends.where("pa <> pb").select(F.least("pa", "pb").alias("a"), F.greatest("pa", "pb").alias("b")).distinct(), "links")
+        discard(*before)
+    discard(edges)
     return labels
