@@ -35,6 +35,8 @@ BLOCK = frozenset(
 CLOSES_P = BLOCK - {"br", "body", "html", "td", "th", "tr", "tbody", "thead", "tfoot", "caption", "option"}
 #: A start tag closes an open one of these, up to the fence.
 SIBLINGS = {"li": ({"li"}, {"ul", "ol", "menu"}), "dt": ({"dt", "dd"}, {"dl"}), "dd": ({"dt", "dd"}, {"dl"}), "tr": ({"tr", "td", "th"}, {"table"}), "td": ({"td", "th"}, {"tr", "table"}), "th": ({"td", "th"}, {"tr", "table"}), "option": ({"option"}, {"select"})}
+#: An open p is not closed from inside these.
+P_FENCE = ("td", "th", "table", "button", "object")
 #: Words of class, id and role that mark what is not article text.
 NOISE = frozenset(
     "ad ads advert adverts advertisement advertising sponsor sponsored promo banner cookie cookies consent gdpr notice notices popup modal overlay newsletter "
@@ -45,10 +47,13 @@ NOISE = frozenset(
 STATES = frozenset({"no", "not", "non", "with", "without", "has", "have"})
 #: A suspect element with more of the page's text than this is the page itself; with less left than LEFT, nothing is cut.
 MOST, LEFT = 0.75, 0.25
+#: Beside the content, these go with it by density alone; others only with this share of its density sum.
+TEXT, SHARE = frozenset("h1 h2 h3 h4 h5 h6 p blockquote pre".split()), 0.1
 HEADERS = frozenset({"header", "masthead", "banner"})
 SAFE = frozenset({"html", "body", "article", "main"})
 
-_TOKEN = re.compile(r"""<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']|"[^"]*"|'[^']*')*)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)>""", re.S)
+_NAME = re.compile(r"/?([a-zA-Z][^\s/>]*)")
+_PLAIN = re.compile(r"[^>\"']*")
 _MARK = re.compile(r"""(?:^|\s)(class|id|role|hidden|aria-hidden|style)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s>]+))?""", re.I | re.S)
 _WORD = re.compile(r"[a-z]+")
 
@@ -75,6 +80,68 @@ def _noise(tag: str, attrs: str, in_article: bool) -> str:
     return found
 
 
+def tags(source: str) -> Iterator[tuple[int, int, bool, str, str]]:
+    """(begin, end, is end tag, name, attributes) of every tag, comments and declarations with an empty name, in one pass.
+
+    The caller may send a place from which to go on. An unclosed comment runs to the end; a tag without its closing
+    bracket is text; a quotation mark that is never closed is a plain character.
+    """
+    at, n = 0, len(source)
+    last = {c: source.rfind(c) for c in ">\"'"}
+    while True:
+        begin = source.find("<", at)
+        if begin < 0 or begin > last[">"] and not source.startswith("<!--", begin):
+            return
+        at = begin + 1
+        if source.startswith("!--", at):
+            end = source.find("-->", at + 3)
+            end = n if end < 0 else end + 3
+            found = (begin, end, False, "", "")
+        elif source[at] in "!?":
+            end = source.find(">", at) + 1
+            found = (begin, end, False, "", "")
+        elif m := _NAME.match(source, at):
+            end = m.end()
+            while True:
+                end = _PLAIN.match(source, end).end()
+                if end >= n or source[end] == ">":
+                    break
+                # of a quotation mark on, the matching one if there is any
+                end = source.find(source[end], end + 1) + 1 if last[source[end]] > end else end + 1
+            if end >= n:
+                return  # the rest is text
+            end += 1
+            found = (begin, end, source[at] == "/", m[1], source[m.end() : end - 1])
+        else:
+            continue
+        resume = yield found
+        at = end
+        if resume is not None:
+            at = resume
+            yield found  # what send() returns
+
+
+class Open:
+    """The open elements, with the places of each tag, so that finding one does not look through all."""
+
+    def __init__(self) -> None:
+        self.items: list[tuple[int, str]] = [(0, "body")]  # noise is on the stack as node -1
+        self.places: dict[str, list[int]] = {}
+
+    def push(self, node: int, tag: str) -> None:
+        self.places.setdefault(tag, []).append(len(self.items))
+        self.items.append((node, tag))
+
+    def pop(self) -> tuple[int, str]:
+        node, tag = self.items.pop()
+        self.places[tag].pop()
+        return node, tag
+
+    def last(self, names) -> int:
+        """Place of the innermost open element of these tags; 0 if there is none."""
+        return max((self.places[t][-1] for t in names if self.places.get(t)), default=0)
+
+
 class Page:
     """Nodes in page order; a node's parent precedes it. What never holds text is left out while parsing, suspects after it."""
 
@@ -82,57 +149,42 @@ class Page:
         self.tag, self.parent, self.link, self.text = ["body"], [-1], [False], [[]]  # text: (place, string) of a node's own text
         self.suspect = [False]
         self.place = 0
-        stack = [(0, "body")]  # noise is on the stack as node -1
+        stack = Open()
         muted, at = 0, 0
         article = 0
 
         def close(until: int) -> None:
             nonlocal muted, article
-            while len(stack) > until:
+            while len(stack.items) > until:
                 node, tag = stack.pop()
                 muted -= node < 0
                 article -= tag == "article"
                 if tag in BLOCK:
                     self._say(stack, muted, None)
 
-        while at < len(source):
-            m = _TOKEN.search(source, at)
-            self._say(stack, muted, source[at : m.start() if m else len(source)])
-            if not m:
-                break
-            at = m.end()
-            slash, tag, attrs = (m[1], m[2], m[3]) if m[2] else (m[4], m[5], m[6])
-            if not tag:
-                continue
+        found = tags(source)
+        for begin, end, closing, tag, attrs in found:
+            self._say(stack, muted, source[at:begin])
+            at = end
             tag = tag.lower()
-            if tag in ("html", "body"):
+            if tag in ("", "html", "body"):
                 continue
-            if slash:
-                for i in range(len(stack) - 1, 0, -1):
-                    if stack[i][1] == tag:
-                        close(i)
-                        break
+            if closing:
+                if place := stack.last((tag,)):
+                    close(place)
                 continue
-            if tag in CLOSES_P:
-                for i in range(len(stack) - 1, 0, -1):
-                    if stack[i][1] == "p":
-                        close(i)
-                        break
-                    if stack[i][1] in ("td", "th", "table", "button", "object"):
-                        break
+            if tag in CLOSES_P and (place := stack.last(("p",))) > stack.last(P_FENCE):
+                close(place)
             if tag in SIBLINGS:
                 shut, fence = SIBLINGS[tag]
-                for i in range(len(stack) - 1, 0, -1):
-                    if stack[i][1] in fence:
-                        break
-                    if stack[i][1] in shut:
-                        close(i)
-                        break
+                if (place := stack.last(shut)) > stack.last(fence):
+                    close(place)
             if tag in BLOCK:
                 self._say(stack, muted, None)
             if tag in RAW:
-                end = re.compile(rf"</{re.escape(tag)}\b[^>]*>", re.I).search(source, at)
-                at = end.end() if end else len(source)
+                stop = re.compile(rf"</{re.escape(tag)}\b[^>]*>", re.I).search(source, at)
+                at = stop.end() if stop else len(source)
+                found.send(at)
                 continue
             if tag in VOID:
                 if not muted:
@@ -144,9 +196,10 @@ class Page:
             if not muted and (noise := _noise(tag, attrs, article > 0)) != "never":
                 node = self._add(stack, tag)
                 self.suspect[node] = noise == "suspect"
-            stack.append((node, tag))
+            stack.push(node, tag)
             muted += node < 0
             article += tag == "article"
+        self._say(stack, muted, source[at:])
         if any(self.suspect):
             self._cut()
 
@@ -178,19 +231,20 @@ class Page:
         self.parent = [number[self.parent[i]] for i in kept]
         self.tag, self.link, self.text, self.suspect = ([c[i] for i in kept] for c in (self.tag, self.link, self.text, self.suspect))
 
-    def _add(self, stack: list, tag: str) -> int:
+    def _add(self, stack: Open, tag: str) -> int:
+        parent = stack.items[-1][0]
         self.tag.append(tag)
-        self.parent.append(stack[-1][0])
-        self.link.append(tag == "a" or self.link[stack[-1][0]])
+        self.parent.append(parent)
+        self.link.append(tag == "a" or self.link[parent])
         self.text.append([])
         self.suspect.append(False)
         return len(self.tag) - 1
 
-    def _say(self, stack: list, muted: int, text: str | None) -> None:
+    def _say(self, stack: Open, muted: int, text: str | None) -> None:
         """Own text of the open node; None is a block's edge."""
         if not muted and (text is None or text):
             self.place += 1
-            self.text[stack[-1][0]].append((self.place, text))
+            self.text[stack.items[-1][0]].append((self.place, text))
 
     def densities(self) -> tuple[list[float], list[float]]:
         n = len(self.tag)
@@ -217,24 +271,18 @@ class Page:
 
     def main(self) -> str:
         density, total = self.densities()
-        best = max(range(len(total)), key=lambda i: (total[i], -i))
+        best = max((i for i in range(len(total)) if self.tag[i] in BLOCK and self.tag[i] not in TEXT), key=lambda i: (total[i], -i))
         if total[best] <= 0:
             best = max(range(len(density)), key=lambda i: (density[i], -i))
         path = [best]
         while self.parent[path[-1]] >= 0:
             path.append(self.parent[path[-1]])
-        # an article (else the main element) around the content belongs to it as a whole
-        for name in ("article", "main"):
-            if around := [i for i in path if self.tag[i] == name]:
-                best = around[-1]
-                break
-        threshold = min((density[i] for i in path[: path.index(best) + 1 or 1]), default=0.0)
+        # what stands beside the content and is as dense as its path to the body is content as well
+        threshold, up = min(density[i] for i in path), self.parent[best]
         chosen = {best}
-        if self.tag[best] not in ("article", "main"):
-            # siblings as dense as the content's path are content as well
-            chosen |= {i for i in range(len(self.tag)) if self.parent[i] == self.parent[best] and density[i] >= threshold and self.parent[best] >= 0}
-        else:
-            chosen |= {i for i in range(len(self.tag)) if self.tag[i] == self.tag[best] and self.parent[i] == self.parent[best]}
+        for i in range(len(self.tag)):
+            if up >= 0 and self.parent[i] == up and density[i] >= threshold and (self.tag[i] in TEXT or total[i] >= SHARE * total[best]):
+                chosen.add(i)
         pieces = []
         inside = [False] * len(self.tag)
         for i in range(len(self.tag)):
