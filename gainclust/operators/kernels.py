@@ -70,44 +70,52 @@ def start(x: np.ndarray, k: int, init, rng: np.random.Generator) -> np.ndarray:
     raise ValueError(f"unknown start {init!r}")
 
 
-def one_pass(x: np.ndarray, xx: np.ndarray, labels: np.ndarray, s: np.ndarray, cnt: np.ndarray, order: np.ndarray, move: str, least: float, candidates: np.ndarray | None = None, rotate: int = 0) -> tuple[int, int]:
-    """Visit rows in order and move each by exact gains, state updated at once. Returns (moves, comparisons)."""
-    k = len(cnt)
-    dd = (s * s).sum(1)
+BLOCK = 128  # rows whose products are taken together
+SCAN = 32  # clusters looked at together when the first improving one is taken
+
+
+def one_pass(x: np.ndarray, xx: np.ndarray, labels: np.ndarray, s: np.ndarray, cnt: np.ndarray, order: np.ndarray, move: str, least: float, candidates: np.ndarray | None = None, rotate: int = 0, scan: str = "rotated", by_cluster: bool = False) -> tuple[int, int]:
+    """Visit rows in order and move each by exact gains, state updated at once. Returns (moves, comparisons).
+
+    candidates: clusters to test, per row or (by_cluster) per cluster that a row is in. scan: where first moves begin to look.
+    """
     moved = compared = 0
+    dd = (s * s).sum(1)
     with np.errstate(divide="ignore", invalid="ignore"):
+        if move == "best" and candidates is None:
+            for a in range(0, len(order), BLOCK):
+                m, c = _best_block(x, xx, labels, s, cnt, dd, order[a : a + BLOCK], least)
+                moved, compared = moved + m, compared + c
+            return moved, compared
         for i in order:
             u = labels[i]
             if cnt[u] <= 1:
                 continue
-            row, q = x[i], xx[i]
-            who = None if candidates is None else candidates[i]
-            if who is None:
-                p = s @ row
-                won = np.where(cnt > 0, (2 * p + q - dd / cnt) / (cnt + 1), q)
+            who = None
+            if candidates is not None:
+                who = candidates[u if by_cluster else i]
+                who = who[(who != u) & (who >= 0)]
+            elif scan == "rotated":
+                who = (np.arange(len(cnt)) + (int(i) * 2654435761 + rotate)) % len(cnt)
+                who = who[who != u]
             else:
-                p = s[who] @ row
-                won = np.where(cnt[who] > 0, (2 * p + q - dd[who] / cnt[who]) / (cnt[who] + 1), q)
+                who = np.delete(np.arange(len(cnt)), u)
+            row, q = x[i], xx[i]
             pu = float(s[u] @ row)
             lost = (2 * pu - q - dd[u] / cnt[u]) / (cnt[u] - 1)
-            gain = won - lost
-            gain[u if who is None else who == u] = -np.inf
-            if move == "first":
-                n = len(gain)
-                shift = (int(i) * 2654435761 + rotate) % n
-                turned = np.roll(gain, -shift) > least
-                j = int(np.argmax(turned))
-                compared += j + 1 if turned[j] else n - 1
-                if not turned[j]:
-                    continue
-                j = (j + shift) % n
-            else:
-                j = int(np.argmax(gain))
-                compared += len(gain) - 1
-                if gain[j] <= least:
-                    continue
-            pv = float(p[j])
-            v = j if who is None else int(who[j])
+            v = -1
+            for at in range(0, len(who), SCAN if move == "first" else max(len(who), 1)):
+                part = who[at : at + SCAN] if move == "first" else who
+                p = s[part] @ row
+                gain = np.where(cnt[part] > 0, (2 * p + q - dd[part] / cnt[part]) / (cnt[part] + 1), q) - lost
+                j = int(np.argmax(gain > least)) if move == "first" else int(np.argmax(gain))
+                if gain[j] > least:
+                    compared += j + 1 if move == "first" else len(part)
+                    v, pv = int(part[j]), float(p[j])
+                    break
+                compared += len(part)
+            if v < 0:
+                continue
             dd[v] += 2 * pv + q
             dd[u] += q - 2 * pu
             s[v] += row
@@ -119,10 +127,123 @@ def one_pass(x: np.ndarray, xx: np.ndarray, labels: np.ndarray, s: np.ndarray, c
     return moved, compared
 
 
-def gain_kway(x: np.ndarray, k: int, init="random_label", move: str = "best", max_epochs: int = 20, tol: float = 0.0, seed: int = 42, candidates: int | None = None, warm_epochs: int = 3) -> Run:
-    """Moves by score gain until an epoch moves nothing. candidates: after warm_epochs test each row's k0 best only."""
-    if move not in ("best", "first"):
-        raise ValueError(f"unknown move {move!r}")
+def _best_block(x: np.ndarray, xx: np.ndarray, labels: np.ndarray, s: np.ndarray, cnt: np.ndarray, dd: np.ndarray, rows: np.ndarray, least: float) -> tuple[int, int]:
+    """The rows one after the other, as if each were looked at alone: products of all are taken at once, and after a
+    move only what its two clusters change is taken again."""
+    y, q, own = x[rows], xx[rows], labels[rows]
+    n, k = len(rows), len(cnt)
+    p, inner = y @ s.T, y @ y.T
+    won = np.where(cnt > 0, (2 * p + q[:, None] - dd / cnt) / (cnt + 1), q[:, None])
+    at = np.arange(n)
+    won[at, own] = -np.inf
+    lost = np.where(cnt[own] > 1, (2 * p[at, own] - q - dd[own] / cnt[own]) / (cnt[own] - 1), np.inf)
+    best = won.argmax(1)
+    top = won[at, best]
+    if 8 * np.count_nonzero(top - lost > least) > n:
+        return _dense_block(y, q, own, labels, s, cnt, dd, rows, least, p, inner)
+    i = moved = 0
+    alone = 0
+    while True:
+        hit = top[i:] - lost[i:] > least
+        j = int(hit.argmax()) if i < n else 0
+        end = i + j if i < n and hit[j] else n
+        alone += int((cnt[own[i:end]] <= 1).sum())  # these are passed over
+        if end == n:
+            break
+        i = end
+        u, v = int(own[i]), int(best[i])
+        dd[v] += 2 * p[i, v] + q[i]
+        dd[u] += q[i] - 2 * p[i, u]
+        s[v] += y[i]
+        s[u] -= y[i]
+        cnt[v] += 1
+        cnt[u] -= 1
+        labels[rows[i]] = v
+        moved += 1
+        r = slice(i + 1, n)
+        if i + 1 < n:
+            p[r, v] += inner[r, i]
+            p[r, u] -= inner[r, i]
+            o, z, b, t = own[r], q[r], best[r], top[r]
+            for c in (u, v):
+                w = (2 * p[r, c] + z - dd[c] / cnt[c]) / (cnt[c] + 1) if cnt[c] > 0 else z.copy()
+                w[o == c] = -np.inf
+                won[r, c] = w
+                up = (w > t) | ((w == t) & (c < b) & (w > -np.inf))
+                b[up], t[up] = c, w[up]
+            again = np.flatnonzero((b == u) | (b == v))
+            if len(again):
+                b[again] = won[r][again].argmax(1)
+                t[again] = won[r][again, b[again]]
+            mine = np.flatnonzero((o == u) | (o == v))
+            if len(mine):
+                c = o[mine]
+                lost[i + 1 + mine] = np.where(cnt[c] > 1, (2 * p[i + 1 + mine, c] - z[mine] - dd[c] / cnt[c]) / (cnt[c] - 1), np.inf)
+        i += 1
+    return moved, (n - alone) * (k - 1)
+
+
+def _dense_block(y: np.ndarray, q: np.ndarray, own: np.ndarray, labels: np.ndarray, s: np.ndarray, cnt: np.ndarray, dd: np.ndarray, rows: np.ndarray, least: float, p: np.ndarray, inner: np.ndarray) -> tuple[int, int]:
+    """The same where many rows move: row by row, with the products kept up to date."""
+    p *= 2
+    inner *= 2
+    mean, more = np.where(cnt > 0, dd / cnt, 0.0), cnt + 1
+    moved = alone = 0
+    for i, (u, z, row) in enumerate(zip(own.tolist(), q.tolist(), p)):
+        if cnt[u] <= 1:
+            alone += 1
+            continue
+        gain = row + z
+        gain -= mean
+        gain /= more
+        gain[u] = -np.inf
+        v = int(gain.argmax())
+        if gain[v] - (row[u] - z - mean[u]) / (cnt[u] - 1) <= least:
+            continue
+        dd[v] += row[v] + z
+        dd[u] += z - row[u]
+        s[v] += y[i]
+        s[u] -= y[i]
+        cnt[v] += 1
+        cnt[u] -= 1
+        mean[v], mean[u], more[v], more[u] = dd[v] / cnt[v], dd[u] / cnt[u], cnt[v] + 1, cnt[u] + 1
+        p[i + 1 :, v] += inner[i + 1 :, i]
+        p[i + 1 :, u] -= inner[i + 1 :, i]
+        labels[rows[i]] = v
+        moved += 1
+    return moved, (len(rows) - alone) * (len(cnt) - 1)
+
+
+def nearest_by_gain(x: np.ndarray, s: np.ndarray, cnt: np.ndarray, k0: int) -> np.ndarray:
+    """Per row the k0 clusters it would win most in, ties to the lower; its own counts like any other."""
+    with np.errstate(divide="ignore", invalid="ignore"):
+        q = (x * x).sum(1)[:, None]
+        won = np.where(cnt > 0, (2 * (x @ s.T) + q - (s * s).sum(1) / cnt) / (cnt + 1), -np.inf)
+    return np.argsort(-won, axis=1, kind="stable")[:, :k0]
+
+
+def nearest_centroids(s: np.ndarray, cnt: np.ndarray, k0: int) -> np.ndarray:
+    """Per cluster the k0 others of nearest centroid; -1 where there are fewer."""
+    c = s / np.maximum(cnt, 1)[:, None]
+    half = (c * c).sum(1)
+    d2 = half[:, None] + half - 2 * c @ c.T
+    d2[:, cnt == 0] = np.inf
+    np.fill_diagonal(d2, np.inf)
+    near = np.argsort(d2, axis=1, kind="stable")[:, :k0]
+    return np.where(np.isfinite(np.take_along_axis(d2, near, 1)), near, -1)
+
+
+CANDIDATES = ("row", "cluster")
+
+
+def gain_kway(x: np.ndarray, k: int, init="random_label", move: str = "best", max_epochs: int = 20, tol: float = 0.0, seed: int = 42, candidates: int | None = None, warm_epochs: int = 3, candidate_mode: str = "row", scan: str = "rotated", min_move_ratio: float = 0.0) -> Run:
+    """Moves by score gain until an epoch moves no more than min_move_ratio of the rows.
+
+    candidates: after warm_epochs only k0 clusters are tested, those a row would win most in (candidate_mode row, taken
+    once) or those of the centroids nearest to its cluster's (cluster, taken every epoch); what that takes is counted.
+    """
+    if move not in ("best", "first") or candidate_mode not in CANDIDATES or scan not in ("rotated", "ascending"):
+        raise ValueError(f"unknown move {move!r}, candidate mode {candidate_mode!r} or scan {scan!r}")
     if not 1 <= k <= max(len(x), 1):
         raise ValueError(f"k = {k} of {len(x)} rows")
     rng = np.random.default_rng(seed)
@@ -135,13 +256,16 @@ def gain_kway(x: np.ndarray, k: int, init="random_label", move: str = "best", ma
         s, cnt = sums(x, labels, k)  # from the data again: no drift
         if before is None:
             before = score(s, cnt)
-        if candidates and epoch > warm_epochs and near is None and candidates < k:
-            won = 2 * (x @ s.T) - (s * s).sum(1) / np.maximum(cnt, 1)
-            near = np.argpartition(-won / (cnt + 1), candidates - 1, axis=1)[:, :candidates]
-        moved, compared = one_pass(x, xx, labels, s, cnt, rng.permutation(len(x)), move, least, near, epoch)
+        extra = 0
+        if candidates and epoch > warm_epochs and candidates < k:
+            if candidate_mode == "cluster":
+                near, extra = nearest_centroids(s, cnt, candidates), k * (k - 1)
+            elif near is None:
+                near, extra = nearest_by_gain(x, s, cnt, candidates), len(x) * k
+        moved, compared = one_pass(x, xx, labels, s, cnt, rng.permutation(len(x)), move, least, near, epoch, scan, candidate_mode == "cluster")
         after = score(*sums(x, labels, k))
-        run.history.append({"epoch": epoch, "moves": moved, "score": after, "sse": max(total - after, 0.0), "distortion": max(total - after, 0.0) / max(len(x), 1), "comparisons": compared})
-        if not moved or (tol and after - before <= tol * abs(before)):
+        run.history.append({"epoch": epoch, "moves": moved, "score": after, "sse": max(total - after, 0.0), "distortion": max(total - after, 0.0) / max(len(x), 1), "comparisons": compared + extra})
+        if moved <= min_move_ratio * len(x) or (tol and after - before <= tol * abs(before)):
             break
         before = after
     return run
@@ -208,12 +332,18 @@ def _node_seed(seed: int, node: str) -> int:
     return int.from_bytes(hashlib.md5(f"{seed}:{node}".encode()).digest()[:6], "big")
 
 
-def hierarchy(x: np.ndarray, k: int, splitter: str = "gain", init: str = "random_label", s: int = 2, priority: str = "size", seed: int = 42, move: str = "best", max_epochs: int = 200, root: str = "0") -> Run:
-    """Split the first leaf of the queue into s parts until k leaves stand. A split depends on its rows and node id only."""
+PRIORITIES = ("size", "avg_pair")
+
+
+def hierarchy(x: np.ndarray, k: int, splitter: str = "gain", init: str = "random_label", s: int = 2, priority: str = "size", seed: int = 42, move: str = "best", max_epochs: int = 200, root: str = "0", least: float = 0) -> Run:
+    """Split the first leaf of the queue into s parts until k leaves stand. A split depends on its rows and node id only.
+
+    least: leaves of fewer rows are not split (for parts of a larger hierarchy).
+    """
     if move == "first":
         raise ValueError("first moves are for the flat method")
-    if s < 2 or not 1 <= k <= max(len(x), 1):
-        raise ValueError(f"s = {s}, k = {k} of {len(x)} rows")
+    if s < 2 or not 1 <= k <= max(len(x), 1) or priority not in PRIORITIES or splitter not in ("gain", "lloyd"):
+        raise ValueError(f"s = {s}, k = {k} of {len(x)} rows, priority {priority!r}, splitter {splitter!r}")
     names = np.full(len(x), 0)
     leaves = {0: (root, np.arange(len(x)))}
     run, compared, per_pass, rank, number = Run(names, k), 0, 0, 0, 1
@@ -225,7 +355,7 @@ def hierarchy(x: np.ndarray, k: int, splitter: str = "gain", init: str = "random
         err = sse(y, np.zeros(len(rows), np.int64), 1)
         loose = 2 * len(rows) * err / (len(rows) * (len(rows) - 1)) if len(rows) > 1 else 0.0
         run.nodes.append({"node_id": node, "parent": node.rpartition(".")[0] or None, "depth": node.count("."), "cnt": len(rows), "sse": err, "split_rank": None, "is_leaf": True})
-        if len(rows) > 1 and err > 1e-12 * max(float((y * y).sum()), 1e-300):
+        if len(rows) > 1 and len(rows) >= least and err > 1e-12 * max(float((y * y).sum()), 1e-300):
             heapq.heappush(queue, (-(len(rows) if priority == "size" else loose), node, n, len(run.nodes) - 1))
 
     push(0)

@@ -3,12 +3,18 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
+#: Components whose products fit the driver (512 MB).
+MAX_PCA = 8192
+
+
 def entropy(assignments: DataFrame, classes: DataFrame) -> DataFrame:
     """Per cluster (cluster, cnt, entropy in 0..1) against (id, cls); rows without a class are left out."""
     both = assignments.join(classes.where("cls IS NOT NULL"), "id")
@@ -92,13 +98,42 @@ def vlad_pool(descriptors: DataFrame, words: np.ndarray, by: str = "l_orderkey")
     return m.select(F.col("entity").alias("id"), F.transform(F.sequence(F.lit(0), F.lit(k * d - 1)), lambda j: F.coalesce(F.try_element_at("m", j), F.lit(0.0))).alias("vec"))
 
 
+def gram(rows: DataFrame) -> DataFrame:
+    """(i, mean, g): the mean of component i and the mean products with all components. A partition gives its d sums of
+    d products; these are added by i."""
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n, s, m = 0, None, None
+        for b in batches:
+            if not b.num_rows:
+                continue
+            x = np.asarray(b.column(0).flatten().to_numpy(zero_copy_only=False), np.float64).reshape(b.num_rows, -1)
+            n, s, m = n + len(x), x.sum(0) if s is None else s + x.sum(0), x.T @ x if m is None else m + x.T @ x
+        if n:
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(s), dtype=np.int32)), pa.array(np.full(len(s), n)), pa.array(s), pa.array(list(m), pa.list_(pa.float64()))], names=["i", "n", "s", "g"])
+
+    def total(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[int, list] = {}
+        for b in batches:
+            for i, n, s, g in zip(*(c.to_pylist() for c in b.columns[:3]), b.column(3)):
+                g = g.values.to_numpy()
+                held[i] = [held[i][0] + n, held[i][1] + s, held[i][2] + g] if i in held else [n, s, g]
+        r = list(held.values())
+        yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int32()), pa.array([x[1] / x[0] for x in r], pa.float64()), pa.array([x[2] / x[0] for x in r], pa.list_(pa.float64()))], names=["i", "mean", "g"])
+
+    width = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    parts = rows.select(F.transform("vec", lambda x: x.cast("double")).alias("vec")).mapInArrow(partial, "i int, n long, s double, g array<double>")
+    return parts.repartition(width, "i").mapInArrow(total, "i int, mean double, g array<double>")
+
+
 def pca_fit(rows: DataFrame, d: int, keep: int) -> tuple[np.ndarray, np.ndarray]:
-    """Mean and leading axes from the Gram matrix (d x d to the driver)."""
-    pairs = rows.select(F.posexplode("vec").alias("i", "a"), "vec").select("i", "a", F.posexplode("vec").alias("j", "b"))
-    gram, mean = np.zeros((d, d)), np.zeros(d)
-    for r in pairs.groupBy("i", "j").agg(F.avg(F.col("a") * F.col("b")).alias("g"), F.avg("a").alias("m")).collect():
-        gram[r.i, r.j], mean[r.i] = r.g, r.m
-    values, axes = np.linalg.eigh(gram - np.outer(mean, mean))
+    """Mean and leading axes from the mean products (d x d to the driver; d is refused above MAX_PCA)."""
+    if d > MAX_PCA:
+        raise ValueError(f"{d} components; {MAX_PCA} at most fit the driver")
+    got = gram(rows).orderBy("i").toArrow()
+    mean = got["mean"].to_numpy()
+    products = np.array(got["g"].to_pylist())
+    values, axes = np.linalg.eigh(products - np.outer(mean, mean))
     axes = axes[:, np.argsort(-values)[:keep]]
     return mean, axes * np.sign(axes[np.abs(axes).argmax(0), np.arange(keep)])
 

@@ -74,8 +74,9 @@ def padded(state: DataFrame, k: int, d: int, fixed: bool = False) -> DataFrame:
     return ids.join(state, "cluster", "left").select("cluster", F.coalesce("cnt", F.lit(0)).cast("long").alias("cnt"), F.coalesce("sum_vec", zero).alias("sum_vec"), F.coalesce("dd", F.lit(0)).cast(kind).alias("dd"), F.coalesce("xx", F.lit(0)).cast(kind).alias("xx"))
 
 
-def gains(rows: DataFrame, state: DataFrame, fixed: bool = False) -> DataFrame:
-    """For every row and every other cluster: (id, u, v, gain, by_distance, exact, approx).
+def gains(rows: DataFrame, state: DataFrame, fixed: bool = False, parts: int | None = None) -> DataFrame:
+    """For every row and every other cluster (with parts: of its node, clusters numbered node * parts + part):
+    (id, u, v, gain, by_distance, exact, approx).
 
     gain splits into what v wins and what u loses; by_distance is the same through centroid distances; exact is
     the move condition by appendix averages, approx the form for large clusters.
@@ -84,7 +85,10 @@ def gains(rows: DataFrame, state: DataFrame, fixed: bool = False) -> DataFrame:
     one = lambda p: state.select(*[F.col(c).alias(f"{c}_{p}") for c in ("cluster", "cnt", "sum_vec", "dd")])
     x = rows.select("id", "vec", F.col("cluster").alias("u"), norm2(F.col("vec"), kind).alias("q"))
     x = x.join(F.broadcast(one("u")), F.col("u") == F.col("cluster_u")).withColumn("p_u", dot(F.col("vec"), F.col("sum_vec_u"), kind)).drop("sum_vec_u", "cluster_u")
-    x = x.join(F.broadcast(one("v")), F.col("u") != F.col("cluster_v")).withColumn("p_v", dot(F.col("vec"), F.col("sum_vec_v"), kind)).drop("sum_vec_v", "vec")
+    other = F.col("u") != F.col("cluster_v")
+    if parts:
+        other &= F.floor(F.col("u") / parts) == F.floor(F.col("cluster_v") / parts)
+    x = x.join(F.broadcast(one("v")), other).withColumn("p_v", dot(F.col("vec"), F.col("sum_vec_v"), kind)).drop("sum_vec_v", "vec")
     d = lambda c: F.col(c).cast("double")
     won = F.when(F.col("cnt_v") == 0, d("q")).otherwise(((2 * F.col("p_v") + F.col("q")).cast("double") - d("dd_v") / d("cnt_v")) / (d("cnt_v") + 1))
     lost = F.when(F.col("cnt_u") == 1, d("q")).otherwise(((2 * F.col("p_u") - F.col("q")).cast("double") - d("dd_u") / d("cnt_u")) / (d("cnt_u") - 1))
@@ -101,9 +105,16 @@ def gains(rows: DataFrame, state: DataFrame, fixed: bool = False) -> DataFrame:
     return x.select("id", "u", F.col("cluster_v").alias("v"), (won - lost).alias("gain"), (from_u - to_v).alias("by_distance"), (eu < ev).alias("exact"), (au < av).alias("approx"), "cnt_u")
 
 
-def best_moves(rows: DataFrame, state: DataFrame, fixed: bool = False, first: bool = False, least: float = 0.0) -> DataFrame:
-    """(id, u, v, gain) of each row that has an improving move: the best, ties to the lower cluster; or the first."""
-    g = gains(rows, state, fixed).where((F.col("gain") > least) & (F.col("cnt_u") > 1))
+def best_moves(rows: DataFrame, state: DataFrame, fixed: bool = False, first: bool = False, least: float = 0.0, parts: int | None = None, near: DataFrame | None = None) -> DataFrame:
+    """(id, u, v, gain) of each row that has an improving move: the best, ties to the lower cluster; or the first.
+
+    near: the clusters to test, of a row (id, cluster) or of the cluster it is in (cluster, near).
+    """
+    g = gains(rows, state, fixed, parts).where((F.col("gain") > least) & (F.col("cnt_u") > 1))
+    if near is not None and "id" in near.columns:
+        g = g.join(near.select("id", F.col("cluster").alias("v")), ["id", "v"], "left_semi")
+    elif near is not None:
+        g = g.join(F.broadcast(near.select(F.col("cluster").alias("u"), F.col("near").alias("v"))), ["u", "v"], "left_semi")
     pick = F.max(F.struct((-F.col("v")).alias("neg"), "gain", "u")) if first else F.max(F.struct("gain", (-F.col("v")).alias("neg"), "u"))
     return g.groupBy("id").agg(pick.alias("m")).select("id", F.col("m.u").alias("u"), (-F.col("m.neg")).alias("v"), F.col("m.gain").alias("gain"))
 

@@ -53,12 +53,13 @@ def r9(c) -> F.Column:
 _FX = "floor(({}) * 10000 + 0.5)::BIGINT"
 _BASE = {
     "emb": f"x AS MATERIALIZED (SELECT vec_id AS id, label AS c, list_transform(embedding, lambda v: {_FX.format('v::DOUBLE')}) AS v FROM embeddings)",
+    "emb_double": "x AS MATERIALIZED (SELECT vec_id AS id, label AS c, list_transform(embedding, lambda v: v::DOUBLE) AS v FROM embeddings)",
     "part": f"x AS MATERIALIZED (SELECT p_partkey AS id, p_size % 8 AS c, [{_FX.format('p_size::DOUBLE')}, {_FX.format('p_retailprice / 100')}] AS v FROM part)",
 }
 
 
-def _prefix(base: str) -> str:
-    return f"""WITH {_BASE[base]},
+def _prefix(base: str, kind: str = "BIGINT") -> str:
+    out = f"""WITH {_BASE[base]},
 e AS MATERIALIZED (SELECT id, c, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
 s AS MATERIALIZED (SELECT c, pos, sum(val)::BIGINT AS s FROM e GROUP BY c, pos),
 q AS MATERIALIZED (SELECT id, sum(val * val)::BIGINT AS q FROM e GROUP BY id),
@@ -69,6 +70,7 @@ g AS MATERIALIZED (SELECT pv.id, pv.u, pv.v,
     FROM p pv JOIN p pu ON pu.id = pv.id AND pu.v = pv.u JOIN q ON q.id = pv.id JOIN st su ON su.c = pv.u JOIN st sv ON sv.c = pv.v WHERE pv.v <> pv.u),
 n AS MATERIALIZED (SELECT p.id, p.u, p.v, q.q::DOUBLE - 2 * p.p::DOUBLE / st.cnt + st.dd::DOUBLE / (st.cnt::DOUBLE * st.cnt) AS d2 FROM p JOIN q USING (id) JOIN st ON st.c = p.v)
 """
+    return out.replace("::BIGINT", f"::{kind}")
 
 
 EMB, PART = _prefix("emb"), _prefix("part")
@@ -151,10 +153,16 @@ def move_condition_exact(spark, d):
     return _gains(_part(spark, d)).where(F.abs("gain") > 1).select("id", "u", "v", F.col("exact").alias("moves"))
 
 
-@query()
+_SIDE = "CASE WHEN {n} > 0 THEN 2 * {b} / {n} - {a} / ({n} * ({n} + 1)) + q / ({n} + 1) ELSE q END"
+_APPROX = f""", z AS (SELECT pv.id, pv.v, q.q::DOUBLE AS q, su.cnt::DOUBLE - 1 AS nu, pu.p::DOUBLE - q.q AS bu, su.dd::DOUBLE - 2 * pu.p::DOUBLE + q.q AS au, sv.cnt::DOUBLE AS nv, pv.p::DOUBLE AS bv, sv.dd::DOUBLE AS av
+    FROM p pv JOIN p pu ON pu.id = pv.id AND pu.v = pv.u JOIN q ON q.id = pv.id JOIN st su ON su.c = pv.u JOIN st sv ON sv.c = pv.v WHERE pv.v <> pv.u),
+y AS (SELECT id, v, {_SIDE.format(n='nu', b='bu * nu / (nu + 1)', a='au')} < {_SIDE.format(n='nv', b='bv * nv / (nv + 1)', a='av')} AS exact, {_SIDE.format(n='nu', b='bu', a='au')} < {_SIDE.format(n='nv', b='bv', a='av')} AS approx FROM z)"""
+
+
+@query(PART + _APPROX + " SELECT round(avg((exact <> approx)::INTEGER), 9) AS disagree FROM y")
 def move_condition_approx(spark, d):
     """How often the large-cluster form decides otherwise."""
-    return _gains(_part(spark, d)).agg(F.avg(F.when(F.col("exact") != F.col("approx"), 1.0).otherwise(0.0)).alias("disagree"))
+    return _gains(_part(spark, d)).agg(r9(F.avg(F.when(F.col("exact") != F.col("approx"), 1.0).otherwise(0.0))).alias("disagree"))
 
 
 _MOVE = "SELECT id, u, v, round(gain / 1e8::DOUBLE, 9) AS gain FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY {}) AS r FROM g WHERE gain > 0 AND cnt_u > 1) WHERE r = 1"
@@ -249,28 +257,34 @@ def lloyd_e3(spark, d):
     return lloyd_relational(_part(spark, d), 6, 3)
 
 
-def _gain_step(i: int, k: int, first: bool) -> str:
+def _gain_step(i: int, k: int, first: bool = False, epoch: int | None = None, share: int = SHARE, near: str = "") -> str:
+    """Labels l{i+1} from l{i}: one round of proposals; near: a join that leaves only the clusters to test."""
     pick = "v" if first else "gain DESC, v"
     return f"""s{i} AS MATERIALIZED (SELECT c, pos, sum(val)::BIGINT AS s FROM e JOIN l{i} USING (id) GROUP BY c, pos),
 t{i} AS MATERIALIZED (SELECT r.c, coalesce(a.cnt, 0) AS cnt, coalesce(b.dd, 0) AS dd FROM (SELECT range::INTEGER AS c FROM range({k})) r LEFT JOIN (SELECT c, count(*) AS cnt FROM l{i} GROUP BY c) a USING (c) LEFT JOIN (SELECT c, sum(s * s)::BIGINT AS dd FROM s{i} GROUP BY c) b USING (c)),
-p{i} AS MATERIALIZED (SELECT e.id, s.c, sum(e.val * s.s)::BIGINT AS p FROM e JOIN s{i} s USING (pos) GROUP BY e.id, s.c),
+p{i} AS MATERIALIZED (SELECT e.id, s.c, sum(e.val * s.s)::BIGINT AS p FROM e JOIN l{i} USING (id) JOIN s{i} s USING (pos) GROUP BY e.id, s.c),
 g{i} AS MATERIALIZED (SELECT l.id, tv.c AS v, CASE WHEN tv.cnt = 0 THEN q.q::DOUBLE ELSE ((2 * pv.p + q.q)::DOUBLE - tv.dd::DOUBLE / tv.cnt::DOUBLE) / (tv.cnt::DOUBLE + 1) END
     - ((2 * pu.p - q.q)::DOUBLE - tu.dd::DOUBLE / tu.cnt::DOUBLE) / (tu.cnt::DOUBLE - 1) AS gain
-    FROM l{i} l JOIN q USING (id) JOIN t{i} tu ON tu.c = l.c AND tu.cnt > 1 JOIN p{i} pu ON pu.id = l.id AND pu.c = l.c JOIN t{i} tv ON tv.c <> l.c LEFT JOIN p{i} pv ON pv.id = l.id AND pv.c = tv.c),
+    FROM l{i} l JOIN q USING (id) JOIN t{i} tu ON tu.c = l.c AND tu.cnt > 1 JOIN p{i} pu ON pu.id = l.id AND pu.c = l.c JOIN t{i} tv ON tv.c <> l.c {near} LEFT JOIN p{i} pv ON pv.id = l.id AND pv.c = tv.c),
 m{i} AS MATERIALIZED (SELECT id, v FROM (SELECT *, row_number() OVER (PARTITION BY id ORDER BY {pick}) AS r FROM g{i} WHERE gain > 0) WHERE r = 1),
-l{i + 1} AS MATERIALIZED (SELECT l.id, CASE WHEN m.v IS NOT NULL AND {_HASH.format('l.id', f'{SEED}-{i + 1}')} % {SHARE} = 0 THEN m.v ELSE l.c END AS c FROM l{i} l LEFT JOIN m{i} m USING (id))"""
+l{i + 1} AS MATERIALIZED (SELECT l.id, CASE WHEN m.v IS NOT NULL AND {_HASH.format('l.id', f'{SEED}-{epoch or i + 1}')} % {share} = 0 THEN m.v ELSE l.c END AS c FROM l{i} l LEFT JOIN m{i} m USING (id))"""
 
 
-def _gain_chain(base: str, k: int, epochs: int, first: bool = False) -> str:
-    return f"""WITH {_BASE[base]},
-e AS MATERIALIZED (SELECT id, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
+_ROWS = """e AS MATERIALIZED (SELECT id, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
 q AS MATERIALIZED (SELECT id, sum(val * val)::BIGINT AS q FROM e GROUP BY id),
-l0 AS MATERIALIZED (SELECT id, ({_HASH.format('id', SEED)} % {k})::INTEGER AS c FROM x),
-""" + ", ".join(_gain_step(i, k, first) for i in range(epochs)) + f" SELECT id, c AS cluster FROM l{epochs}"
+"""
 
 
-def _relational(rows: DataFrame, k: int, epochs: int, move: str = "best") -> DataFrame:
-    return kway.gain_kway(rows.withColumn("vec", F.transform("vec", lambda x: x.cast("double") / FIXED)), k, move=move, engine="relational", max_epochs=epochs, seed=SEED, share=SHARE, fixed=True).assignments
+def _gain_chain(base: str, k: int, epochs: int, first: bool = False) -> str:
+    return f"WITH {_BASE[base]},\n{_ROWS}l0 AS MATERIALIZED (SELECT id, ({_HASH.format('id', SEED)} % {k})::INTEGER AS c FROM x),\n" + ", ".join(_gain_step(i, k, first) for i in range(epochs)) + f" SELECT id, c AS cluster FROM l{epochs}"
+
+
+def _doubles(rows: DataFrame) -> DataFrame:
+    return rows.withColumn("vec", F.transform("vec", lambda x: x.cast("double") / FIXED))
+
+
+def _relational(rows: DataFrame, k: int, epochs: int, move: str = "best", init="random_label", **options) -> DataFrame:
+    return kway.gain_kway(_doubles(rows), k, init, move, engine="relational", max_epochs=epochs, seed=SEED, share=SHARE, fixed=True, **options).assignments
 
 
 @query(_gain_chain("emb", K, 1))
@@ -293,6 +307,132 @@ def gain_kway_first_e2(spark, d):
     return _relational(_emb(spark, d), K, 2, "first")
 
 
+@query(_SEEDS.format(base=_BASE["part"], k=6) + _lloyd_step(0) + ", " + ", ".join(_gain_step(i, 6, epoch=i) for i in (1, 2)) + " SELECT id, c AS cluster FROM l3")
+def gain_kway_seeded_e2(spark, d):
+    return _relational(_part(spark, d), 6, 2, init="seed_nearest")
+
+
+def _near_rows(i: int, k0: int) -> str:
+    return f"""w{i} AS MATERIALIZED (SELECT id, c FROM (SELECT p.id, p.c, row_number() OVER (PARTITION BY p.id ORDER BY ((2 * p.p + q.q)::DOUBLE - t.dd::DOUBLE / t.cnt) / (t.cnt::DOUBLE + 1) DESC, p.c) AS r FROM p{i} p JOIN q USING (id) JOIN t{i} t ON t.c = p.c) WHERE r <= {k0})"""
+
+
+def _near_clusters(i: int, k0: int) -> str:
+    return f"""cc{i} AS (SELECT s.c, s.pos, s.s / t.cnt::DOUBLE AS x FROM s{i} s JOIN t{i} t USING (c)),
+w{i} AS MATERIALIZED (SELECT u, v FROM (SELECT u, v, row_number() OVER (PARTITION BY u ORDER BY d2, v) AS r FROM (SELECT a.c AS u, b.c AS v, round(sum(power(a.x - b.x, 2)), 6) AS d2 FROM cc{i} a JOIN cc{i} b ON a.pos = b.pos AND a.c <> b.c GROUP BY a.c, b.c)) WHERE r <= {k0})"""
+
+
+def _candidate_chain(base: str, k: int, k0: int, mode: str) -> str:
+    """Three epochs, the first with all clusters."""
+    out = f"WITH {_BASE[base]},\n{_ROWS}l0 AS MATERIALIZED (SELECT id, ({_HASH.format('id', SEED)} % {k})::INTEGER AS c FROM x),\n" + _gain_step(0, k)
+    for i in (1, 2):
+        near = "JOIN w1 w ON w.id = l.id AND w.c = tv.c" if mode == "row" else f"JOIN w{i} w ON w.u = l.c AND w.v = tv.c"
+        step = _gain_step(i, k, near=near)
+        if mode == "cluster" or i == 1:
+            made = _near_rows(i, k0) if mode == "row" else _near_clusters(i, k0)
+            step = step.replace(f"\ng{i} AS", f"\n{made},\ng{i} AS")
+        out += ", " + step
+    return out + " SELECT id, c AS cluster FROM l3"
+
+
+@query(_candidate_chain("part", 8, 3, "row"))
+def gain_kway_row_candidates_e3(spark, d):
+    return _relational(_part(spark, d), 8, 3, candidates=3, warm_epochs=1)
+
+
+@query(_candidate_chain("part", 8, 3, "cluster"))
+def gain_kway_cluster_candidates_e3(spark, d):
+    return _relational(_part(spark, d), 8, 3, candidates=3, warm_epochs=1, candidate_mode="cluster")
+
+
+# --- hierarchies: SQL splits one leaf after the other, the engine all that may be wanted at once
+
+
+def _tree_sql(base: str, s: int, k: int, priority: str, epochs: int = 2, share: int = 2) -> tuple[str, int]:
+    """Nodes n{steps} (id, node) after all splits; b{t} is the leaf of split t with its rows."""
+    steps = (k - 1) // (s - 1)
+    out = f"WITH {_BASE[base]},\n{_ROWS}n0 AS MATERIALIZED (SELECT id, '0' AS node FROM x)"
+    for t in range(steps):
+        key = "count(*)"
+        if priority == "avg_pair":
+            out += f""", a{t} AS (SELECT node, count(DISTINCT id) AS cnt, sum(val * val)::DOUBLE AS xx FROM n{t} JOIN e USING (id) GROUP BY node),
+d{t} AS (SELECT node, sum(s * s)::DOUBLE AS dd FROM (SELECT node, pos, sum(val)::BIGINT AS s FROM n{t} JOIN e USING (id) GROUP BY node, pos) GROUP BY node)"""
+            choose = f"SELECT node, cnt FROM a{t} JOIN d{t} USING (node) WHERE cnt > 1 ORDER BY 2 * (xx - dd / cnt) / (cnt - 1) DESC, node LIMIT 1"
+        else:
+            choose = f"SELECT node, {key} AS cnt FROM n{t} GROUP BY node HAVING count(*) > 1 ORDER BY cnt DESC, node LIMIT 1"
+        i = 10 * (t + 1)
+        first = _HASH.format("(node || ':' || id)", SEED)
+        out += f""", b{t} AS MATERIALIZED ({choose}),
+l{i} AS MATERIALIZED (SELECT id, ({first} % {s})::INTEGER AS c FROM n{t} JOIN b{t} USING (node)),
+""" + ", ".join(_gain_step(i + j, s, epoch=j + 1, share=share) for j in range(epochs))
+        out += f", n{t + 1} AS MATERIALIZED (SELECT n.id, CASE WHEN l.c IS NULL THEN n.node ELSE n.node || '.' || l.c END AS node FROM n{t} n LEFT JOIN l{i + epochs} l USING (id))"
+    return out, steps
+
+
+def _leaves_sql(base: str, s: int, k: int, priority: str = "size") -> str:
+    out, steps = _tree_sql(base, s, k, priority)
+    return out + f", l0 AS MATERIALIZED (SELECT id, (dense_rank() OVER (ORDER BY node) - 1)::INTEGER AS c FROM n{steps})"
+
+
+def _tree(spark, d, k: int, s: int = 2, priority: str = "size") -> kway.ClusterResult:
+    return kway.gain_split(_doubles(_part(spark, d)), k, s, priority=priority, engine="relational", max_epochs=2, share=2, seed=SEED, fixed=True)
+
+
+@query(_leaves_sql("part", 2, 4) + " SELECT id, c AS cluster FROM l0")
+def gain_bisect_k4(spark, d):
+    return _tree(spark, d, 4).assignments
+
+
+@query(_leaves_sql("part", 2, 9) + " SELECT id, c AS cluster FROM l0")
+def gain_bisect_k9(spark, d):
+    return _tree(spark, d, 9).assignments
+
+
+@query(_leaves_sql("part", 3, 7) + " SELECT id, c AS cluster FROM l0")
+def gain_split_s3(spark, d):
+    return _tree(spark, d, 7, 3).assignments
+
+
+@query(_leaves_sql("part", 2, 6, "avg_pair") + " SELECT id, c AS cluster FROM l0")
+def gain_bisect_avg_pair(spark, d):
+    return _tree(spark, d, 6, priority="avg_pair").assignments
+
+
+@query(_leaves_sql("part", 2, 4) + ", " + ", ".join(_gain_step(i, 4) for i in range(2)) + " SELECT id, c AS cluster FROM l2")
+def refine_k4(spark, d):
+    return _relational(_part(spark, d), 4, 2, init=_tree(spark, d, 4).assignments)
+
+
+def _visited_sql(base: str, k: int) -> str:
+    out, steps = _tree_sql(base, 2, k, "size")
+    return out + " SELECT sum(cnt)::BIGINT AS visited FROM (" + " UNION ALL ".join(f"SELECT cnt FROM b{t}" for t in range(steps)) + ")"
+
+
+@query(_visited_sql("part", 9))
+def visited(spark, d):
+    """Rows in split nodes, which one pass over each of them visits."""
+    nodes = [(bool(x["is_leaf"]), int(x["cnt"])) for x in _tree(spark, d, 9).nodes]
+    return metrics.visited(spark.createDataFrame(nodes, "is_leaf boolean, cnt long"))
+
+
+def _minibatch_sql(base: str, k: int, iterations: int, fraction: float) -> str:
+    out = _SEEDS.format(base=_BASE[base], k=k) + """s0 AS MATERIALIZED (SELECT l0.c, e.pos, e.val AS s FROM l0 JOIN e USING (id)), t0 AS MATERIALIZED (SELECT c, 1 AS cnt, sum(s * s)::BIGINT AS dd FROM s0 GROUP BY c)"""
+    near = lambda i, name, rows: f"""p{i} AS MATERIALIZED (SELECT e.id, s.c, sum(e.val * s.s)::BIGINT AS p FROM e JOIN s{i} s USING (pos) {rows} GROUP BY e.id, s.c),
+{name} AS MATERIALIZED (SELECT id, c FROM (SELECT p.id, p.c, row_number() OVER (PARTITION BY p.id ORDER BY q.q::DOUBLE - 2 * p.p::DOUBLE / t.cnt + t.dd::DOUBLE / (t.cnt::DOUBLE * t.cnt), p.c) AS r FROM p{i} p JOIN q USING (id) JOIN t{i} t USING (c)) WHERE r = 1)"""
+    for i in range(iterations):
+        batch = f"WHERE {_HASH.format('e.id', f'mb{SEED}-{i}')} < {int(fraction * (1 << 28))}"
+        every = " UNION ALL ".join(f"SELECT id, c FROM a{j}" for j in range(i + 1))
+        out += f""", {near(i, f'a{i}', batch)},
+w{i} AS MATERIALIZED ({every}),
+s{i + 1} AS MATERIALIZED (SELECT c, pos, sum(val)::BIGINT AS s FROM w{i} JOIN e USING (id) GROUP BY c, pos UNION ALL SELECT c, pos, s FROM s0 WHERE c NOT IN (SELECT c FROM w{i})),
+t{i + 1} AS MATERIALIZED (SELECT c, coalesce(any_value(n), 1) AS cnt, sum(s * s)::BIGINT AS dd FROM s{i + 1} LEFT JOIN (SELECT c, count(*) AS n FROM w{i} GROUP BY c) USING (c) GROUP BY c)"""
+    return out + ", " + near(iterations, "z", "") + " SELECT id, c AS cluster FROM z"
+
+
+@query(_minibatch_sql("part", 6, 3, 0.1))
+def minibatch_e3(spark, d):
+    return kway.minibatch_relational(_part(spark, d), 6, 0.1, 3, SEED)
+
+
 def flagship(spark: SparkSession, d: str) -> DataFrame:
     """Three epochs of gain clustering of the embeddings: (cluster, cnt, sse)."""
     labels = gain_kway_e3(spark, d)
@@ -324,8 +464,10 @@ _method("gain_kway_partitioned_dsq_first", lambda r: kway.gain_kway(r, K, "dsq_n
 _method("gain_kway_sequential", lambda r: kway.gain_kway(r, K, engine="sequential"))
 _method("gain_bisect_k10", lambda r: kway.gain_bisect(r, K))
 _method("gain_bisect_distributed", lambda r: kway.gain_bisect(r, 4, local_rows=200))
-_method("gain_bisect_avg_pair", lambda r: kway.gain_split(r, K, priority="avg_pair"))
-_method("gain_split_s3", lambda r: kway.gain_split(r, K, s=3))
+_method("gain_bisect_avg_pair_tasks", lambda r: kway.gain_split(r, K, priority="avg_pair"))
+_method("gain_split_s3_tasks", lambda r: kway.gain_split(r, K, s=3))
+_method("gain_kway_partitioned_cluster_candidates", lambda r: kway.gain_kway(r, K, max_epochs=5, candidates=4, candidate_mode="cluster"))
+_method("gain_kway_partitioned_waves", lambda r: kway.gain_kway(r, K, max_epochs=3, waves=4))
 _method("refine_bisect", lambda r: kway.refine(kway.gain_bisect(r, K), r))
 _method("lloyd_distributed", lambda r: kway.lloyd(r, K, max_epochs=5))
 _method("lloyd_dsq_distributed", lambda r: kway.lloyd(r, K, "dsq", max_epochs=5))
@@ -353,9 +495,9 @@ def idf(spark, d):
     return features.idf(features.term_counts(docs), docs.count()).withColumn("idf", r9(F.col("idf")))
 
 
-@query(_TERMS + ", top AS (SELECT * FROM df ORDER BY df DESC, term LIMIT 128), w AS (SELECT id, term, tf * idf AS w FROM tc JOIN top USING (term)) SELECT id, term, round(CASE WHEN sqrt(sum(w * w) OVER (PARTITION BY id)) > 0 THEN w / sqrt(sum(w * w) OVER (PARTITION BY id)) ELSE 0 END, 9) AS weight FROM w")
+@query(_TERMS + ", top AS (SELECT * FROM df ORDER BY df DESC, term LIMIT 512), w AS (SELECT id, term, tf * idf AS w FROM tc JOIN top USING (term)) SELECT id, term, round(CASE WHEN sqrt(sum(w * w) OVER (PARTITION BY id)) > 0 THEN w / sqrt(sum(w * w) OVER (PARTITION BY id)) ELSE 0 END, 9) AS weight FROM w")
 def tfidf(spark, d):
-    return features.tfidf(load_table(spark, d, "documents"), 128).select("id", "term", r9(F.col("weight")).alias("weight"))
+    return features.tfidf(load_table(spark, d, "documents"), 512).select("id", "term", r9(F.col("weight")).alias("weight"))
 
 
 def _entropy_sql(classes: str) -> str:
@@ -418,24 +560,46 @@ def adc_recall(spark, d):
     return workloads.w6(spark, d, methods=["gain_random_label"])
 
 
-@query()
+_WORDS = 256
+_CODED = "WITH " + _BASE["emb"] + f""", e AS MATERIALIZED (SELECT id, unnest(v) AS val, generate_subscripts(v, 1) - 1 AS pos FROM x),
+z AS MATERIALIZED (SELECT a.id, (a.pos // 8)::INTEGER AS sub, b.id AS code, sum((a.val - b.val) * (a.val - b.val))::BIGINT AS err2 FROM e a JOIN e b ON a.pos = b.pos AND b.id < {_WORDS} GROUP BY ALL),
+c AS MATERIALIZED (SELECT id, sub, code, err2 FROM (SELECT *, row_number() OVER (PARTITION BY id, sub ORDER BY err2, code) AS r FROM z) WHERE r = 1)"""
+
+
+def _coded(spark, d) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Rows in fixed point as doubles, the books of chosen words, and the codes."""
+    rows = _emb(spark, d)
+    books = pq.split_subvectors(rows.where(f"id < {_WORDS}"), 8, 64).select("sub", F.col("id").cast("int").alias("code"), F.transform("vec", lambda x: x.cast("double")).alias("vec"))
+    rows = rows.select("id", F.transform("vec", lambda x: x.cast("double")).alias("vec"))
+    return rows, books, pq.pq_encode(rows, books, 8, 64)
+
+
+_RANKED = "SELECT query_id, id, dist2, rank FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist2, id)::INTEGER AS rank FROM f) WHERE rank <= 10"
+
+
+@query(_CODED + ", f AS (SELECT q.id AS query_id, b.id, sum(q.err2)::DOUBLE AS dist2 FROM z q JOIN c b ON b.sub = q.sub AND b.code = q.code WHERE q.id % 10 = 0 AND b.id % 10 <> 0 GROUP BY ALL) " + _RANKED)
+def adc_search(spark, d):
+    """Queries as they are, the base coded."""
+    rows, books, codes = _coded(spark, d)
+    return pq.adc_search(rows.where("id % 10 = 0"), codes.where("id % 10 <> 0"), books, 8, 10)
+
+
+@query(_CODED + """, f AS (SELECT q.id AS query_id, b.id, sum(z.err2)::DOUBLE AS dist2 FROM c q JOIN c b ON b.sub = q.sub JOIN z ON z.id = q.code AND z.sub = q.sub AND z.code = b.code WHERE q.id % 10 = 0 AND b.id % 10 <> 0 GROUP BY ALL) """ + _RANKED)
 def sdc_search(spark, d):
-    rows = features.emb64(spark, d)
-    base = rows.where("id % 10 <> 0")
-    books = pq.train_pq(base, 8, 64, 16)
-    return pq.adc_search(rows.where("id % 10 = 0"), pq.pq_encode(base, books, 8, 64), books, 8, 10, symmetric=True)
+    """Queries and base coded."""
+    rows, books, codes = _coded(spark, d)
+    return pq.adc_search(rows.where("id % 10 = 0"), codes.where("id % 10 <> 0"), books, 8, 10, symmetric=True)
 
 
-@query()
+@query(_CODED + " SELECT round(sum(err2) / count(DISTINCT id) / 1e8::DOUBLE, 9) AS mean_error FROM c")
 def pq_error(spark, d):
-    rows = features.emb64(spark, d)
-    books = pq.train_pq(rows, 8, 64, 16)
-    return pq.pq_error(rows, pq.pq_decode(pq.pq_encode(rows, books, 8, 64), books, 8))
+    rows, books, codes = _coded(spark, d)
+    return pq.pq_error(rows, pq.pq_decode(codes, books, 8)).select(r9(F.col("mean_error") / SQ).alias("mean_error"))
 
 
 @query()
 def train_pq(spark, d):
-    return pq.train_pq(features.emb64(spark, d), 8, 64, 16)
+    return pq.train_pq(features.emb64(spark, d), 8, 64)
 
 
 # --- vectors, pooling, features, measures
@@ -464,11 +628,10 @@ def vlad_pool(spark, d):
     return metrics.vlad_pool(features.line4(spark, d), WORDS).select("id", F.posexplode("vec").alias("pos", "x")).select("id", "pos", (F.round("x", 6) + F.lit(0.0)).alias("x"))
 
 
-@query("WITH e AS (SELECT vec_id AS id, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) - 1 AS pos FROM embeddings) SELECT a.pos::INTEGER AS i, b.pos::INTEGER AS j, round(avg(a.x * b.x), 9) AS g FROM e a JOIN e b USING (id) GROUP BY ALL")
+@query("WITH e AS (SELECT vec_id AS id, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) - 1 AS pos FROM embeddings) SELECT a.pos::INTEGER AS i, b.pos::INTEGER AS j, round(avg(a.x), 9) AS mean, round(avg(a.x * b.x), 9) AS g FROM e a JOIN e b USING (id) GROUP BY ALL")
 def pca_gram(spark, d):
-    rows = features.emb64(spark, d)
-    pairs = rows.select(F.posexplode("vec").alias("i", "a"), "vec").select("i", "a", F.posexplode("vec").alias("j", "b"))
-    return pairs.groupBy("i", "j").agg(r9(F.avg(F.col("a").cast("double") * F.col("b").cast("double"))).alias("g"))
+    """What the axes are taken from."""
+    return metrics.gram(features.emb64(spark, d)).select("i", F.posexplode("g").alias("j", "g"), "mean").select("i", "j", r9(F.col("mean")).alias("mean"), r9(F.col("g")).alias("g"))
 
 
 def _exploded(rows: DataFrame) -> DataFrame:
@@ -507,10 +670,13 @@ def nominal_comparisons(spark, d):
     return spark.createDataFrame([(s, metrics.nominal_comparisons(1024, 16, s)) for s in (2, 4, 16)], "s int, comparisons double").withColumn("comparisons", F.round("comparisons", 6))
 
 
-@query()
+@query(_gain_chain("part", 6, 2).replace(" SELECT id, c AS cluster FROM l2", """, ct AS (SELECT a.c AS a, b.c AS b, count(*)::DOUBLE AS n FROM l1 a JOIN l2 b USING (id) GROUP BY ALL),
+z AS (SELECT (SELECT sum(n * (n - 1) / 2) FROM ct) AS s, (SELECT sum(n) * (sum(n) - 1) / 2 FROM ct) AS every, (SELECT sum(n * (n - 1) / 2) FROM (SELECT sum(n) AS n FROM ct GROUP BY a)) AS sa, (SELECT sum(n * (n - 1) / 2) FROM (SELECT sum(n) AS n FROM ct GROUP BY b)) AS sb)
+SELECT round((s - sa * sb / every) / ((sa + sb) / 2 - sa * sb / every), 9) AS rand FROM z"""))
 def pair_agreement(spark, d):
-    rows = features.emb64(spark, d)
-    return metrics.pair_agreement(kway.gain_kway(rows, K, engine="sequential").assignments, kway.gain_bisect(rows, K).assignments)
+    """Of the labels after one and after two epochs."""
+    rows = _part(spark, d)
+    return metrics.pair_agreement(_relational(rows, 6, 1), _relational(rows, 6, 2)).select(r9(F.col("rand")).alias("rand"))
 
 
 @query()
@@ -672,12 +838,12 @@ def followed_by(spark, d):
 def _tfidf_sql(source: str) -> str:
     return rf"""WITH src AS ({source}), tc AS (SELECT id, term, count(*) AS tf FROM (SELECT id, unnest(regexp_extract_all(lower(text), '\p{{L}}+')) AS term FROM src) GROUP BY id, term),
 df AS (SELECT term, count(*) AS df, ln((SELECT count(DISTINCT id) FROM src)::DOUBLE / count(*)) AS idf FROM tc GROUP BY term),
-top AS (SELECT * FROM df ORDER BY df DESC, term LIMIT 128), w AS (SELECT id, term, tf * idf AS w FROM tc JOIN top USING (term)), n AS (SELECT *, sqrt(sum(w * w) OVER (PARTITION BY id)) AS n FROM w)
+top AS (SELECT * FROM df ORDER BY df DESC, term LIMIT 512), w AS (SELECT id, term, tf * idf AS w FROM tc JOIN top USING (term)), n AS (SELECT *, sqrt(sum(w * w) OVER (PARTITION BY id)) AS n FROM w)
 SELECT id, term, round(CASE WHEN n > 0 THEN w / n ELSE 0 END, 9) AS weight FROM n"""
 
 
 def _weights(docs: DataFrame, id_col: str) -> DataFrame:
-    return features.tfidf(docs, 128, id_col=id_col).select("id", "term", r9(F.col("weight")).alias("weight"))
+    return features.tfidf(docs, 512, id_col=id_col).select("id", "term", r9(F.col("weight")).alias("weight"))
 
 
 @query(_tfidf_sql("SELECT page_id AS id, regexp_replace(html, '<[^>]*>', ' ', 'g') AS text FROM pages"))
@@ -702,13 +868,10 @@ _method("lloyd_dsq_oversampled", lambda r: kway.lloyd(r, K, "dsq_oversampled", m
 _method("restarts", lambda r: kway.restarts(r, "gain_random_label", K)[1])
 
 
-@query()
-def visited(spark, d):
-    """Rows in split nodes, and what even splits would give."""
-    got = kway.gain_bisect(features.emb64_scaled(spark, d).select("id", "vec"), 16)
-    n = max(x["cnt"] for x in got.nodes)
-    nodes = spark.createDataFrame([(bool(x["is_leaf"]), int(x["cnt"])) for x in got.nodes], "is_leaf boolean, cnt long")
-    return metrics.visited(nodes).withColumn("even", F.lit(float(metrics.nominal_comparisons(int(n), 16, 2))))
+def _line4(method: str, spark, d) -> DataFrame:
+    """One distributed run over the whole of line4, k = 64, with its rows a second."""
+    rows = features.line4(spark, d).select("id", "vec")
+    return spark.createDataFrame(workloads._timed(rows, 64, [method]), workloads.GROWTH)
 
 
 def _workload(name: str, f):
@@ -716,10 +879,46 @@ def _workload(name: str, f):
     query()(f)
 
 
-for _name in ("w1", "w2", "w3", "w4", "w5", "w10", "w11", "w12", "w13", "w14", "w15", "w16", "w17", "w18", "w19"):
+@query(_prefix("emb_double", "DOUBLE") + _APPROX + f""", b AS (SELECT y.*, g.gain, g.cnt_u FROM y JOIN g USING (id, v))
+SELECT sum((abs(gain) > 1e-9 AND exact <> (gain > 0))::INTEGER)::BIGINT AS unequal, round(avg((exact <> approx)::INTEGER), 9) AS approx_differs, count(DISTINCT CASE WHEN gain > 1e-9 AND cnt_u > 1 THEN id END) AS improving,
+    (SELECT count(*) FROM {_NEAR} a JOIN n ON n.id = a.id AND n.v = a.u WHERE a.d2 < n.d2) AS violations FROM b""")
+def w18(spark, d):
+    return workloads.w18(spark, d)
+
+
+_GIVEN = {
+    "emb64": "SELECT vec_id AS id, list_transform(embedding, lambda v: v::DOUBLE) AS v, label::VARCHAR AS c FROM embeddings",
+    "emb64_scaled": "SELECT vec_id AS id, list_transform(embedding, lambda v: v::DOUBLE * (1 + vec_id % 5)) AS v, label::VARCHAR AS c FROM embeddings",
+    "part2": "SELECT p_partkey AS id, [p_size::DOUBLE, p_retailprice / 100] AS v, (p_size % 8)::VARCHAR AS c FROM part",
+    "acct1": "SELECT s_suppkey AS id, [s_acctbal / 1000] AS v, (s_nationkey % 3)::VARCHAR AS c FROM supplier",
+    "line4": "SELECT row_number() OVER () AS id, [l_quantity, l_extendedprice / 1000, l_discount * 100, l_tax * 100] AS v, l_returnflag AS c FROM lineitem",
+    "user7": "SELECT user_id AS id, [count(*) FILTER (event_type = 'click')::DOUBLE, count(*) FILTER (event_type = 'purchase'), count(*) FILTER (event_type = 'error'), count(*) FILTER (event_type = 'signup'), count(*) FILTER (event_type = 'view'), avg(value), max(value)] AS v, (user_id % 5)::VARCHAR AS c FROM events GROUP BY user_id",
+    "cust4": "SELECT o_custkey AS id, [count(*)::DOUBLE, sum(o_totalprice), avg(o_totalprice), max(o_totalprice)] AS v, (o_custkey % 5)::VARCHAR AS c FROM orders GROUP BY o_custkey",
+}
+
+
+def _identities_sql(name: str) -> str:
+    places = workloads.DIGITS.get(name, 3)
+    return f"""(WITH x AS MATERIALIZED ({_GIVEN[name]}), e AS MATERIALIZED (SELECT id, c, unnest(v) AS val, generate_subscripts(v, 1) AS pos FROM x),
+s AS (SELECT c, pos, sum(val) AS s, count(*) AS n FROM e GROUP BY c, pos), st AS (SELECT c, any_value(n) AS cnt, sum(s * s) AS dd FROM s GROUP BY c), xs AS (SELECT c, sum(val * val) AS xx FROM e GROUP BY c),
+o AS (SELECT sum(cnt)::BIGINT AS n, sum(xx) AS total, sum(dd / cnt) AS score, sum(xx - dd / cnt) AS sse, sum(CASE WHEN cnt > 1 THEN 2 * cnt::DOUBLE / (cnt - 1) * (xx - dd / cnt) ELSE 0 END) AS pe FROM st JOIN xs USING (c)),
+r AS (SELECT sum(power(e.val - s.s / s.n, 2)) AS by_row FROM e JOIN s USING (c, pos))
+SELECT '{name}' AS rows, n, round(total, {places}) AS total, round(score, {places}) AS score, round(sse, {places}) AS sse, round(by_row, {places}) AS sse_by_row, round(sse / n, {places}) AS distortion, round(pe, {places}) AS pair_exact, round(2 * total - 2 * score, {places}) AS pair_approx, round((pe - (2 * total - 2 * score)) / pe, 6) AS pair_gap FROM o, r)"""
+
+
+@query(" UNION ALL ".join(_identities_sql(x) for x in _GIVEN))
+def w19(spark, d):
+    return workloads.w19(spark, d)
+
+
+for _name in ("w1", "w2", "w3", "w4", "w5", "w5_line4", "w10", "w11", "w12", "w13", "w14", "w15", "w16", "w17"):
     _workload(_name, lambda spark, d, _f=getattr(workloads, _name): _f(spark, d))
 for _name, _m, _methods in (("w6", 8, kernels.FLAT), ("w7", 8, kernels.HIERARCHIES), ("w8", 16, kernels.FLAT), ("w9", 16, kernels.HIERARCHIES)):
     _workload(_name, lambda spark, d, _m=_m, _t=[x for x in workloads.TABLE if x in _methods]: workloads.w6(spark, d, _m, methods=_t))
+_workload("w10_labels", lambda spark, d: workloads.w10(spark, d, cls="labels"))
+_workload("gain_kway_line4", lambda spark, d: _line4("gain_random_label", spark, d))
+_workload("gain_bisect_line4", lambda spark, d: _line4("gain_bisect_random_label", spark, d))
+_workload("lloyd_line4", lambda spark, d: _line4("lloyd", spark, d))
 _workload("w10_source", lambda spark, d: workloads.w10(spark, d, cls="source"))
 
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import json
+import re
 import tempfile
 import uuid
 
@@ -40,8 +41,11 @@ def write_bucketed(assignments: DataFrame, table: str, buckets: int) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share; only a driver that is its own executor may go without a setting."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="gainclust-"))
         found = spark.sparkContext.getCheckpointDir()
     return found.rstrip("/")
@@ -51,7 +55,16 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     """Written once, read back: iterations start from files, not from ever longer plans."""
     path = f"{shared_dir(df.sparkSession)}/gainclust/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._stored_path = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete tables made by stored() that no later plan reads."""
+    for df in tables:
+        path = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df._stored_path)
+        path.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def save_model(path: str, tables: dict[str, DataFrame], params: dict) -> str:

@@ -149,7 +149,8 @@ def test_interval_stream(spark, tmp_path):
 
 def test_identities_on_every_table(spark, sf):
     for r in workloads.w19(spark, sf).collect():
-        assert abs(r.sse - r.sse_by_row) <= 1e-9 * r.total and abs(r.score + r.sse - r.total) <= 1e-9 * r.total, r
+        near = 1e-9 * r.total + 0.002  # published to three places
+        assert abs(r.sse - r.sse_by_row) <= near and abs(r.score + r.sse - r.total) <= near, r
     w = workloads.w18(spark, sf).first()
     assert w.unequal == 0 and 0 <= w.approx_differs < 0.2 and w.violations <= w.improving
 
