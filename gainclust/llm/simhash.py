@@ -25,6 +25,7 @@ from gainclust.llm.common import discard, shuffle_width, stored, trimmed
 from gainclust.llm.components import components
 
 SEED, WIDTH = 42, 64
+BLOCK = 8192  # fingerprints of one key searched together; more are dealt out in pairs of blocks
 SLICE = 1 << 22  # bytes of text whose shingles are hashed together
 
 
@@ -122,48 +123,86 @@ def variant_links(fps: DataFrame, bits: int = 3) -> DataFrame:
 
     def verified(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept_k, kept_f = np.empty(0, np.int64), np.empty(0, np.int64)
-        a: list[int] = []
-        b: list[int] = []
-
-        def groups(k: np.ndarray, f: np.ndarray) -> None:
-            edge = np.flatnonzero(np.diff(k)) + 1
-            starts, ends = np.concatenate([[0], edge]), np.concatenate([edge, [len(k)]])
-            for s, e in zip(*(x[ends - starts > 1].tolist() for x in (starts, ends))):
-                for x, y in spanning_links(f[s:e], bits):
-                    a.append(x)
-                    b.append(y)
-
-        def out() -> pa.RecordBatch:
-            r = pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
-            a.clear(), b.clear()
-            return r
-
+        large = None  # the key whose rows are handed on
         for batch in batches:
             k = np.concatenate([kept_k, batch.column(0).to_numpy()])
             f = np.concatenate([kept_f, batch.column(1).to_numpy()])
             if not len(k):
                 continue
-            last = int(np.searchsorted(k, k[-1]))  # the last key may go on in the next batch
-            groups(k[:last], f[:last])
+            if large is not None:
+                end = int(np.searchsorted(k, large, "right"))
+                yield _links([], f[:end], large)
+                k, f = k[end:], f[end:]
+                large = None if len(k) else large
+            last = int(np.searchsorted(k, k[-1])) if len(k) else 0  # the last key may go on in the next batch
+            yield from _grouped(k[:last], f[:last], bits)
             kept_k, kept_f = k[last:], f[last:]
-            yield out()
-        if len(kept_k):
-            groups(kept_k, kept_f)
-        yield out()
+            if len(kept_k) > BLOCK:
+                large = int(kept_k[0])
+                yield _links([], kept_f, large)
+                kept_k, kept_f = kept_k[:0], kept_f[:0]
+        yield from _grouped(kept_k, kept_f, bits)
 
     sorted_keys = variants.select("key", "fp").repartition(shuffle_width(spark), "key").sortWithinPartitions("key")
-    return sorted_keys.mapInArrow(trimmed(verified), "a long, b long")
+    found = stored(sorted_keys.mapInArrow(trimmed(verified), "a long, b long, key long"), "variant-links")
+    links, open_ = found.where("key IS NULL").select("a", "b"), found.where("key IS NOT NULL").select("key", F.col("a").alias("fp"))
+    return links if open_.isEmpty() else links.unionByName(_block_links(open_, bits))
+
+
+def _links(pairs: list[tuple[int, int]], handed_on: np.ndarray, key: int | None) -> pa.RecordBatch:
+    """Links (a, b), or rows of a key that is too large (a the fingerprint)."""
+    a, b = zip(*pairs) if pairs else ((), ())
+    n = len(handed_on)
+    a = np.concatenate([np.array(a, np.int64), handed_on])
+    return pa.RecordBatch.from_arrays([pa.array(a), pa.array([*b, *[None] * n], pa.int64()), pa.array([*[None] * len(b), *[key] * n], pa.int64())], names=["a", "b", "key"])
+
+
+def _grouped(k: np.ndarray, f: np.ndarray, bits: int) -> Iterator[pa.RecordBatch]:
+    edge = np.flatnonzero(np.diff(k)) + 1
+    starts, ends = np.concatenate([[0], edge]), np.concatenate([edge, [len(k)]])
+    pairs: list[tuple[int, int]] = []
+    for s, e in zip(*(x[ends - starts > 1].tolist() for x in (starts, ends))):
+        if e - s > BLOCK:
+            yield _links([], f[s:e], int(k[s]))
+        else:
+            pairs += spanning_links(f[s:e], bits)
+    yield _links(pairs, np.empty(0, np.int64), None)
+
+
+def _block_links(rows: DataFrame, bits: int) -> DataFrame:
+    """Links within keys of over BLOCK fingerprints: every two blocks of a key meet in one task of bounded size."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held_k, held_f = np.empty(0, np.int64), np.empty(0, np.int64)
+        for batch in [*batches, None]:
+            if batch is not None:
+                held_k, held_f = np.concatenate([held_k, batch.column(0).to_numpy()]), np.concatenate([held_f, batch.column(1).to_numpy()])
+            last = int(np.searchsorted(held_k, held_k[-1])) if batch is not None and len(held_k) else len(held_k)
+            edge = np.flatnonzero(np.diff(held_k[:last])) + 1
+            pairs = [p for part in np.split(held_f[:last], edge) for p in spanning_links(part, bits)]
+            a, b = zip(*pairs) if pairs else ((), ())
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+            held_k, held_f = held_k[last:], held_f[last:]
+
+    sizes = rows.groupBy("key").agg(F.ceil(F.count(F.lit(1)) * 2 / BLOCK).cast("int").alias("blocks"))
+    own = F.pmod(F.xxhash64("fp"), F.col("blocks")).cast("int")
+    dealt = rows.join(sizes, "key").withColumn("block", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    both = F.xxhash64("key", F.least("block", "other"), F.greatest("block", "other"))
+    lined = dealt.select(both.alias("pair"), "fp").repartition(shuffle_width(rows.sparkSession), "pair").sortWithinPartitions("pair")
+    return lined.mapInArrow(trimmed(run), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, words_each: int = 3, bits: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows (id, fp, component): component is the least id reachable over links, the row's own included."""
     prints = stored(fingerprints(docs, words_each, id_col, text_col), "prints")
     nodes = stored(prints.groupBy("fp").agg(F.min("id").alias("least")), "nodes")
-    roots = components(variant_links(nodes.select("fp"), bits))
+    links = stored(variant_links(nodes.select("fp"), bits), "links")
+    roots = components(links)
     # the least id of every fingerprint in a component
     linked = roots.join(nodes, roots["node"] == nodes["fp"]).select("fp", "root", "least")
     least = linked.groupBy("root").agg(F.min("least").alias("component"))
     linked = stored(linked.join(least, "root").select("fp", "component"), "linked")
+    discard(links, roots)
     alone = nodes.join(linked, "fp", "left_anti").select("fp", F.col("least").alias("component"))
     every = linked.unionByName(alone)
     return prints.join(every, "fp").select("id", "fp", "component")
