@@ -312,6 +312,20 @@ def keyed(docs: DataFrame, id_col: str, text_col: str, keep: list[Column]) -> Da
 
 #: What remove_repeats can return beside its counts, by name; text is kept without the rests of cut characters.
 COLUMNS = {"kept": "binary", "kept_sha256": "string", "text": "string"}
+_KINDS = {"binary": pa.binary(), "string": pa.string(), "long": pa.int64()}
+
+
+def without(text: bytes, spans: list[tuple[int, int]]) -> bytes:
+    edges = [0, *(e for span in spans for e in span), len(text)]
+    return b"".join(text[x:y] for x, y in zip(edges[::2], edges[1::2]))
+
+
+def maximal(text: bytes, own: pa.ListScalar, min_words: int = 0) -> list[tuple[int, int]]:
+    """The maximal runs of a list of spans; of those with fewer words none."""
+    if not own.is_valid or not len(own.values):
+        return []
+    a, b = merge_spans(own.values.field(0).to_numpy(), own.values.field(1).to_numpy())
+    return [(x, y) for x, y in zip(a.tolist(), b.tolist()) if not min_words or len(text[x:y].split()) >= min_words]
 
 
 def remove_repeats(docs: DataFrame, window: int = 400, id_col: str = "doc_id", text_col: str = "text", keep: list[Column] | None = None, returns: tuple[str, ...] = ("kept",), min_words: int = 0) -> DataFrame:
@@ -321,35 +335,74 @@ def remove_repeats(docs: DataFrame, window: int = 400, id_col: str = "doc_id", t
     """
     base = keyed(docs, id_col, text_col, keep or [])
     gone = repeated_spans(base.select("k", "k2", "bytes"), window)
-    carried = base.schema.fields[4:]
-    schema = "id long, n_bytes long, n_removed long, n_spans long" + "".join(f", {c} {COLUMNS[c]}" for c in returns) + "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in carried)
     made = {"kept": lambda x: x, "kept_sha256": lambda x: hashlib.sha256(x).hexdigest(), "text": lambda x: x.decode("utf-8", "ignore")}
-    kinds = {"binary": pa.binary(), "string": pa.string()}
+
+    def row(text: bytes, own: pa.ListScalar) -> tuple:
+        spans = maximal(text, own, min_words)
+        rest = without(text, spans)
+        return len(text), len(text) - len(rest), len(spans), *(made[c](rest) for c in returns)
+
+    columns = {"n_bytes": "long", "n_removed": "long", "n_spans": "long"} | {c: COLUMNS[c] for c in returns}
+    return _rows(base.join(gone, ["k", "k2"], "left"), ["gone"], row, columns, base.schema.fields[4:])
+
+
+def _rows(base: DataFrame, spans: list[str], row, columns: dict[str, str], carried: list) -> DataFrame:
+    """id, what row(text, spans...) gives as columns, and the carried ones."""
+    schema = "id long" + "".join(f", {c} {kind}" for c, kind in columns.items()) + "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in carried)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
-                n_bytes, n_spans, kept = [], [], []
-                for text, own in zip(part.column(1).to_pylist(), part.column(2)):
-                    rest, spans = without(text, own, min_words)
-                    n_bytes.append(len(text))
-                    n_spans.append(spans)
-                    kept.append(rest)
-                removed = [n - len(x) for n, x in zip(n_bytes, kept)]
-                cols = [part.column(0), *(pa.array(x, pa.int64()) for x in (n_bytes, removed, n_spans)), *(pa.array([made[c](x) for x in kept], kinds[COLUMNS[c]]) for c in returns), *part.columns[3:]]
-                yield pa.RecordBatch.from_arrays(cols, names=["id", "n_bytes", "n_removed", "n_spans", *returns, *(f.name for f in carried)])
+                made = [row(text, *own) for text, *own in zip(part.column(1).to_pylist(), *part.columns[2 : 2 + len(spans)])]
+                cols = [pa.array([r[i] for r in made], _KINDS[kind]) for i, kind in enumerate(columns.values())]
+                yield pa.RecordBatch.from_arrays([part.column(0), *cols, *part.columns[2 + len(spans) :]], names=["id", *columns, *(f.name for f in carried)])
 
-    return base.join(gone, ["k", "k2"], "left").select("id", "bytes", "gone", *(f.name for f in carried)).mapInArrow(trimmed(cut), schema)
+    return base.select("id", "bytes", *spans, *(f.name for f in carried)).mapInArrow(trimmed(cut), schema)
 
 
-def without(text: bytes, own: pa.ListScalar, min_words: int = 0) -> tuple[bytes, int]:
-    """The text without its spans, and how many maximal runs went."""
-    if not own.is_valid or not len(own.values):
-        return text, 0
-    a, b = merge_spans(own.values.field(0).to_numpy(), own.values.field(1).to_numpy())
-    spans = list(zip(a.tolist(), b.tolist()))
-    if min_words:
-        spans = [(x, y) for x, y in spans if len(text[x:y].split()) >= min_words]
-    edges = [0, *(e for span in spans for e in span), len(text)]
-    return b"".join(text[x:y] for x, y in zip(edges[::2], edges[1::2])), len(spans)
+def remove_repeats_and_passages(docs: DataFrame, window: int = 400, passage: int = 200, min_words: int = 51, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per document: (id, n_bytes, n_removed, n_spans, kept_sha256) as remove_repeats() has them, then
+    (n_passage_bytes, n_passages, text): what repeats as strings of `passage` bytes, in maximal runs of min_words words
+    or more, and the text without the two kinds of repeats.
+
+    Strings of the longer window can repeat only inside what repeats as shorter strings, so their search runs over those
+    parts alone.
+    """
+    if passage > window:
+        raise ValueError("passage is the shorter window")
+    base = keyed(docs, id_col, text_col, [])
+    short = repeated_spans(base.select("k", "k2", "bytes"), passage)
+
+    def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                rows = [(i, x, text[x:y]) for i, (text, own) in enumerate(zip(part.column(2).to_pylist(), part.column(3))) for x, y in maximal(text, own) if y - x >= window]
+                of, place, cut = zip(*rows) if rows else ((), (), ())
+                of = pa.array(of, pa.int64())
+                yield pa.RecordBatch.from_arrays([part.column(0).take(of), part.column(1).take(of), pa.array(place, pa.int64()), pa.array(cut, pa.binary())], names=["k", "k2", "place", "bytes"])
+
+    # a row of the table is a row of pieces: copies stay as many as they are
+    cut = base.join(short, ["k", "k2"]).select("k", "k2", "bytes", "gone").mapInArrow(trimmed(pieces), "k long, k2 int, place long, bytes binary")
+    own = [F.xxhash64("k", "k2", "place").alias("k"), F.shiftright(F.xxhash64(F.lit("second"), "place", "k2", "k"), 32).cast("int").alias("k2")]
+    cut = stored(cut.select(*own, F.col("k").alias("text_k"), F.col("k2").alias("text_k2"), "place", "bytes"), "pieces")
+    found = repeated_spans(cut.select("k", "k2", "bytes"), window)
+    of_text = cut.select("k", "k2", "text_k", "text_k2", "place").distinct().join(found, ["k", "k2"])
+    moved = F.transform("gone", lambda g: F.struct((g["a"] + F.col("place")).alias("a"), (g["b"] + F.col("place")).alias("b")))
+    long_ = of_text.groupBy(F.col("text_k").alias("k"), F.col("text_k2").alias("k2")).agg(F.flatten(F.collect_list(moved)).alias("far"))
+    long_ = stored(long_, "gone")
+    discard(cut, found)
+
+    def row(text: bytes, far: pa.ListScalar, near: pa.ListScalar) -> tuple:
+        spans, passages = maximal(text, far), maximal(text, near, min_words)
+        rest = without(text, spans)
+        both = spans + passages
+        if both:
+            a, b = merge_spans(*(np.array(x) for x in zip(*both)))
+            both = list(zip(a.tolist(), b.tolist()))
+        clean = without(text, both).decode("utf-8", "ignore")
+        return len(text), len(text) - len(rest), len(spans), hashlib.sha256(rest).hexdigest(), sum(y - x for x, y in passages), len(passages), clean
+
+    columns = {"n_bytes": "long", "n_removed": "long", "n_spans": "long", "kept_sha256": "string", "n_passage_bytes": "long", "n_passages": "long", "text": "string"}
+    return _rows(base.join(long_, ["k", "k2"], "left").join(short, ["k", "k2"], "left"), ["far", "gone"], row, columns, [])
