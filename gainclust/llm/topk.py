@@ -1,9 +1,9 @@
 """Exact top-k by integer inner product: matrix products of query blocks with tiles of rows, partial selection per
 tile, merged per partition, then by salted groups, then per query.
 
-Every component becomes floor(scale * x). Queries are taken in blocks of bounded size (hash of the id), each broadcast
-in turn; rows stay where they are read. Products run in float64 while exact, else in int64, else in Python
-integers; scores beyond 64 bits are held at the range's ends.
+Every component becomes floor(scale * x). Queries and rows meet in tiles (tiles.py). Products run in float64 while
+exact, else in int64, else in Python integers; a score beyond 64 bits is defined as the end of their range, so such
+scores tie.
 
 Cases: null vectors, null or non-finite components and null ids take no part; vectors are compared with those of the
 same length only; a query never meets rows with its own id; repeated rows are candidates each; a query id that
@@ -13,16 +13,16 @@ repeats uses its smallest vector; ties go to the smaller id; empty table - no ro
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from gainclust.llm.common import finite_vector, list_matrix
+from gainclust.llm.common import finite_vector
+from gainclust.llm.tiles import Matrices, searched
 
-BLOCK, TILE, PART = 4096, 8192, 128
+BLOCK, SHARD, TILE, PART = 16_384, 65_536, 8192, 128
 OUT = "query_id long, vec_id long, score long"
 LOW, HIGH = -(2**63), 2**63 - 1
 
@@ -82,18 +82,6 @@ class Best:
         return pa.RecordBatch.from_arrays([pa.array(np.repeat(self.query_ids, n)), pa.array(cat(0)), pa.array(cat(1))], names=["query_id", "vec_id", "score"])
 
 
-def query_blocks(queries: DataFrame, size: int) -> Iterator[tuple[np.ndarray, list[np.ndarray]]]:
-    """Blocks of about size queries (id, vec), each small enough for the driver; queries with equal ids count once."""
-    queries = queries.groupBy("id").agg(F.min("vec").alias("vec"))
-    n = queries.count()
-    blocks = -(-n // size)
-    for b in range(blocks):
-        part = queries.where(F.pmod(F.xxhash64("id"), F.lit(blocks)) == b) if blocks > 1 else queries
-        got = part.orderBy("id").toArrow()
-        if got.num_rows:
-            yield np.asarray(got["id"].to_numpy(), np.int64), list_matrix(got["vec"])
-
-
 def top_by_query(parts: DataFrame, k: int, best_first: list, spread: int = 64) -> DataFrame:
     """Merge partial lists in two rounds: by (query, salt), then by query."""
     salted = parts.withColumn("salt", F.pmod(F.xxhash64("vec_id"), F.lit(spread)))
@@ -105,29 +93,21 @@ def top_by_query(parts: DataFrame, k: int, best_first: list, spread: int = 64) -
 
 def exact_top_k(vectors: DataFrame, queries: DataFrame, k: int = 10, scale: int = 1024, id_col: str = "vec_id", vec_col: str = "embedding", block: int = BLOCK) -> DataFrame:
     """Rows (query_id, rank, vec_id, score) of each query's k best rows of vectors."""
-    spark = vectors.sparkSession
-    slim = lambda df: df.select(F.col(id_col).alias("id"), F.col(vec_col).alias("vec")).where(F.col("id").isNotNull() & finite_vector(F.col("vec")))
-    base, parts = slim(vectors), []
-    for ids, groups in query_blocks(slim(queries), block):
-        shared = spark.sparkContext.broadcast((ids, [(rows, _ints(m, scale)) for rows, m in groups]))
-
-        def tiles(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            query_ids, by_length = shared.value
-            best = Best(query_ids, k)
-            for batch in batches:
-                own = batch.column("id").to_numpy(zero_copy_only=False)
-                for rows, m in list_matrix(batch.column("vec")):
-                    for q_rows, q in by_length:
-                        if q.shape[1] != m.shape[1]:
-                            continue
-                        for t in range(0, len(rows), TILE):
-                            tile, tile_ids = _ints(m[t : t + TILE], scale), own[rows[t : t + TILE]]
-                            for p in range(0, len(q_rows), PART):
-                                best.add(q_rows[p : p + PART], tile_ids, products(q[p : p + PART], tile))
-            yield best.batch()
-
-        parts.append(base.mapInArrow(tiles, OUT))
-    if not parts:
-        parts = [spark.createDataFrame([], OUT)]
-    merged = top_by_query(reduce(DataFrame.unionByName, parts), k, [F.desc("score"), F.asc("vec_id")])
-    return merged.select("query_id", "rank", "vec_id", "score")
+    slim = lambda df: df.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).alias("vec")).where(F.col("id").isNotNull() & finite_vector(F.col("vec")))
+
+    def search(query_ids: np.ndarray, by_length: Matrices, chunks: Iterator) -> Iterator[pa.RecordBatch]:
+        wanted = [(rows, _ints(m, scale)) for rows, m in by_length]
+        best = Best(query_ids, k)
+        for own, matrices in chunks:
+            for rows, m in matrices:
+                for q_rows, q in wanted:
+                    if q.shape[1] != m.shape[1]:
+                        continue
+                    for t in range(0, len(rows), TILE):
+                        tile, tile_ids = _ints(m[t : t + TILE], scale), own[rows[t : t + TILE]]
+                        for p in range(0, len(q_rows), PART):
+                            best.add(q_rows[p : p + PART], tile_ids, products(q[p : p + PART], tile))
+        yield best.batch()
+
+    parts = searched(slim(vectors), slim(queries), search, OUT, block, SHARD)
+    return top_by_query(parts, k, [F.desc("score"), F.asc("vec_id")]).select("query_id", "rank", "vec_id", "score")

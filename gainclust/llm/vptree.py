@@ -6,6 +6,8 @@ query's distance and ``mu`` exceeds ``factor`` times the distance of the k-th be
 search; smaller factors skip more. Reported scores are cosines of the original vectors in double precision.
 
 Within a shard equal vectors are held once, with their k + 1 smallest ids (a query meets at most itself among them).
+Where a point that was dropped is as near as the last one kept, up to rounding (parallel vectors, say), all points of
+the shard at that distance or nearer are looked at, so that the score and then the smaller id decide.
 Cases: null, zero, non-finite vectors and null ids take no part; only vectors of equal length meet; a query
 never meets rows with its own id; a query id that repeats uses its smallest vector; ties go to the smaller id; empty
 table - no rows; other columns are not read. Shards are bounded by ``shard_rows``; every row is indexed.
@@ -14,19 +16,20 @@ table - no rows; other columns are not read. Shards are bounded by ``shard_rows`
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gainclust.llm.common import finite_vector, list_matrix
-from gainclust.llm.topk import query_blocks, top_by_query
+from gainclust.llm.common import finite_vector
+from gainclust.llm.tiles import Matrices, searched
+from gainclust.llm.topk import top_by_query
 
-BLOCK, SHARD_ROWS, LEAF = 4096, 65_536, 128
+BLOCK, SHARD_ROWS, LEAF = 16_384, 65_536, 128
 OUT = "query_id long, vec_id long, score double"
-SLACK = 1e-9  # over double rounding, so that factor 1 stays exact
+#: Over double rounding: of distances, so that factor 1 stays exact, and of their squares, for ties.
+SLACK, TIE = 1e-7, 1e-12
 
 
 class Tree:
@@ -80,20 +83,28 @@ class Nearest:
         self.k = k + 1  # the query's own vector may be one of the points
         self.d = np.full((n, self.k), np.inf)
         self.p = np.full((n, self.k), -1, np.int64)
+        self.dropped = np.full(n, np.inf)  # the nearest point not kept
 
     def offer(self, qs: np.ndarray, points: np.ndarray, d: np.ndarray) -> None:
         hit = (d < self.d[qs, -1][:, None]).any(1)
+        self.dropped[qs[~hit]] = np.minimum(self.dropped[qs[~hit]], d[~hit].min(1))
         if not hit.any():
             return
         qs, d = qs[hit], d[hit]
         all_d = np.concatenate([self.d[qs], d], 1)
         all_p = np.concatenate([self.p[qs], np.broadcast_to(points, d.shape)], 1)
-        order = np.argsort(all_d, 1, kind="stable")[:, : self.k]
+        order = np.argsort(all_d, 1, kind="stable")
+        self.dropped[qs] = np.minimum(self.dropped[qs], np.take_along_axis(all_d, order[:, self.k : self.k + 1], 1)[:, 0])
+        order = order[:, : self.k]
         self.d[qs], self.p[qs] = np.take_along_axis(all_d, order, 1), np.take_along_axis(all_p, order, 1)
 
     def radius(self, qs: np.ndarray) -> np.ndarray:
         return self.d[qs, -1]
 
+    def tied(self) -> np.ndarray:
+        """Queries that dropped a point as near as their last one."""
+        return np.isfinite(self.dropped) & (self.dropped**2 <= self.d[:, -1] ** 2 + TIE)
+
 
 def search_shard(ids: np.ndarray, m: np.ndarray, query_ids: np.ndarray, q: np.ndarray, k: int, factor: float, leaf: int = LEAF) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(query row, id, cosine) of the nearest rows found in one shard."""
@@ -106,14 +117,22 @@ def search_shard(ids: np.ndarray, m: np.ndarray, query_ids: np.ndarray, q: np.nd
     q_norms = np.sqrt((q**2).sum(1))
     unit_q = q / q_norms[:, None]
     best = Nearest(len(q), k)
-    Tree(unique / norms[:, None], leaf).search(unit_q, best.offer, best.radius, factor)
+    unit_p = unique / norms[:, None]
+    Tree(unit_p, leaf).search(unit_q, best.offer, best.radius, factor)
+    tied = best.tied()
     out: list[tuple] = []
     for i in range(len(q)):
         points = best.p[i][best.p[i] >= 0]
         if not len(points):
             continue
+        if tied[i]:
+            points = np.flatnonzero(2.0 - 2.0 * (unit_p @ unit_q[i]) <= best.d[i, -1] ** 2 + 2 * TIE)
         cosine = (unique[points] * q[i]).sum(1) / (norms[points] * q_norms[i])
-        for p, c in zip(points, cosine):
+        few = np.argsort(-cosine, kind="stable")
+        if tied[i]:
+            # of equal scores the points of smallest ids go on
+            few = np.lexsort((ids[by_point[starts[points]]], -cosine))[: k + 1]
+        for p, c in zip(points[few], cosine[few]):
             own = ids[by_point[starts[p] : min(starts[p + 1], starts[p] + k + 1)]]
             own = own[own != query_ids[i]]
             out += [(i, int(v), float(c)) for v in own]
@@ -125,38 +144,30 @@ def search_shard(ids: np.ndarray, m: np.ndarray, query_ids: np.ndarray, q: np.nd
 
 def ann(vectors: DataFrame, queries: DataFrame, k: int = 5, factor: float = 0.2, id_col: str = "vec_id", vec_col: str = "embedding", shard_rows: int = SHARD_ROWS, block: int = BLOCK) -> DataFrame:
     """Rows (query_id, rank, vec_id, score) of the k nearest rows found for each query."""
-    spark = vectors.sparkSession
     v = F.col("vec")
-    slim = lambda df: df.select(F.col(id_col).alias("id"), F.col(vec_col).alias("vec")).where(F.col("id").isNotNull() & finite_vector(v) & F.exists(v, lambda x: x != 0))
-    base, parts = slim(vectors), []
-    for ids, groups in query_blocks(slim(queries), block):
-        shared = spark.sparkContext.broadcast((ids, groups))
-
-        def shards(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            query_ids, by_length = shared.value
-            held: dict[int, list] = {}
-
-            def searched(d: int) -> Iterator[pa.RecordBatch]:
-                own, m = np.concatenate([x for x, _ in held[d]]), np.concatenate([x for _, x in held[d]])
-                held[d] = []
-                for rows, q in by_length:
-                    if q.shape[1] == d:
-                        at, found, score = search_shard(own, m, query_ids[rows], q, k, factor)
-                        yield pa.RecordBatch.from_arrays([pa.array(query_ids[rows][at]), pa.array(found), pa.array(score)], names=["query_id", "vec_id", "score"])
-
-            for batch in batches:
-                own = batch.column("id").to_numpy(zero_copy_only=False)
-                for rows, m in list_matrix(batch.column("vec")):
-                    d = m.shape[1]
-                    held.setdefault(d, []).append((own[rows], m))
-                    if sum(len(x) for x, _ in held[d]) >= shard_rows:
-                        yield from searched(d)
-            for d in held:
-                if held[d]:
-                    yield from searched(d)
-
-        parts.append(base.mapInArrow(shards, OUT))
-    if not parts:
-        parts = [spark.createDataFrame([], OUT)]
-    merged = top_by_query(reduce(DataFrame.unionByName, parts), k, [F.desc("score"), F.asc("vec_id")])
-    return merged.select("query_id", "rank", "vec_id", "score")
+    slim = lambda df: df.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).alias("vec")).where(F.col("id").isNotNull() & finite_vector(v) & F.exists(v, lambda x: x != 0))
+
+    def search(query_ids: np.ndarray, by_length: Matrices, chunks: Iterator) -> Iterator[pa.RecordBatch]:
+        held: dict[int, list] = {}
+
+        def shard(d: int) -> Iterator[pa.RecordBatch]:
+            own, m = np.concatenate([x for x, _ in held[d]]), np.concatenate([x for _, x in held[d]])
+            held[d] = []
+            for rows, q in by_length:
+                if q.shape[1] == d:
+                    at, found, score = search_shard(own, m, query_ids[rows], q, k, factor)
+                    yield pa.RecordBatch.from_arrays([pa.array(query_ids[rows][at]), pa.array(found), pa.array(score)], names=["query_id", "vec_id", "score"])
+
+        for own, matrices in chunks:
+            for rows, m in matrices:
+                d = m.shape[1]
+                held.setdefault(d, []).append((own[rows], m))
+                if sum(len(x) for x, _ in held[d]) >= shard_rows:
+                    yield from shard(d)
+        for d in held:
+            if held[d]:
+                yield from shard(d)
+        yield pa.RecordBatch.from_arrays([pa.array([], pa.int64()), pa.array([], pa.int64()), pa.array([], pa.float64())], names=["query_id", "vec_id", "score"])
+
+    parts = searched(slim(vectors), slim(queries), search, OUT, block, shard_rows)
+    return top_by_query(parts, k, [F.desc("score"), F.asc("vec_id")]).select("query_id", "rank", "vec_id", "score")
