@@ -2,8 +2,11 @@
 
 A text is cut by the pre-token pattern. Each new pre-token becomes rows (word, position, token); a recursive query
 joins neighbouring tokens with the merge table, finds each word's least rank and contracts the leftmost pair of that
-rank, until no pair merges. Pre-tokens longer than ``LONG`` bytes run over a table in a loop, so that the recursion's union of
-past rows does not pile up, and contract many pairs of the least rank in one step where that gives the same result. Decoding joins ids with the vocabulary and aggregates the bytes in order.
+rank, until no pair merges. Pre-tokens longer than ``LONG`` bytes run over a table in a loop, so that the recursion's
+union of past rows does not pile up. There a step contracts every pair of the least rank within a reach of twice the
+longest token that the word's bytes can make, to both sides: merges beyond the reach could touch it only through a
+longer token. Of equal ranks the left go first: overlapping pairs count from their run's start, and a contraction that
+makes a pair of a smaller rank holds back those to its right. So the steps do not grow with the word's length. Decoding joins ids with the vocabulary and aggregates the bytes in order.
 
 Cases: null or empty text - no ids, empty bytes; lone surrogates cannot occur in Spark strings; special-token strings
 are plain text; repeated rows - each encoded; texts of any length are encoded whole; empty table - no rows; other
@@ -36,22 +39,17 @@ SHORT_STEP = """
     nextstate AS (SELECT word, pos, CASE WHEN pos = (hit // 256) % 256 THEN (hit // 65536)::INTEGER ELSE tok END AS tok FROM chain JOIN least USING (word) WHERE pos <> hit % 256)
 """
 
-#: One step for long words: the occurrences of the least rank from left to right, as far as the first that makes a
-#: pair of a smaller rank. Until then one at a time would go the same way.
+#: One step for a long word, with the reach put in. A merged pair's token is its rank.
 LONG_STEP = """
-    pairs AS (SELECT s.word, s.pos, s.tok, m.rank FROM
-        (SELECT word, pos, tok, lead(tok) OVER (PARTITION BY word ORDER BY pos) AS nxt FROM state) s
-        LEFT JOIN merges m ON m.a = s.tok AND m.b = s.nxt),
-    least AS (SELECT word, min(rank) AS made FROM pairs WHERE rank IS NOT NULL GROUP BY word),
-    hit AS (SELECT p.word, p.pos, p.tok, l.made, coalesce(p.rank = l.made, false) AS can FROM pairs p JOIN least l USING (word)),
-    -- in a run of overlapping pairs of one rank (aaa), every second one counts, from the left
-    runs AS (SELECT *, row_number() OVER (PARTITION BY word ORDER BY pos) - row_number() OVER (PARTITION BY word, can ORDER BY pos) AS run FROM hit),
-    picked AS (SELECT word, pos, tok, made, can AND row_number() OVER (PARTITION BY word, can, run ORDER BY pos) % 2 = 1 AS pick FROM runs),
-    sided AS (SELECT *, CASE WHEN lag(pick, 2, false) OVER w THEN made ELSE lag(tok) OVER w END AS l, lead(tok, 2) OVER w AS r FROM picked WINDOW w AS (PARTITION BY word ORDER BY pos)),
-    loud AS (SELECT word, min(pos) AS stop FROM sided s WHERE pick AND (
-        EXISTS (SELECT 1 FROM merges m WHERE m.a = s.l AND m.b = s.made AND m.rank < s.made) OR EXISTS (SELECT 1 FROM merges m WHERE m.a = s.made AND m.b = s.r AND m.rank < s.made)) GROUP BY word),
-    cut AS (SELECT p.word, p.pos, p.tok, p.made, p.pick AND (d.stop IS NULL OR p.pos <= d.stop) AS pick FROM picked p LEFT JOIN loud d ON d.word = p.word),
-    nextstate AS (SELECT word, pos, CASE WHEN pick THEN made ELSE tok END AS tok, lag(pick, 1, false) OVER (PARTITION BY word ORDER BY pos) AS gone FROM cut)
+    pairs AS (SELECT s.pos, s.tok, m.rank FROM (SELECT pos, tok, lead(tok) OVER (ORDER BY pos) AS nxt FROM state) s LEFT JOIN merges m ON m.a = s.tok AND m.b = s.nxt),
+    seen AS (SELECT *, coalesce(rank = min(rank) OVER (ORDER BY pos RANGE BETWEEN {reach} PRECEDING AND {reach} FOLLOWING), false) AS least, rank IS DISTINCT FROM lag(rank) OVER (ORDER BY pos) AS begins FROM pairs),
+    runs AS (SELECT *, sum(begins::INTEGER) OVER (ORDER BY pos ROWS UNBOUNDED PRECEDING) AS run FROM seen),
+    picked AS (SELECT pos, tok, rank, bool_and(least) OVER w AND row_number() OVER w % 2 = 1 AS pick FROM runs WINDOW w AS (PARTITION BY run ORDER BY pos ROWS UNBOUNDED PRECEDING)),
+    sided AS (SELECT *, CASE WHEN lag(pick, 2, false) OVER w THEN lag(rank, 2) OVER w ELSE lag(tok) OVER w END AS l, lead(tok, 2) OVER w AS r FROM picked WINDOW w AS (ORDER BY pos)),
+    heard AS (SELECT s.pos, s.tok, s.rank, s.pick, s.pick AND (x.rank < s.rank OR y.rank < s.rank) AS loud FROM sided s
+        LEFT JOIN merges x ON s.pick AND x.a = s.l AND x.b = s.rank LEFT JOIN merges y ON s.pick AND y.a = s.rank AND y.b = s.r),
+    kept AS (SELECT pos, tok, rank, pick AND NOT coalesce(bool_or(loud) OVER (ORDER BY pos RANGE BETWEEN {reach} PRECEDING AND 1 PRECEDING), false) AS pick FROM heard),
+    nextstate AS (SELECT pos, CASE WHEN pick THEN rank ELSE tok END AS tok, pick, lag(pick, 1, false) OVER (ORDER BY pos) AS gone FROM kept)
 """
 
 
@@ -68,6 +66,9 @@ class Codec:
         self.cache: dict[str, bytes] = {}  # ids as little-endian 32-bit
         self.old: dict[str, bytes] = {}
         self.byte_ids = np.array([ranks[bytes([i])] for i in range(256)], np.int32)
+        self.token_bytes = np.frombuffer(b"".join(ranks), np.uint8)
+        self.token_sizes = np.fromiter(map(len, ranks), np.int64, len(ranks))
+        self.token_ends = np.cumsum(self.token_sizes)
         a, b, rank = [], [], []
         for token, r in ranks.items():
             for cut in range(1, len(token)):
@@ -76,6 +77,7 @@ class Codec:
                     a.append(x), b.append(y), rank.append(r)
         self.db = duckdb.connect(config={"threads": 1, "memory_limit": "200MB"})
         self.db.execute("SET preserve_insertion_order = false")
+        self.db.execute("SET temp_directory = ''")  # nothing goes to a local folder
         merges = pa.table({"a": pa.array(a, pa.int32()), "b": pa.array(b, pa.int32()), "rank": pa.array(rank, pa.int32())})
         self.db.register("m_", merges)
         self.db.execute("CREATE TABLE merges AS SELECT * FROM m_")
@@ -90,7 +92,7 @@ class Codec:
         return pa.table({"word": np.repeat(np.arange(len(words), dtype=np.int32), sizes), "pos": (np.arange(len(flat)) - np.repeat(starts, sizes)).astype(np.int32), "tok": self.byte_ids[flat]})
 
     def contract(self, words: list[bytes]) -> list[bytes]:
-        """Ids of each word (none of them empty) as little-endian 32-bit numbers."""
+        """Ids of each word (none of them empty) as little-endian 32-bit numbers; a long word comes alone."""
         self.db.register("start_", self._start(words))
         if max(map(len, words)) <= LONG:
             got = self.db.sql(f"""
@@ -107,23 +109,30 @@ class Codec:
             keep = keep[np.argsort(word[keep].astype(np.int64) << 8 | pos[keep])]
             word, tok = word[keep], tok[keep]
         else:
-            self.db.execute("CREATE OR REPLACE TEMP TABLE state AS SELECT * FROM start_")
-            self.db.execute("CREATE OR REPLACE TEMP TABLE done AS SELECT * FROM state LIMIT 0")
+            reach = 2 * self.longest(words[0])
+            self.db.execute("CREATE OR REPLACE TEMP TABLE state AS SELECT pos, tok FROM start_")
             while True:
-                self.db.execute(f"CREATE OR REPLACE TEMP TABLE moved AS WITH {LONG_STEP} SELECT word, pos, tok FROM nextstate WHERE NOT gone")
-                self.db.execute("INSERT INTO done SELECT * FROM state WHERE word NOT IN (SELECT word FROM moved)")
-                if not self.db.execute("SELECT count(*) FROM moved").fetchall()[0][0]:
+                self.db.execute(f"CREATE OR REPLACE TEMP TABLE moved AS WITH {LONG_STEP.format(reach=reach)} SELECT pos, tok, pick FROM nextstate WHERE NOT gone")
+                more = self.db.execute("SELECT count(*) FROM moved WHERE pick").fetchall()[0][0]
+                self.db.execute("CREATE OR REPLACE TEMP TABLE state AS SELECT pos, tok FROM moved")
+                if not more:
                     break
-                self.db.execute("CREATE OR REPLACE TEMP TABLE state AS SELECT * FROM moved")
-            got = self.db.sql("SELECT word, tok FROM done ORDER BY word, pos").to_arrow_table()
-            for name in ("state", "done", "moved"):
+            tok = self.db.sql("SELECT tok FROM state ORDER BY pos").to_arrow_table()["tok"].to_numpy()
+            word = np.zeros(len(tok), np.int32)
+            for name in ("state", "moved"):
                 self.db.execute(f"DROP TABLE {name}")
-            word, tok = got["word"].to_numpy(), got["tok"].to_numpy()
         self.db.unregister("start_")
         ids = tok.astype("<u4").tobytes()
         edge = [0, *(4 * (np.flatnonzero(np.diff(word)) + 1)).tolist(), len(ids)]
         return [ids[a:b] for a, b in zip(edge[:-1], edge[1:])]
 
+    def longest(self, word: bytes) -> int:
+        """Bytes of the longest token made of the word's bytes only."""
+        letters = np.zeros(256, bool)
+        letters[list(set(word))] = True
+        strange = np.concatenate([[0], np.cumsum(~letters[self.token_bytes])])
+        return int(self.token_sizes[strange[self.token_ends] == strange[self.token_ends - self.token_sizes]].max())
+
     def learn(self, words: list[str]) -> None:
         """Put the ids of words not seen so far into the cache."""
         todo: list[tuple[str, bytes]] = []
@@ -137,7 +146,7 @@ class Codec:
         at = 0
         while at < len(todo):
             end, size, long = at, 0, len(todo[at][1]) > LONG
-            while end < len(todo) and size < CHUNK_BYTES and (len(todo[end][1]) > LONG) == long:
+            while end < len(todo) and size < (1 if long else CHUNK_BYTES) and (len(todo[end][1]) > LONG) == long:  # long ones alone
                 size += len(todo[end][1])
                 end += 1
             part = todo[at:end]
