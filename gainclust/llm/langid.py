@@ -7,7 +7,8 @@ cross-entropy per character wins. A fifth of the training sample is left out of
 (a) the temperature that turns entropies into a score between 0 and 1 and (b) the entropy above which a text is rejected.
 
 Training uses a bounded sample: at most about ``rows_each`` labelled rows per language, drawn by a hash of the id, of
-texts up to ``max_chars`` characters (longer ones are left out, never cut). Prediction reads every whole text.
+texts up to ``max_chars`` characters (longer ones are left out, never cut), and fewer of each where all together would
+exceed about ``total_chars`` characters. Prediction reads every whole text.
 
 Cases: null text or text without a letter - ``und``, score 0, rejected; no usable training row - everything is ``und``;
 null languages do not train; ties between languages - the first by name; null id - predicted, hashed as ``null``;
@@ -202,21 +203,23 @@ class Scorer:
         return sums / np.maximum(chars, 1)[:, None], letters
 
 
-def sample(docs: DataFrame, rows_each: int, max_chars: int, id_col: str, text_col: str, lang_col: str) -> DataFrame:
+def sample(docs: DataFrame, rows_each: int, max_chars: int, total_chars: int, id_col: str, text_col: str, lang_col: str) -> DataFrame:
     """Bounded training rows (lang, text, fold), drawn by a hash of the id."""
     h = row_hash(F.col(id_col), 7)
     usable = docs.select(F.col(text_col).alias("text"), F.col(lang_col).alias("lang"), h.alias("h")).where("lang IS NOT NULL AND text IS NOT NULL").where(F.length("text") <= max_chars)
-    sizes = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).limit(MAX_LANGUAGES + 1).collect()}
+    sizes = usable.groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.sum(F.length("text")).alias("chars")).limit(MAX_LANGUAGES + 1).collect()
     if len(sizes) > MAX_LANGUAGES:
         raise ValueError(f"over {MAX_LANGUAGES} languages")
+    every = sum(min(1.0, rows_each / r.n) * r.chars for r in sizes)
+    part = min(1.0, total_chars / max(every, 1))
     limit = F.lit(0)
-    for lang, n in sizes.items():
-        limit = F.when(F.col("lang") == lang, int(min(1.0, rows_each / n) * 2**48)).otherwise(limit)
+    for r in sizes:
+        limit = F.when(F.col("lang") == r.lang, int(part * min(1.0, rows_each / r.n) * 2**48)).otherwise(limit)
     return usable.where(F.col("h") < limit).select("lang", "text", (F.col("h") % 5 == 0).alias("fold"))
 
 
-def train(docs: DataFrame, rows_each: int = 800, max_chars: int = 20_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model | None:
-    got = sample(docs, rows_each, max_chars, id_col, text_col, lang_col).toArrow().to_pydict()
+def train(docs: DataFrame, rows_each: int = 800, max_chars: int = 20_000, total_chars: int = 100_000_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model | None:
+    got = sample(docs, rows_each, max_chars, total_chars, id_col, text_col, lang_col).toArrow().to_pydict()
     order = sorted(range(len(got["text"])), key=lambda i: (got["lang"][i], got["text"][i]))
     return fit(*[[got[c][i] for i in order] for c in ("text", "lang", "fold")])
 
