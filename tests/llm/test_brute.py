@@ -13,7 +13,7 @@ import pytest
 import tiktoken
 import xxhash
 
-from gainclust.llm import bpe, html_text, langid, licenses, mixing, queries, sharding, simhash, suffix_dedup, topk, vptree
+from gainclust.llm import bpe, components, html_text, langid, licenses, mixing, queries, sharding, simhash, suffix_dedup, topk, vptree
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, id long, k string, bytes int"
 
@@ -100,6 +100,27 @@ def test_suffix_dedup(spark, docs, hot, window, monkeypatch):
     assert sum(r[2] for r in want) > 1000
 
 
+def test_repeats_and_passages(spark, docs, monkeypatch):
+    """The longer window through the parts that the shorter one finds, and runs of words."""
+    monkeypatch.setattr(suffix_dedup, "HOT", 2)
+    rows = [(r.doc_id, (r.text or "").encode()) for r in docs.collect()]
+    far, near = (gone_brute([t for _, t in rows], w) for w in (400, 60))
+    want = []
+    for (i, t), m, n in zip(rows, far, near):
+        rest = bytes(b for b, x in zip(t, m) if not x)
+        spans = [x.span() for x in re.finditer(b"\1+", bytes(n))]
+        spans = [(a, b) for a, b in spans if len(t[a:b].split()) >= 12]
+        gone = bytearray(m)
+        for a, b in spans:
+            gone[a:b] = b"\1" * (b - a)
+        text = bytes(b for b, x in zip(t, gone) if not x).decode("utf-8", "ignore")
+        want.append((i, len(t), sum(m), len(re.findall(b"\1+", bytes(m))), hashlib.sha256(rest).hexdigest(), sum(b - a for a, b in spans), len(spans), text))
+    got = [tuple(r) for r in suffix_dedup.remove_repeats_and_passages(docs, 400, 60, 12).collect()]
+    key = lambda r: (r[0] is not None, r)
+    assert sorted(got, key=key) == sorted(want, key=key)
+    assert sum(r[2] for r in want) > 1000 and any(r[5] > r[2] for r in want)
+
+
 def test_suffix_collisions_are_verified(monkeypatch):
     """With hashes that always agree, no text may be removed but what bytes prove equal."""
     a, b = b"x" * 40 + b"p" * 60, b"x" * 40 + b"q" * 60
@@ -241,10 +262,13 @@ def test_shards(spark, docs):
     out = sharding.shard_by_bytes(docs, 4).collect()
     text = {r.doc_id: (r.text or "").encode() for r in docs.collect()}
     assert Counter(r.id for r in out) == Counter(list(text))
-    order = lambda i: (i is not None, i)
-    total, at, want = sum(len(t) + 8 for t in text.values()), 0, {}
-    for d in sorted(text, key=order):
-        want[d] = min(3, at * 4 // total)
+    group = lambda i: (zlib.crc32(text[i]), len(text[i]) + 8)
+    total, at, want, first = sum(len(t) + 8 for t in text.values()), 0, {}, {}
+    rows = Counter(map(group, text))
+    for d in sorted(text, key=lambda i: (*group(i), i is not None, i)):
+        start = first.setdefault(group(d), at)
+        whole = rows[group(d)] * (len(text[d]) + 8) <= 0.01 / 4 * total
+        want[d] = min(3, (start if whole else at) * 4 // total)
         at += len(text[d]) + 8
     slots = defaultdict(list)
     for r in out:
@@ -292,6 +316,44 @@ def test_language_probabilities_sum_to_one():
     assert sum(p) < 1 and p[0] > p[5]
 
 
+def kneser_ney(words, word, order=5, discount=0.75):
+    """Bits of a word's characters and its end, by the recursion over dictionaries of strings."""
+    lines = [f" {w} " for w in words]
+    raw = Counter(line[i : i + n] for line in lines for n in range(1, order + 2) for i in range(len(line) - n + 1))
+    before = defaultdict(set)
+    for g in raw:
+        before[g[1:]].add(g[0])
+    count = lambda g: raw[g] if len(g) == order or (g[0] == " " and len(g) > 1) else len(before[g])
+    letters = set("".join(lines))
+
+    def p(context, c):
+        low = p(context[1:], c) if context else 1 / langid.ALPHABET
+        own = {x: count(context + x) for x in letters if raw[context + x] and count(context + x)}
+        if not own:
+            return low
+        total, kept = sum(own.values()), sum(min(discount, n) for n in own.values())
+        n = own.get(c, 0)
+        return (n - min(discount, n)) / total + kept / total * low
+
+    line = f" {word} "
+    return -sum(np.log2(p(line[max(0, i - order + 1) : i], line[i])) for i in range(1, len(line)))
+
+
+def test_language_models_equal_the_recursion():
+    rnd = random.Random(8)
+    words = ["".join(rnd.choices("abcde", k=rnd.randint(1, 9))) for _ in range(120)]
+    model = langid.fit([" ".join(words), "xyz zyx"], ["u", "v"], [False, False])
+    new = ["".join(rnd.choices("abcdef", k=rnd.randint(1, 9))) for _ in range(60)] + words[:20]
+    got = model.costs(new)[:, model.languages.index("u")]
+    assert np.allclose(got, [kneser_ney(words, w) for w in new], rtol=1e-4)
+
+
+def test_language_sample_is_bounded_in_all(spark):
+    df = spark.createDataFrame([(i, "some text of forty characters, more or less", f"l{i % 4}") for i in range(2000)], "doc_id long, text string, lang string")
+    rows = langid.sample(df, 400, 1000, 20_000, "doc_id", "text", "lang").collect()
+    assert 200 < len(rows) < 800 and {r.lang for r in rows} == {"l0", "l1", "l2", "l3"}
+
+
 def test_html(spark):
     page = '<html><head><title>t</title></head><body><nav><a href="/">Home</a></nav><div class="cookie-notice">We use cookies</div><article><h1>A &amp; B</h1><p>First para with <a href="x">a link</a> in&nbsp;it.<p>Second<br>line<ul><li>one<li>two</ul><div class="ad">Buy</div></article><div id="comments"><p>first!</div><form><p>send</form><footer>&copy; x</footer><script>var a="</p>";</script></body></html>'
     rows = [(1, "u", page), (2, None, None), (3, "u", ""), (None, "u", "just text"), (4, "u", "<!-- open"), (4, "u", "<p>un<b>closed"), (5, "u", "<nav>only</nav>")]
@@ -305,3 +367,111 @@ def test_html_without_article():
     para = "<p>Plain long prose that goes on for quite some while, as articles do.</p>"
     page = f"<body><header><h1>Site</h1></header><div id=menu><ul>{'<li><a href=x>link text</a>' * 9}</ul></div><div><div>{para * 6}</div></div><div><a href=y>more</a></div></body>"
     assert html_text.main_text(page) == " ".join(["Plain long prose that goes on for quite some while, as articles do."] * 6)
+
+
+def cosine_brute(rows, queries, k):
+    out = []
+    for qid, q in queries:
+        scored = sorted((-float((np.array(v) * q).sum() / (np.sqrt((np.array(v) ** 2).sum()) * np.sqrt((q**2).sum()))), i) for i, v in rows if i != qid)
+        out += [(qid, r + 1, i, -s) for r, (s, i) in enumerate(scored[:k])]
+    return sorted(out)
+
+
+@pytest.mark.parametrize("n, letters", [(20_000, "abcdefghijklmnopqrstuvwxyz"), (3000, "ab"), (2500, "eé🙂x"), (4000, "a")])
+def test_bpe_of_long_words(n, letters):
+    """Whole lines without a break, as in base64 or DNA."""
+    import time
+
+    path, pattern = queries.vocabulary()
+    with open(path, "rb") as f:
+        own = bpe.Codec(f.read(), pattern)
+    want = tiktoken.Encoding("t", pat_str=pattern, mergeable_ranks=own.ranks, special_tokens={})
+    word = "".join(random.Random(n).choices(letters, k=n))
+    began = time.process_time()
+    assert own.encode([word])[0].tolist() == want.encode_ordinary(word)
+    assert time.process_time() - began < 60
+
+
+def test_simhash_large_keys_lose_no_link(spark, monkeypatch):
+    """Keys of more fingerprints than a task takes are searched in pairs of blocks."""
+    monkeypatch.setattr(simhash, "BLOCK", 16)
+    rnd = np.random.default_rng(2)
+    base = int(rnd.integers(1 << 62))
+    fps = {base ^ (1 << int(i)) ^ (1 << int(j)) for i, j in rnd.integers(0, 20, (150, 2))} | {int(x) for x in rnd.integers(0, 1 << 62, 100)}
+    df = spark.createDataFrame([(x,) for x in fps], "fp long").repartition(3)
+    up = {x: x for x in fps}
+
+    def find(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for x in fps:
+        for y in fps:
+            if bin(x ^ y).count("1") <= 3:
+                up[find(x)] = find(y)
+    links = [(r.a, r.b) for r in simhash.variant_links(df).collect()]
+    assert all(bin(a ^ b).count("1") <= 3 for a, b in links)
+    got = {x: x for x in fps}
+
+    def seek(x):
+        while got[x] != x:
+            x = got[x]
+        return x
+
+    for a, b in links:
+        got[seek(a)] = seek(b)
+    assert len({seek(x) for x in fps}) == len({find(x) for x in fps})
+    assert all(seek(x) == seek(y) for x in fps for y in fps if find(x) == find(y))
+
+
+def test_components_beyond_one_task(spark, monkeypatch):
+    links = spark.createDataFrame([(i, i + 1) for i in range(0, 60) if i % 13] + [(5, 5), (100, 7), (200, 100)], "a long, b long")
+    one = {(r.node, r.root) for r in components.components(links).collect()}
+    monkeypatch.setattr(components, "ONE_TASK", 0)
+    assert one == {(r.node, r.root) for r in components.components(links).collect()} and (200, 1) in one
+
+
+def test_equal_texts_share_a_shard(spark):
+    rows = [(i, f"text number {i % 900} of some length " * (1 + i % 5)) for i in range(2700)] + [(5000 + i, "the same") for i in range(3000)]
+    out = sharding.shard_by_bytes(spark.createDataFrame(rows, "doc_id long, text string").repartition(4), 6).collect()
+    size, of = Counter(), defaultdict(set)
+    for r in out:
+        size[r.shard] += r.size
+        of[r.text_crc32, r.size].add(r.shard)
+    assert max(size.values()) < 1.05 * min(size.values())
+    assert sum(len(s) > 1 for s in of.values()) <= 1 and len(of) > 800
+
+
+def test_vptree_ties_go_to_the_smaller_id(spark):
+    """Parallel vectors have equal cosines: all of them are looked at, however they lie in the tree."""
+    rnd = np.random.default_rng(4)
+    v = rnd.normal(size=8)
+    rows = [(100 + j, (v * 2.0**j).tolist()) for j in range(12, 0, -1)] + [(300 + j, (v * (j + 3)).tolist()) for j in range(20)]
+    rows += [(1000 + j, rnd.normal(size=8).tolist()) for j in range(300)] + [(5, (v + 1e-3).tolist())]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").coalesce(1)
+    got = sorted(tuple(r) for r in vptree.ann(df, df.where("vec_id IN (5, 1000, 112)"), factor=1.0).collect())
+    want = cosine_brute(rows, [(i, np.array(x)) for i, x in rows if i in (5, 1000, 112)], 5)
+    assert [r[:3] for r in got] == [r[:3] for r in want]
+
+
+def test_queries_beyond_a_broadcast_meet_rows_in_tiles(spark):
+    rnd = np.random.default_rng(5)
+    rows = [(i, rnd.normal(size=6).tolist()) for i in range(400)] + [(400, None), (401, [1.0, 2.0]), (402, [2.0, 1.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(3)
+    one, tiled = (sorted(tuple(r) for r in topk.exact_top_k(df, df.where("vec_id % 2 = 0"), block=b).collect()) for b in (1000, 64))
+    assert one == tiled and len(one) == 200 * 10 + 1
+    ann = sorted(tuple(r) for r in vptree.ann(df, df.where("vec_id % 20 = 0"), factor=1.0, block=8, shard_rows=100).collect())
+    want = cosine_brute(rows[:400], [(i, np.array(v)) for i, v in rows[:400] if i % 20 == 0], 5)
+    assert [r[:3] for r in ann] == [r[:3] for r in want]
+
+
+EMPTY = "doc_id long, text string, lang string, source string, n_chars long"
+
+
+@pytest.mark.parametrize("name", [q for q in queries.QUERIES if q != "pipeline"])
+def test_empty_tables(spark, tmp_path, name):
+    spark.createDataFrame([], EMPTY).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([], "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    spark.createDataFrame([], "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    assert queries.QUERIES[name](spark, f"file://{tmp_path}").collect() == []
