@@ -132,7 +132,7 @@ def w10(spark: SparkSession, d: str, ks: tuple[int, ...] = (5, 10, 15, 20), corp
 
 
 #: Distributed runs by name: rows, k -> result.
-SPLITS = {"gain_bisect_random_label": lambda r, k: kway.gain_bisect(r, k, max_epochs=5), "bisect_lloyd": lambda r, k: kway.gain_split(r, k, splitter="lloyd", init="seed_nearest", max_epochs=5)}
+SPLITS = {"gain_bisect_random_label": lambda r, k: kway.gain_bisect(r, k, max_epochs=5, local_rows=100_000), "bisect_lloyd": lambda r, k: kway.gain_split(r, k, splitter="lloyd", init="seed_nearest", max_epochs=5, local_rows=100_000)}
 ENGINES = {
     "gain_random_label": lambda r, k: kway.gain_kway(r, k, max_epochs=3),
     "gain_seed_nearest_first": lambda r, k: kway.gain_kway(r, k, "seed_nearest", "first", max_epochs=3),
@@ -171,7 +171,7 @@ def w12(spark: SparkSession, d: str, ks: tuple[int, ...] = (8, 16, 32, 64), meth
     rows = features.line4(spark, d).select("id", "vec")
     out = []
     for k in ks:
-        out += _timed(rows, k, methods)
+        out += _timed(rows, k, methods or ["gain_random_label", "lloyd", "minibatch", "gain_bisect_random_label"])
     return spark.createDataFrame(out, GROWTH)
 
 
