@@ -254,6 +254,41 @@ def _sorted_groups(contexts: DataFrame, window: int) -> DataFrame:
     return lined.mapInArrow(trimmed(run), "gram long, context long, spans array<int>")
 
 
+def _repeated_hashes(windows: DataFrame) -> DataFrame:
+    """Of windows (gram, context, times, j, w1, w2) the places (gram, context, j), of contexts that occur once, whose two
+    hashes occur at another place or in a context that occurs more often. One pass over the sorted hashes, which
+    remembers one place, however many share a hash."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last: tuple | None = None  # the key that may go on, whether it is known to repeat, and its last place
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            w1, w2, gram, context, j, times = (c.to_numpy().astype(np.int64) for c in batch.columns)
+            place = np.stack([gram, context, j], 1)
+            new = np.concatenate([[True], (w1[1:] != w1[:-1]) | (w2[1:] != w2[:-1])])
+            starts = np.flatnonzero(new)
+            ends = np.append(starts[1:], len(w1)) - 1
+            again = (np.maximum.reduceat(times, starts) > 1) | (place[starts] != place[ends]).any(1)
+            same = np.concatenate([[False], ~new[1:] & (place[1:] == place[:-1]).all(1)])  # a repeated row gives its windows again
+            out = []
+            if last is not None and last[0] == (w1[0], w2[0]):
+                _, known, before = last
+                same[0] = before == tuple(place[0].tolist())
+                again[0] |= known or not same[0]
+                if again[0] and not known:
+                    out.append(np.array([before], np.int64))
+            of = np.cumsum(new) - 1
+            out.append(place[again[of] & (times == 1) & ~same])
+            last = ((w1[-1], w2[-1]), bool(again[-1]), tuple(place[-1].tolist()))
+            rows = np.concatenate(out)
+            yield pa.RecordBatch.from_arrays([pa.array(rows[:, 0]), pa.array(rows[:, 1]), pa.array(rows[:, 2].astype(np.int32))], names=["gram", "context", "j"])
+
+    order = ["w1", "w2", "gram", "context", "j"]
+    lined = windows.select(*order, "times").repartition(shuffle_width(windows.sparkSession), "w1", "w2").sortWithinPartitions(*order)
+    return lined.mapInArrow(trimmed(run), "gram long, context long, j int")
+
+
 def repeated_spans(docs: DataFrame, window: int) -> DataFrame:
     """From rows (k, k2, bytes): per key the byte spans to remove, as (k, k2, gone array<struct<a,b>>), not merged."""
 
@@ -280,10 +315,7 @@ def repeated_spans(docs: DataFrame, window: int) -> DataFrame:
     cut = stored(_contexts(docs, wanted.where("least = 1"), window), "cut")
     cold = _sorted_groups(cut.where("windows IS NULL").drop("windows"), window)
     every = cut.where("windows IS NOT NULL").select("gram", "context", "times", F.explode("windows").alias("w")).select("gram", "context", "times", "w.*")
-    # a repeated row gives its windows again: tell places apart by least and greatest, not by counting
-    place = F.xxhash64("gram", "context", "j")
-    twice = every.groupBy("w1", "w2").agg(F.min(place).alias("a"), F.max(place).alias("b"), F.max("times").alias("n")).where("a <> b OR n > 1").select("w1", "w2")
-    warm = every.where("times = 1").join(twice, ["w1", "w2"]).groupBy("gram", "context").agg(F.flatten(F.collect_list(F.array(F.col("j"), F.lit(1)))).alias("spans"))
+    warm = _repeated_hashes(every).groupBy("gram", "context").agg(F.flatten(F.collect_list(F.array(F.col("j"), F.lit(1)))).alias("spans"))
     flags = stored(whole.unionByName(cold).unionByName(warm), "flags")
     discard(wanted, cut)
 
