@@ -130,6 +130,24 @@ def test_suffix_collisions_are_verified(monkeypatch):
     assert all(len(x) == 0 for x in found)
 
 
+def test_repeated_hashes_across_batches(spark):
+    rnd = random.Random(12)
+    rows = [(rnd.randrange(4), rnd.randrange(6), rnd.choice([1, 1, 1, 2]), rnd.randrange(3), rnd.randrange(25), 0) for _ in range(60)]
+    rows = [(g, c, 1 + (c == 5), j, w, v) for g, c, _, j, w, v in rows]
+    rows += [(9, 9, 1, i, 77, 0) for i in range(20)] + [(8, 8, 1, 0, 78, 0)] * 7 + [(8, 8, 1, 0, 79, 0)] * 3 + [(7, 7, 1, 0, 79, 0)]
+    kinds = "gram long, context long, times long, j int, w1 long, w2 long"
+    places, often = defaultdict(set), set()
+    for g, c, t, j, w, v in rows:
+        places[w, v].add((g, c, j))
+        often |= {(w, v)} if t > 1 else set()
+    want = {((g, c, j), (w, v)) for g, c, t, j, w, v in rows if t == 1 and (len(places[w, v]) > 1 or (w, v) in often)}
+    for size in (1, 3, 1000):
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
+        got = [tuple(r) for r in suffix_dedup._repeated_hashes(spark.createDataFrame(rows, kinds)).collect()]
+        assert Counter(got) == Counter(p for p, _ in want)
+    spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
 def test_suffix_order():
     rnd = random.Random(1)
     words = [bytes(rnd.choices(b"ab", k=rnd.randint(0, 12))) for _ in range(60)]
