@@ -16,14 +16,14 @@ from gainclust.operators import kway
 
 def score_stream(stream: DataFrame, state: DataFrame) -> DataFrame:
     """Append (id, cluster): nearest centroid of a static state, row by row and without shuffle or Python."""
-    c = state.where("cnt > 0").agg(F.array_sort(F.collect_list(F.struct("cluster", "cnt", "sum_vec", "dd"))).alias("every"))
+    c = state.where("cnt > 0").agg(F.array_sort(F.collect_list(F.struct("cluster", "cnt", "sum_vec", F.col("dd").cast("double").alias("dd")))).alias("every"))
     d2 = F.transform("every", lambda s: F.struct((s["dd"].cast("double") / (s["cnt"].cast("double") * s["cnt"]) - 2 * dot(F.col("vec"), s["sum_vec"]) / s["cnt"]).alias("d"), s["cluster"].alias("c")))
     return stream.crossJoin(F.broadcast(c)).select("id", F.array_min(d2)["c"].alias("cluster"))
 
 
 def absorb(batch: DataFrame, state: DataFrame) -> DataFrame:
     """New state after each row joins the cluster whose score it raises most: one pass, sums combine before the shuffle."""
-    every = state.agg(F.array_sort(F.collect_list(F.struct("cluster", "cnt", "sum_vec", "dd"))).alias("every"))
+    every = state.agg(F.array_sort(F.collect_list(F.struct("cluster", "cnt", "sum_vec", F.col("dd").cast("double").alias("dd")))).alias("every"))
     q = norm2(F.col("vec"))
     won = lambda s: F.when(s["cnt"] == 0, q).otherwise((2 * dot(F.col("vec"), s["sum_vec"]) + q - s["dd"] / F.nullif(s["cnt"], F.lit(0))) / (s["cnt"] + 1))
     best = F.array_max(F.transform("every", lambda s: F.struct(won(s).alias("g"), (-s["cluster"]).alias("neg"))))
