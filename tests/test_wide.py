@@ -1,5 +1,7 @@
 """Fixed-point sums beyond a long, at sizes where squared sums of a cluster exceed 2**63."""
 
+import random
+
 from pyspark.sql import functions as F
 
 from gainclust import registry
@@ -57,3 +59,19 @@ def test_closed_pair_sum_of_any_size(spark, tmp_path):
         assert dict(out.dtypes)["pair_sum"] == kind
         assert int(out.first().pair_sum) == 32 * 32 * int(price * 100) ** 2
         assert registry.objectives_part(spark, d).first().n == 64
+
+
+def test_all_pairs_in_tiles(spark):
+    rng = random.Random(5)
+    data = [(i // 2 if 40 <= i < 60 else i, [rng.randrange(-9, 9) * (10**8 if i % 3 == 2 else 1), rng.randrange(3)], i % 3) for i in range(90)]
+    data += [(200, [1, None], 0), (201, None, 1), (None, [1, 2], 1), (202, [7, 7], None), (203, [1, 1], 5), (204, [4, 4], 6), (205, [4, 4], 6), (206, [1, None], 7), (207, [1, 1], 7)]
+    want = {}
+    for a, (i, x, c) in enumerate(data):
+        for j, y, e in data[:a]:
+            if c is not None and c == e and i is not None and j is not None and i != j:
+                whole = x and y and None not in x + y
+                want[c] = want.get(c) if not whole else (want.get(c) or 0) + sum((p - q) ** 2 for p, q in zip(x, y))
+    rows = spark.createDataFrame(data, "id long, vec array<long>, cluster int")
+    assert want[2] > 1 << 63 and want[6] == 0 and want[7] is None
+    for tile in (4, 4096):
+        assert {r.cluster: r.pair_sum if r.pair_sum is None else int(r.pair_sum) for r in st.pair_sum_bruteforce(rows, tile).collect()} == want
