@@ -1,4 +1,4 @@
-"""Fixed-point sums beyond a long, at sizes where squared sums of a cluster exceed 2**63."""
+"""Fixed-point sums beyond a long, all pairs in tiles, comparisons counted from a table."""
 
 import random
 
@@ -75,3 +75,9 @@ def test_all_pairs_in_tiles(spark):
     assert want[2] > 1 << 63 and want[6] == 0 and want[7] is None
     for tile in (4, 4096):
         assert {r.cluster: r.pair_sum if r.pair_sum is None else int(r.pair_sum) for r in st.pair_sum_bruteforce(rows, tile).collect()} == want
+
+
+def test_nominal_comparisons_of_a_table(spark, tmp_path):
+    rows = [(1.0, 2.0, 0.1, 0.1)] * 11 + [(1.0, None, 0.1, 0.1)]
+    spark.createDataFrame(rows, "l_quantity double, l_extendedprice double, l_discount double, l_tax double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert {r.s: r.comparisons for r in registry.nominal_comparisons(spark, str(tmp_path)).collect()} == {2: 44, 4: 66, 16: 165}
