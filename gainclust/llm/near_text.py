@@ -1,15 +1,20 @@
-"""Near-duplicates by the true similarity of word shingles: sketches find candidates, sets decide.
+"""Near-duplicates by SimHash and by the true similarity of word shingles: fingerprints and sketches find candidates, sets decide.
 
 A text is the set of its distinct shingle hashes; rows with equal sets are one node, and pairs are linked if their sets
 have a Jaccard similarity of ``similarity`` or more.
 
-1. Nodes that share one of BANDS keys, each of EACH least values, are members. At 0.8 exactly a pair shares no key
-   with a probability of (1 - 0.8^4)^20 = 0.00003; only members go on.
-2. Members are joined exactly, by prefixes: with the shingles of every set in one common order, two sets similar
+1. Fingerprints of 64 bits that differ in BITS bits or fewer are linked by the search of ``simhash``, all of them; the
+   exact check follows. Of the pairs of 0.8 or a little more these are few (they differ in about 10 bits), so the next
+   steps find the others.
+2. Nodes that share one of BANDS keys, each of EACH least values, are members. At 0.8 exactly a pair shares no key
+   with a probability of (1 - 0.8^4)^20 = 0.00003; only members and linked nodes go on.
+3. Members are joined exactly, by prefixes: with the shingles of every set in one common order, two sets similar
    enough share one of their first n - ceil(similarity * n) + 1, at places that still allow the overlap. The order is
    from rare to common by counts in a table of fixed size, so shingles of a common template seldom are in a prefix.
-3. Candidates are verified on the sets. A first round takes near places only and merges most; later ones take every
+4. Candidates are verified on the sets. A first round takes near places only and merges most; later ones take every
    pair of different components that is left. A prefix shingle of over BLOCK members is dealt out in pairs of blocks.
+   Parities of the set by hash (``marks``) bound from below how many shingles two sets do not share, so most pairs that
+   are not similar enough are never given out.
 
 Cases: wordless and null texts - the empty set, one node, linked to nothing else; fewer words than a shingle - the
 whole sequence is the only shingle; whole texts are used; empty table - no rows; columns beside id and text are not read.
@@ -29,9 +34,11 @@ from pyspark.sql import functions as F
 
 from gainclust.llm.common import discard, shuffle_width, stored, trimmed
 from gainclust.llm.components import components
+from gainclust.llm.simhash import variant_links
 from gainclust.llm.windows import PrefixHash, mixed
 
 BANDS, EACH, FAR = 20, 4, 28  # FAR: fingerprints of similar sets differ in about 10 bits of 64
+BITS, MARKS = 3, 8  # MARKS: longs of parities of a set
 SLICE = 1 << 14  # shingles sketched together
 LOT = 1 << 18  # bytes of text hashed together
 WANTED = 2_000_000  # ids in a broadcast; more are joined by a shuffle
@@ -106,6 +113,20 @@ def prints(docs: DataFrame, words_each: int, id_col: str, text_col: str) -> Data
     return data.mapInArrow(trimmed(run), "id long, digest binary, n int, fp long, keys array<long>")
 
 
+def alike(nodes: DataFrame, bits: int = BITS) -> DataFrame:
+    """SimHash links (a, b) between nodes (node, fp, keys): the nodes of each fingerprint to its least one, and the least
+    ones of linked fingerprints. The sets decide afterwards."""
+    rows = nodes.where("size(keys) > 0")
+    least = stored(rows.groupBy("fp").agg(F.min("node").alias("least")), "fingerprints")
+    same = rows.join(least, "fp").where("node <> least").select(F.col("least").alias("a"), F.col("node").alias("b"))
+    links = variant_links(least.select("fp"), bits).toDF("x", "y")
+    end = lambda fp, name: least.select(F.col("fp").alias(fp), F.col("least").alias(name))
+    near = links.join(end("x", "p"), "x").join(end("y", "q"), "y").select(F.least("p", "q").alias("a"), F.greatest("p", "q").alias("b"))
+    out = stored(same.unionByName(near).distinct(), "alike")
+    discard(least)
+    return out
+
+
 def members(nodes: DataFrame) -> DataFrame:
     """Distinct nodes (node, fp) that share a key with another."""
     rows = nodes.select(F.explode("keys").alias("key"), "node", "fp")
@@ -113,19 +134,26 @@ def members(nodes: DataFrame) -> DataFrame:
     return rows.join(shared, "key", "left_semi").select("node", "fp").distinct()
 
 
+def parities(hashes: np.ndarray) -> np.ndarray:
+    """64 * MARKS bits: whether an odd number of the set's shingles falls on each place."""
+    odd = np.bincount((hashes >> np.uint64(40)).astype(np.int64) % (64 * MARKS), minlength=64 * MARKS) & 1
+    return np.packbits(odd.astype(bool), bitorder="little").view("<i8")
+
+
 def sets_of(docs: DataFrame, wanted: DataFrame, words_each: int, id_col: str, text_col: str) -> DataFrame:
-    """Rows (node, fp, hashes) of the wanted (node, fp)."""
+    """Rows (node, fp, hashes, marks) of the wanted (node, fp)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
-                held = [h.astype("<u8").tobytes() for h in shingle_sets(part.column(2).to_pylist(), words_each)]
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(held, pa.binary())], names=["node", "fp", "hashes"])
+                sets = list(shingle_sets(part.column(2).to_pylist(), words_each))
+                held, even = [h.astype("<u8").tobytes() for h in sets], [parities(h) for h in sets]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(held, pa.binary()), pa.array(even, pa.list_(pa.int64()))], names=["node", "fp", "hashes", "marks"])
 
     data = docs.select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("text"))
     few = F.broadcast(wanted) if wanted.count() <= WANTED else wanted
-    return data.join(few, "node").select("node", "fp", "text").mapInArrow(trimmed(run), "node long, fp long, hashes binary")
+    return data.join(few, "node").select("node", "fp", "text").mapInArrow(trimmed(run), "node long, fp long, hashes binary, marks array<long>")
 
 
 def counts(sets: DataFrame) -> np.ndarray:
@@ -179,12 +207,18 @@ def shared_tokens(rows: DataFrame) -> DataFrame:
 
 
 def _fits(similarity: float, x: tuple, y: tuple) -> np.ndarray:
-    """Which pairs of (before, pos, n, fp) can be similar enough: two sets share at most what both have in several prefixes
-    before the token, the token, and what follows."""
-    (a, p, n, f), (b, q, m, g) = x, y
+    """Which pairs of (before, pos, n, fp, marks...) can be similar enough: two sets share at most what both have in several
+    prefixes before the token, the token, and what follows; where their parities differ, one has a shingle that the other has not."""
+    (a, p, n, f, *v), (b, q, m, g, *w) = x, y
     overlap = np.minimum(a, b) + 1 + np.minimum(n - p, m - q) - 1
     near = np.bitwise_count((f ^ g).view(np.uint64)) <= FAR
-    return near & ((1 + similarity) * overlap >= similarity * (n + m) - 1e-6)
+    ok = near & ((1 + similarity) * overlap >= similarity * (n + m) - 1e-6)
+    if v:
+        at = np.flatnonzero(ok)
+        some = lambda c: c[at] if c.ndim else c
+        apart = sum(np.bitwise_count((some(i) ^ some(j)).view(np.uint64)).astype(np.int64) for i, j in zip(v, w))
+        ok[at] = (1 + similarity) * apart <= (1 - similarity) * (some(n) + some(m)) + 1e-6
+    return ok
 
 
 def _pairs(x: np.ndarray, y: np.ndarray, cut: np.ndarray | None = None) -> pa.RecordBatch:
@@ -209,9 +243,9 @@ def neighbours(rows: DataFrame, similarity: float) -> DataFrame:
     return dealt.mapInArrow(trimmed(run), "a long, b long, more boolean").select("a", "b").distinct()
 
 
-def across(rows: DataFrame, similarity: float, first: int | None) -> DataFrame:
+def across(rows: DataFrame, similarity: float, first: int | None, marks: DataFrame | None = None) -> DataFrame:
     """Pairs (a, b, more) of different components (column root) that share a token; of a row and another component only
-    the `first` nearest where given, then with more set."""
+    the `first` nearest where given, then with more set. marks: (node, marks) of the sets, to leave out further pairs."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for cols in _whole_keys(batches):
@@ -226,23 +260,28 @@ def across(rows: DataFrame, similarity: float, first: int | None) -> DataFrame:
                 if not len(at):
                     break
                 to = at + gap
-                ok = (few[6][at] != few[6][to]) & _fits(similarity, tuple(c[at] for c in few[1:5]), tuple(c[to] for c in few[1:5]))
+                other = few[6][at] != few[6][to]
+                at, to = at[other], to[other]
+                bound = few[1:5] + few[8:]
+                ok = _fits(similarity, tuple(c[at] for c in bound), tuple(c[to] for c in bound))
                 if ok.any():
                     yield _pairs(few[5][at[ok]], few[5][to[ok]])
             for x, y in zip(starts.tolist(), (starts + size).tolist()):
                 if large[x]:
                     yield from pairs_of(*(c[x:y] for c in cols[1:]))
 
-    def pairs_of(before: np.ndarray, pos: np.ndarray, n: np.ndarray, fp: np.ndarray, node: np.ndarray, root: np.ndarray, block: np.ndarray) -> Iterator[pa.RecordBatch]:
+    def pairs_of(before: np.ndarray, pos: np.ndarray, n: np.ndarray, fp: np.ndarray, node: np.ndarray, root: np.ndarray, block: np.ndarray, *marks: np.ndarray) -> Iterator[pa.RecordBatch]:
         if (root == root[0]).all():
             return
         two = (block != block[0]).any()  # of two blocks only rows across are compared; each alone has its own turn
         for i in range(len(node) - 1):
             rest = slice(i + 1, None)
-            ok = (root[rest] != root[i]) & _fits(similarity, (before[rest], pos[rest], n[rest], fp[rest]), (before[i], pos[i], n[i], fp[i]))
+            other = root[rest] != root[i]
             if two:
-                ok &= block[rest] != block[i]
-            at = np.flatnonzero(ok) + i + 1
+                other &= block[rest] != block[i]
+            at = np.flatnonzero(other) + i + 1
+            bound = (before, pos, n, fp, *marks)
+            at = at[_fits(similarity, tuple(c[at] for c in bound), tuple(c[i] for c in bound))]
             if not len(at):
                 continue
             more = np.zeros(len(at), bool)
@@ -260,7 +299,10 @@ def across(rows: DataFrame, similarity: float, first: int | None) -> DataFrame:
     own = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
     open_ = open_.withColumn("block", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     key = F.xxhash64("token", F.least("block", "other"), F.greatest("block", "other"))
-    dealt = open_.select(key.alias("key"), "before", "pos", "n", "fp", "node", "root", "block").repartition(shuffle_width(rows.sparkSession), "key").sortWithinPartitions("key")
+    open_ = open_.select(key.alias("key"), "before", "pos", "n", "fp", "node", "root", "block")
+    if marks is not None:
+        open_ = open_.join(marks, "node").select("key", "before", "pos", "n", "fp", "node", "root", "block", *[F.col("marks")[i].alias(f"mark{i}") for i in range(MARKS)])
+    dealt = open_.repartition(shuffle_width(rows.sparkSession), "key").sortWithinPartitions("key")
     return dealt.mapInArrow(trimmed(run), "a long, b long, more boolean").groupBy("a", "b").agg(F.max("more").alias("more"))
 
 
@@ -304,16 +346,18 @@ def near_duplicates(docs: DataFrame, words_each: int = 5, similarity: float = 0.
     every = stored(prints(docs, words_each, id_col, text_col), "prints")
     nodes = every.groupBy("digest").agg(F.min("id").alias("node"), F.first("fp").alias("fp"), F.first("keys").alias("keys"))
     nodes = stored(nodes, "nodes")
-    sets = stored(sets_of(docs, stored(members(nodes), "members"), words_each, id_col, text_col), "sets")
+    same = alike(nodes)
+    ends = nodes.join(same.select(F.explode(F.array("a", "b")).alias("node")).distinct(), "node").select("node", "fp")
+    sets = stored(sets_of(docs, stored(members(nodes).unionByName(ends).distinct(), "members"), words_each, id_col, text_col), "sets")
     every_row = stored(prefixes(sets, similarity), "prefixes")
     rows = stored(shared_tokens(every_row), "prefixes")
     discard(every_row)
-    links = stored(verified(neighbours(rows, similarity), sets, similarity), "links")
+    links = stored(verified(same.unionByName(neighbours(rows, similarity)).distinct(), sets, similarity), "links")
     labels = None if links.isEmpty() else components(links)
     tested = None
     for first in (FIRST, None):
         rooted = rows.withColumn("root", F.col("node")) if labels is None else rows.join(labels, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        wanted = across(rooted, similarity, first)
+        wanted = across(rooted, similarity, first, sets.select("node", "marks"))
         if tested is not None:
             wanted = wanted.join(tested.select("a", "b"), ["a", "b"], "left_anti")  # what was not similar enough is not looked at again
         pairs = tested = stored(wanted, "pairs")
@@ -329,5 +373,5 @@ def near_duplicates(docs: DataFrame, words_each: int = 5, similarity: float = 0.
     else:
         out = out.join(labels, "node", "left").select("id", F.coalesce("root", "node").alias("component"))
     out = stored(out, "groups")
-    discard(every, nodes, sets, rows, pairs)
+    discard(every, nodes, same, sets, rows, pairs)
     return out
