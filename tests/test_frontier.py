@@ -8,7 +8,7 @@ import pytest
 from gainclust.operators import kernels, kway
 from gainclust.operators import state as st
 from gainclust.plans import workloads
-from gainclust.sources import storage
+from gainclust.sources import features, storage
 from pyspark.sql import functions as F
 
 
@@ -190,3 +190,65 @@ def test_minibatch_coverage(rows):
 def test_start_snapshot(spark, sf):
     got = {r.epochs: r.violations for r in workloads.w13(spark, sf).collect()}
     assert got[0] > got[200] == 0
+
+
+def test_first_moves_in_blocks_give_what_single_rows_give(x):
+    y = np.concatenate([x, x[:, ::-1] + 1, x * x], axis=1)
+    for scan in ("rotated", "ascending"):
+        together, single = [], []
+        for out, who in ((together, None), (single, np.tile(np.arange(9), (len(y), 1)))):  # candidates are looked at row by row
+            labels = np.random.default_rng(2).integers(9, size=len(y))
+            s, cnt = kernels.sums(y, labels, 9)
+            for epoch in range(4):
+                order = np.random.default_rng(epoch).permutation(len(y))
+                if who is not None:
+                    who = np.stack([np.roll(np.arange(9), -((int(i) * 2654435761 + epoch) % 9 if scan == "rotated" else 0)) for i in range(len(y))])
+                out.append((kernels.one_pass(y, (y * y).sum(1), labels, s, cnt, order, "first", 1e-9, who, epoch, scan), labels.copy()))
+        assert [a for a, _ in together] == [a for a, _ in single]
+        assert all((a == b).all() for (_, a), (_, b) in zip(together, single))
+
+
+def test_sums_of_wide_rows_have_the_bits_of_adding_row_by_row():
+    rng = np.random.default_rng(3)
+    for n, k in ((400, 7), (400, 1), (10, 9)):
+        y, own = rng.normal(size=(n, 24)), rng.integers(max(k - 1, 1), size=n)  # the last cluster is empty
+        want = np.zeros((k, 24))
+        np.add.at(want, own, y)
+        assert (kernels.sums(y, own, k)[0] == want).all()
+
+
+@pytest.mark.parametrize("method", workloads.TABLE)
+def test_runs_together_give_the_labels_of_runs_alone(method):
+    rng = np.random.default_rng(8)
+    y = np.abs(rng.normal(size=(230, 40))) * (rng.random((230, 40)) < 0.3)
+    y[5] = 0
+    got = {(k, seed): labels for k, seed, labels in kernels.labels_of(method, y, [1, 3, 4, 11], [0, 1, 7])}
+    assert len(got) == 12
+    for (k, seed), labels in got.items():
+        assert (labels == kernels.METHODS[method](y, k, seed).labels).all(), (k, seed)
+
+
+def test_document_entropies(spark, sf):
+    """Against one run after the other; every row is sent once a method only, without its zeros."""
+    names = ["lloyd", "online_lvq", "cosine_bisect"]
+    found = workloads.w10(spark, sf, ks=(3, 500), corpora=3, restarts=2, methods=names, cls="source", vocab=64)
+    got = {(r.method, r.k): r.entropy for r in found.collect()}
+    docs = features.load_table(spark, sf, "documents")
+    rows = features.doc_tfidf(docs, 64).join(docs.select(F.col("doc_id").alias("id"), "source"), "id").orderBy("id").toPandas()
+    assert len(got) == 6 and len(rows) == docs.count()
+    for (name, k), value in got.items():
+        if (name, k) == ("online_lvq", 500):  # every row a centroid: between copies of a row rounding decides
+            continue
+        best = []
+        for _, part in rows.groupby(rows.id % 3):
+            y, code = np.stack(part["vec"].to_numpy()), part["source"].astype("category").cat.codes.to_numpy()
+            h, classes = [], int(code.max()) + 1
+            for seed in range(2):
+                labels = kernels.METHODS[name](y, min(k, len(y)), seed).labels
+                t = np.array([np.bincount(code[labels == c], minlength=classes) for c in np.unique(labels)])
+                p = t / t.sum(1, keepdims=True)
+                h.append(-(t.sum(1)[:, None] * p * np.log(np.where(p > 0, p, 1))).sum() / t.sum() / np.log(classes))
+            best.append(min(h))
+        assert abs(value - np.mean(best)) < 1e-9, (name, k)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "slots" in plan and "transform(sequence" not in plan
