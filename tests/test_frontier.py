@@ -252,3 +252,25 @@ def test_document_entropies(spark, sf):
         assert abs(value - np.mean(best)) < 1e-9, (name, k)
     plan = found._jdf.queryExecution().executedPlan().toString()
     assert "slots" in plan and "transform(sequence" not in plan
+
+
+@pytest.mark.parametrize("seeding", ["random", "dsq"])
+def test_late_epochs_sum_few_rows(monkeypatch, seeding):
+    """Sums follow from the rows that changed: full sums only while many do and every FRESH epochs, with the same result."""
+    x = np.random.default_rng(7).normal(size=(1500, 12)) + 2 * np.random.default_rng(8).normal(size=(6, 12))[np.arange(1500) % 6]
+    whole, seen = kernels.sums, []
+    monkeypatch.setattr(kernels, "sums", lambda y, labels, k: seen.append(len(y)) or whole(y, labels, k))
+    for run in (kernels.lloyd(x, 9, seeding), kernels.gain_kway(x, 9, "seed_nearest")):
+        assert len(run.history) > 8 and sum(seen) < 0.75 * len(x) * len(run.history), seen
+        s, cnt = whole(x, run.labels, 9)
+        assert abs(run.history[-1]["score"] - kernels.score(s, cnt)) < 1e-9 * kernels.score(s, cnt)
+        seen.clear()
+    old = np.random.default_rng(9).integers(9, size=1500)
+    new = np.where(np.arange(1500) % 20 == 0, (old + 4) % 9, old)
+    s, cnt = kernels.sums_after(x, *whole(x, old, 9), old, new)
+    assert np.allclose(s, whole(x, new, 9)[0], atol=1e-11, rtol=0) and (cnt == whole(x, new, 9)[1]).all() and sum(seen) == 150
+
+
+def test_distances_from_a_row():
+    x = np.random.default_rng(3).normal(size=(300, 20))
+    assert (kernels.from_row(x, 7) == ((x - x[7]) ** 2).sum(1)).all()
