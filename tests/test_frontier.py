@@ -274,3 +274,12 @@ def test_late_epochs_sum_few_rows(monkeypatch, seeding):
 def test_distances_from_a_row():
     x = np.random.default_rng(3).normal(size=(300, 20))
     assert (kernels.from_row(x, 7) == ((x - x[7]) ** 2).sum(1)).all()
+
+
+def test_document_rows_are_sent_once(spark, sf):
+    """Only known terms go into the counts, and the methods of w10 share one shuffle of the rows."""
+    found = workloads.w10(spark, sf, ks=(3,), corpora=2, restarts=1, methods=["lloyd", "minibatch", "lloyd_dsq"], vocab=64)
+    assert found.count() == 3
+    found.collect()
+    plan = found._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[0]
+    assert plan.count("ReusedExchange") >= 2 and plan.count("MapInPandas") == 3, plan
